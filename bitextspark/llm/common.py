@@ -6,6 +6,7 @@ import tempfile
 import uuid
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 
 #: Code points of words' separators; bytes.split() without arguments splits at the same six bytes.
@@ -45,7 +46,7 @@ def as_bytes(column: pa.Array | pa.ChunkedArray) -> list[bytes | None]:
 
 def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 8 << 20):
     """A batch in runs of rows whose texts hold about most_bytes, so memory doesn't follow the texts' lengths."""
-    sizes = [0 if x is None else len(x) for x in as_bytes(batch.column(column))]
+    sizes = pc.fill_null(pc.binary_length(batch.column(column)), 0).to_pylist()
     start = total = 0
     for i, n in enumerate(sizes):
         if total and total + n > most_bytes:
