@@ -80,8 +80,8 @@ WITH said AS (
   UNION ALL SELECT -7, 0, 'user', '\### Assistant: </turn> ok'
   UNION ALL SELECT -7, 1, 'assistant', '\### Assistant: </turn> ok'
 ), escaped AS (
-  SELECT *, replace(replace(replace(replace(role, '\', '\'), '##', '#\#'), '</turn>', '<\/turn>'), ':', '\:') AS r,
-    replace(replace(replace(text, '\', '\'), '##', '#\#'), '</turn>', '<\/turn>') AS t FROM said
+  SELECT *, replace(replace(replace(replace(role, '\', '\\'), '##', '#\#'), '</turn>', '<\/turn>'), ':', '\:') AS r,
+    replace(replace(replace(text, '\', '\\'), '##', '#\#'), '</turn>', '<\/turn>') AS t FROM said
 ), whole AS (
   SELECT conv_id, count(*) AS n_turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text) AS turns,
     string_agg(CASE WHEN role = 'assistant' THEN text ELSE '' END, '' ORDER BY turn, role, text) AS loss,
