@@ -137,23 +137,21 @@ def pieces(docs: DataFrame, path: str, id_col: str, text_col: str, window: int,
 
     def run(batches):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        library = tokens.load(path)
-        memo = tokens.Memo(library, lambda e: np.array(e.ids, dtype="<u4").tobytes())
         apart = tokens.splits_at_space(path)
+        memo = tokens.Memo(path) if apart else None
+        library = tokens.load(path)
         end = np.array([end_id], dtype="<u4").tobytes()
         for whole in batches:
             for batch in slices(whole, "t"):
                 ids, starts, lengths, crcs, totals = [], [], [], [], []
                 texts = as_bytes(batch.column("t"))
-                for i, text in zip(batch.column("i").to_pylist(), texts, strict=True):
-                    if not text:
-                        data = end
-                    elif apart:
-                        words = text.split()
-                        known = memo.learn(words)
-                        data = b"".join([known[w] for w in words]) + end
+                words = [memo.fold(t).split() if t else [] for t in texts] if apart else []
+                known = memo.learn(set().union(*words)).__getitem__ if apart else None
+                for k, (i, text) in enumerate(zip(batch.column("i").to_pylist(), texts, strict=True)):
+                    if apart:
+                        data = b"".join(map(known, words[k])) + end
                     else:
-                        data = np.array(library.encode(text.decode("utf-8", "replace"), add_special_tokens=False).ids, dtype="<u4").tobytes() + end
+                        data = np.array(library.encode((text or b"").decode("utf-8", "replace"), add_special_tokens=False).ids, dtype="<u4").tobytes() + end
                     n = len(data) // 4
                     for at in range(0, n, window):
                         part = data[4 * at : 4 * (at + window)]
