@@ -48,7 +48,7 @@ def cuts(data: bytes, mask_bits: int = MASK_BITS) -> list[int]:
 
 
 class ChunkCodec:
-    """Encodes texts for one worker: (ids count, ids as text, decoded text), each item with one space behind it."""
+    """Encodes texts for one worker: (count of ids, ids as text, decoded text), the items of both joined by a space."""
 
     def __init__(self, path: str, mask_bits: int = MASK_BITS, kept: int = KEPT_CHUNKS):
         self.library = tokens.load(path)
@@ -56,75 +56,95 @@ class ChunkCodec:
             joined_by_space = json.load(f).get("decoder") is None
         self.apart = tokens.splits_at_space(path) and joined_by_space
         self.mask_bits, self.kept = mask_bits, kept
-        self.memo = tokens.Memo(self.library, self._made)
         self.young: dict[bytes, tuple] = {}
         self.old: dict[bytes, tuple] = {}
         self.reused = self.encoded = 0
-
-    def _made(self, e) -> tuple[int, bytes, bytes]:
-        ids = e.ids
-        if not ids:
-            return 0, b"", b""
-        return len(ids), b" ".join(b"%d" % i for i in ids) + b" ", (self.library.decode(ids, skip_special_tokens=False) + " ").encode()
-
-    def _chunk(self, chunk: bytes) -> tuple:
-        """(head, inside's count, ids, decoded text, tail); head None where no separator is inside."""
+        if self.apart:
+            size = max(self.library.get_vocab(with_added_tokens=True).values()) + 1
+            self.names = [b"%d " % i for i in range(size)]
+            self.tokens = [((self.library.id_to_token(i) or "") + " ").encode() for i in range(size)]
+            self.memo = tokens.Memo(path, self._made)
+
+    def _made(self, ids: list[int]) -> tuple[bytes, bytes]:
+        """Of a word's ids; each item has its space behind it, so words are put together by joining."""
+        return b"".join([self.names[i] for i in ids]), b"".join([self.tokens[i] for i in ids])
+
+    @staticmethod
+    def _parts(chunk: bytes) -> tuple[bytes | None, list[bytes], bytes]:
+        """(head, words inside, tail) of a chunk; head None where no separator is inside."""
         words = chunk.split()
         head = b"" if chunk[0] in SPACES else words.pop(0)
         if len(head) == len(chunk):
-            return None, 0, b"", b"", chunk
+            return None, [], chunk
         tail = words.pop() if words and chunk[-1] not in SPACES else b""
-        known = self.memo.learn(words)
-        inside = [known[w] for w in words]
-        return head, sum(x[0] for x in inside), b"".join([x[1] for x in inside]), b"".join([x[2] for x in inside]), tail
+        return head, words, tail
 
-    def encode(self, text: bytes) -> tuple[int, bytes, bytes]:
-        """Count of ids, decimal ids and decoded tokens, each joined by a space, of a whole text."""
+    def encode(self, texts: list[bytes]) -> list[tuple[int, bytes, bytes]]:
+        """Of every whole text: count of ids, decimal ids and decoded tokens."""
         if not self.apart:
-            ids = self.library.encode(text.decode("utf-8", "replace"), add_special_tokens=False).ids
-            return len(ids), b" ".join(b"%d" % i for i in ids), self.library.decode(ids, skip_special_tokens=False).encode()
-        n, ids, decoded, broken, start = 0, [], [], b"", 0
-        for end in cuts(text, self.mask_bits):
-            chunk = text[start:end]
-            start = end
-            found = self.young.get(chunk)
-            if found is None:
-                found = self.old.get(chunk)
-                if found is None:
-                    found = self._chunk(chunk)
-                    self.encoded += 1
-                else:
-                    self.reused += 1
-                if len(self.young) >= self.kept:
-                    self.old, self.young = self.young, {}
-                self.young[chunk] = found
+            out = []
+            for text in texts:
+                ids = self.library.encode(text.decode("utf-8", "replace"), add_special_tokens=False).ids
+                out.append((len(ids), b" ".join(b"%d" % i for i in ids), self.library.decode(ids, skip_special_tokens=False).encode()))
+            return out
+        # cut, and find the chunks that are new: they are encoded once, for all texts
+        chunked = []
+        for text in texts:
+            folded, start, chunks = self.memo.fold(text), 0, []
+            for end in cuts(folded, self.mask_bits):
+                chunks.append(folded[start:end])
+                start = end
+            chunked.append(chunks)
+        if len(self.young) > self.kept:
+            self.old, self.young = self.young, {}
+        young, wanted = self.young, {c for chunks in chunked for c in chunks}
+        parts, total = {}, sum(map(len, chunked))
+        for chunk in wanted.difference(young):
+            if chunk in self.old:
+                young[chunk] = self.old[chunk]
             else:
-                self.reused += 1
-            head, count, a, b, tail = found
-            if head is None:
-                broken += tail
-                continue
-            broken += head
-            if broken:
-                k, c, d = self.memo.learn([broken])[broken]
-                n += k
-                ids.append(c)
-                decoded.append(d)
-            n += count
-            ids.append(a)
-            decoded.append(b)
-            broken = tail
-        if broken:
-            k, c, d = self.memo.learn([broken])[broken]
-            n += k
-            ids.append(c)
-            decoded.append(d)
-        return n, b"".join(ids)[:-1], b"".join(decoded)[:-1]
+                parts[chunk] = self._parts(chunk)
+        self.encoded += len(parts)
+        self.reused += total - len(parts)
+        known = self.memo.learn(set().union(*(words for _, words, _ in parts.values()))).__getitem__
+        for chunk, (head, words, tail) in parts.items():
+            ids, decoded = zip(*map(known, words), strict=True) if words else ((), ())
+            young[chunk] = head, b"".join(ids), b"".join(decoded), tail
+        # repair: the word over each join, over as many chunks as it takes
+        joins = []
+        for chunks in chunked:
+            broken, own = b"", []
+            for chunk in chunks:
+                head, *_, tail = young[chunk]
+                if head is None:
+                    broken += tail
+                else:
+                    own.append(broken + head)
+                    broken = tail
+            own.append(broken)
+            joins.append(own)
+        known = self.memo.learn({w for own in joins for w in own if w})
+        out = []
+        for chunks, own in zip(chunked, joins, strict=True):
+            ids, decoded, at = [], [], iter(own)
+            for chunk in [*chunks, None]:
+                head, a, b, _ = (b"", b"", b"", b"") if chunk is None else young[chunk]
+                if head is None:
+                    continue
+                if word := next(at):
+                    c, d = known[word]
+                    ids.append(c)
+                    decoded.append(d)
+                ids.append(a)
+                decoded.append(b)
+            whole = b"".join(ids)
+            out.append((whole.count(b" "), whole[:-1], b"".join(decoded)[:-1]))
+        return out
 
 
 def encode_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, mask_bits: int = MASK_BITS) -> DataFrame:
     """(id, ids as array<int>, decoded text) of every row; null texts count as empty, rows stay as often as they come."""
-    return _mapped(docs, id_col, text_col, path, mask_bits, lambda c, t: (list(map(int, (x := c.encode(t))[1].split())), x[2].decode()), [("ids", "array<int>", pa.list_(pa.int32())), ("decoded", "string", pa.string())])
+    return _mapped(docs, id_col, text_col, path, mask_bits, lambda x: (list(map(int, x[1].split())), x[2].decode()), [("ids", "array<int>", pa.list_(pa.int32())), ("decoded", "string", pa.string())])
 
 
 def encode_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, mask_bits: int = MASK_BITS) -> DataFrame:
@@ -135,8 +155,8 @@ def encode_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     of docs are not read.
     """
 
-    def digests(codec: ChunkCodec, text: bytes):
-        n, ids, decoded = codec.encode(text)
+    def digests(found: tuple):
+        n, ids, decoded = found
         return n, hashlib.sha256(ids).hexdigest(), hashlib.sha256(decoded).hexdigest()
 
     return _mapped(docs, id_col, text_col, path, mask_bits, digests, [("n_tokens", "long", pa.int64()), ("ids_sha256", "string", pa.string()), ("decoded_sha256", "string", pa.string())])
@@ -150,8 +170,8 @@ def _mapped(docs: DataFrame, id_col: str, text_col: str, path: str | None, mask_
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         codec = ChunkCodec(path, mask_bits)
         for whole in batches:
-            for batch in slices(whole, "t"):
-                rows = [make(codec, t or b"") for t in as_bytes(batch.column("t"))]
+            for batch in slices(whole, "t", 4 << 20):
+                rows = [make(x) for x in codec.encode([t or b"" for t in as_bytes(batch.column("t"))])]
                 out = [pa.array(x, c[2]) for x, c in zip(zip(*rows, strict=True), columns, strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column("i"), *out], names=["i", *(c[0] for c in columns)])
 

@@ -42,9 +42,9 @@ def test_chunks_of_shared_passages_are_reused():
     rng = random.Random(1)
     passage = " ".join("".join(rng.choices("abcdefgh", k=6)) for _ in range(400)).encode()
     codec = bpe_chunks.ChunkCodec(tokens.default_path())
-    codec.encode(b"first words " + passage)
+    codec.encode([b"first words " + passage])
     made = codec.encoded
-    codec.encode(b"something else stands before it here: " + passage + b" and after")
+    codec.encode([b"something else stands before it here: " + passage + b" and after"])
     assert codec.encoded - made <= 4 and codec.reused > 20
 
 
@@ -56,4 +56,16 @@ def test_whole_text_where_words_are_not_apart():
     library = tokens.load(path)
     text = "Some words, and  more\n words é"
     ids = library.encode(text, add_special_tokens=False).ids
-    assert not codec.apart and codec.encode(text.encode()) == (len(ids), " ".join(map(str, ids)).encode(), library.decode(ids, skip_special_tokens=False).encode())
+    assert not codec.apart and codec.encode([text.encode()]) == [(len(ids), " ".join(map(str, ids)).encode(), library.decode(ids, skip_special_tokens=False).encode())]
+
+
+def test_memo_equals_library_word_by_word():
+    rng = random.Random(9)
+    letters = "abcxyzABCÀÉßöøÿÞ×÷İıſ.,;:!?'0_-#éñ́’"
+    words = ["".join(rng.choices(letters, k=rng.randrange(1, 12))) for _ in range(20_000)] + ["ß", "ẞ", "don't", "it's.", "a.", "a..", "É,"]
+    library = tokens.load(tokens.default_path())
+    memo = tokens.Memo(tokens.default_path(), list)
+    assert memo.direct and memo.mark is not None
+    known = memo.learn([w.encode() for w in words])
+    for w, e in zip(words, library.encode_batch_fast(words, add_special_tokens=False), strict=True):
+        assert known[w.encode()] == e.ids, w
