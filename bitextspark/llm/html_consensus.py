@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, tidy
 
 # Element names by what they do to text.
 RAW = ("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "textarea", "title", "head")
@@ -171,7 +171,7 @@ def votes(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> Dat
             yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array([" ".join(p) if p else None for p in own], pa.string())], names=["host", "path"])
 
     read = pages.select(host(F.col(url_col)).alias("host"), F.col(html_col).alias("h"))
-    return read.mapInArrow(run, "host string, path string").filter("path is not null").groupBy("host", "path").agg(F.count("*").alias("votes"))
+    return read.mapInArrow(tidy(run), "host string, path string").filter("path is not null").groupBy("host", "path").agg(F.count("*").alias("votes"))
 
 
 def winners(voted: DataFrame, kept: int = KEPT_PATHS) -> DataFrame:
@@ -199,5 +199,5 @@ def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
             yield pa.RecordBatch.from_arrays([batch.column("i"), batch.column("u"), pa.array(text, pa.string()), pa.array(map(len, text), pa.int64())], names=["i", "u", "text", "n_chars"])
 
     kind = pages.schema[id_col].dataType.simpleString()
-    out = read.select("i", "u", "h", "paths").mapInArrow(run, f"i {kind}, u string, text string, n_chars long")
+    out = read.select("i", "u", "h", "paths").mapInArrow(tidy(run), f"i {kind}, u string, text string, n_chars long")
     return out.withColumnRenamed("i", id_col).withColumnRenamed("u", url_col)

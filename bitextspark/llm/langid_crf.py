@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, slices
+from .common import as_bytes, slices, tidy
 
 FIT_DOCS = 2400
 FIT_WORDS = 240
@@ -211,7 +211,7 @@ def sample(docs: DataFrame, id_col: str, text_col: str, lang_col: str, total: in
                     out.append(" ".join(w[:64] for w in words[at : at + FIT_WORDS]))
                 yield pa.RecordBatch.from_arrays([batch.column("l"), batch.column("h"), pa.array(out, pa.string())], names=["l", "h", "w"])
 
-    rows = {(r["l"], r["h"]): r["w"].split() for r in found.mapInArrow(runs, "l string, h long, w string").collect()}
+    rows = {(r["l"], r["h"]): r["w"].split() for r in found.mapInArrow(tidy(runs), "l string, h long, w string").collect()}
     # a mixed order, so that halves of the list hold all languages
     return [(label, words) for (label, _), words in sorted(rows.items(), key=lambda x: x[0][1])]
 
@@ -284,7 +284,7 @@ def annotate(docs: DataFrame, model: Crf | None, text_col: str = "text", out: tu
                 yield pa.RecordBatch.from_arrays(columns, names=[*batch.schema.names, *out])
 
     schema = type(docs.schema)([*docs.schema.fields]).add(out[0], "string").add(out[1], "double")
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(tidy(run), schema)
 
 
 def learn(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Crf | None:

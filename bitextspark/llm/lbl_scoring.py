@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, cut, slices
+from .common import as_bytes, cut, slices, tidy
 
 VOCABULARY = 1024
 HOT_WORDS = 120_000
@@ -132,7 +132,7 @@ def count_tokens(texts: DataFrame, text_col: str) -> DataFrame:
         if counter:
             yield out(counter)
 
-    return texts.select(F.col(text_col).alias("t")).mapInArrow(run, "token binary, c long").groupBy("token").agg(F.sum("c").alias("c"))
+    return texts.select(F.col(text_col).alias("t")).mapInArrow(tidy(run), "token binary, c long").groupBy("token").agg(F.sum("c").alias("c"))
 
 
 def most_frequent(counts: DataFrame, most: int) -> list[tuple[bytes, int]]:
@@ -169,7 +169,7 @@ def sampled(training: DataFrame, id_col: str, text_col: str) -> list[list[bytes]
                     out.append(b" ".join([w[:64] for w in run]) + (b"\n" if at + FIT_WORDS >= len(words) else b""))
                 yield pa.RecordBatch.from_arrays([batch.column("h"), pa.array(out, pa.binary())], names=["h", "w"])
 
-    rows = {r["h"]: bytes(r["w"]) for r in found.mapInArrow(runs, "h long, w binary").collect()}
+    rows = {r["h"]: bytes(r["w"]) for r in found.mapInArrow(tidy(runs), "h long, w binary").collect()}
     return [[*w.split(), *([END] if w.endswith(b"\n") else [])] for _, w in sorted(rows.items())]
 
 
@@ -249,7 +249,7 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
 
     kind = docs.schema[id_col].dataType.simpleString()
     schema = f"i {kind}, n_tokens long, n_hot long, hot_log double, outside_log double, n_outside long, model_log double, rare array<struct<token: binary, k: long>>"
-    own = cut(read.mapInArrow(run, schema).withColumn("row", F.monotonically_increasing_id()), "own")  # row numbers are fixed by being written
+    own = cut(read.mapInArrow(tidy(run), schema).withColumn("row", F.monotonically_increasing_id()), "own")  # row numbers are fixed by being written
     rare = own.select("row", F.explode("rare").alias("r")).select("row", "r.token", "r.k")
     met = rare.join(counts, "token", "left").select("row", (F.col("k") * F.log10(F.coalesce("c", F.lit(0)) + 0.5)).alias("log"), F.when(F.col("c") > 0, F.col("k")).otherwise(0).alias("known"))
     sums = met.groupBy("row").agg(F.sum("log").alias("rare_log"), F.sum("known").alias("rare_known"))

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import as_bytes, cut, slices
+from .common import as_bytes, cut, slices, tidy
 
 WINDOW = 4096
 STEP = 16
@@ -162,7 +162,7 @@ def pieces(docs: DataFrame, path: str, id_col: str, text_col: str, window: int,
                         totals.append(n)
                 yield pa.RecordBatch.from_arrays([pa.array(ids, batch.schema.field("i").type), *(pa.array(x, pa.int64()) for x in (starts, lengths, crcs, totals))], names=["i", "start", "length", "ids_crc32", "doc_tokens"])
 
-    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, f"i {kind}, start long, length long, ids_crc32 long, doc_tokens long")
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), f"i {kind}, start long, length long, ids_crc32 long, doc_tokens long")
 
 
 def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None, window: int = WINDOW, step: int = STEP, depth: int = DEPTH, end_id: int = END_ID) -> DataFrame:
@@ -205,6 +205,6 @@ def pack(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path:
             yield pa.RecordBatch.from_arrays([*(batch.column(x) for x in names), pa.array(sequence), pa.array(at)], names=[*names, "sequence_id", "place"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    placed = ranked.select("i", "start", "length", "ids_crc32", "doc_tokens", "bin", "rank").mapInArrow(place, f"i {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
+    placed = ranked.select("i", "start", "length", "ids_crc32", "doc_tokens", "bin", "rank").mapInArrow(tidy(place), f"i {kind}, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, place long")
     up_to = Window.partitionBy("sequence_id").orderBy("place").rowsBetween(Window.unboundedPreceding, -1)
     return placed.select(F.col("i").alias(id_col), "start", "length", "ids_crc32", "doc_tokens", "sequence_id", F.coalesce(F.sum("length").over(up_to), F.lit(0)).cast("long").alias("offset"))

@@ -20,7 +20,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, cut, slices
+from .common import as_bytes, cut, slices, tidy
 
 SYMBOLS = b"#*$%&|<>"
 CAPITALS = bytes(range(65, 91))
@@ -97,7 +97,7 @@ def counts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang
 
     kind = docs.schema[id_col].dataType.simpleString()
     read = docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t"), F.col(lang_col).cast("string").alias("lang"), F.col(source_col).cast("string").alias("source"), F.xxhash64(text_col).alias("key"))
-    return read.mapInArrow(run, f"i {kind}, lang string, source string, key long, " + ", ".join(f"{c} long" for c in COUNTS + _OWN))
+    return read.mapInArrow(tidy(run), f"i {kind}, lang string, source string, key long, " + ", ".join(f"{c} long" for c in COUNTS + _OWN))
 
 
 def base_failed() -> Column:

@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, cut, slices
+from .common import as_bytes, cut, slices, tidy
 
 SHINGLE_WORDS = 3
 SEED = 42
@@ -55,7 +55,7 @@ def with_fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
                 yield pa.RecordBatch.from_arrays([batch.column("i"), out], names=["i", _FP])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(run, f"i {kind}, {_FP} bigint").withColumnRenamed("i", id_col)
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), f"i {kind}, {_FP} bigint").withColumnRenamed("i", id_col)
 
 
 def hamming(a: Column, b: Column) -> Column:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, tidy
 
 RESOLUTIONS = (1, 4, 16)
 #: Queries that are sent to the workers at a time.
@@ -127,7 +127,7 @@ def top_k(vectors: DataFrame, is_query: Column, id_col: str = "vec_id", vector_c
             q, at = np.nonzero(np.isfinite(search.score))
             yield pa.RecordBatch.from_arrays([pa.array(search.ids[q]), pa.array(search.best[q, at]), pa.array(search.score[q, at].astype(np.int64))], names=["query_id", "vec_id", "score"])
 
-        found = rows.select("i", "x").mapInArrow(run, "query_id long, vec_id long, score long")
+        found = rows.select("i", "x").mapInArrow(tidy(run), "query_id long, vec_id long, score long")
         parts.append(cut(_first(found, k), f"block-{b}") if blocks > 1 else _first(found, k))
     if not parts:
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
