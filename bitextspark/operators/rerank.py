@@ -71,16 +71,17 @@ def kbmira(nbest: DataFrame, c: float = 0.01, epochs: int = 20, decay: float = 0
     scale = np.where(scale > 0, scale, 1.0)
     w, total, visited = np.zeros(size), np.zeros(size), 0
 
-    for _ in range(epochs):
-        start = w.copy()
-
-        def run(frame: pd.DataFrame, start=start) -> pd.DataFrame:
+    def epoch(start: np.ndarray):
+        def run(frame: pd.DataFrame) -> pd.DataFrame:
             frame = frame.sort_values("sent_id")
             sentences = [(np.stack([np.asarray(x, dtype=float) for x in f]) / scale, np.stack([np.asarray(x, dtype=float) for x in s])) for f, s in zip(frame["f"], frame["s"], strict=True)]
             added, last, n, _ = mira_epoch(sentences, start.copy(), c, decay, np.zeros(10))
             return pd.DataFrame({"total": [added.tolist()], "last": [last.tolist()], "n": [n]})
 
-        made = held.groupBy("shard").applyInPandas(run, "total array<double>, last array<double>, n long").collect()  # a row a shard
+        return run
+
+    for _ in range(epochs):
+        made = held.groupBy("shard").applyInPandas(epoch(w), "total array<double>, last array<double>, n long").collect()  # a row a shard
         if not made:
             break
         w = np.mean([r["last"] for r in made], axis=0)

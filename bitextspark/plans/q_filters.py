@@ -98,7 +98,7 @@ def dedup_modes(spark, d):
     return out.select("mode", "rejected")
 
 
-@query("langid_confusion", rf"""{SENTS}, split AS (SELECT doc_id || ':' || pos AS id, lang, lower(text) AS t, substr(md5(CAST(doc_id AS VARCHAR)), 1, 1) < 'c' AS train FROM s WHERE len(toks) BETWEEN 5 AND 40),
+@query("langid_confusion", rf"""{SENTS}, split AS (SELECT doc_id || ':' || pos AS id, lang, lower(text) AS t, substr(md5(CAST(doc_id AS VARCHAR)), 1, 1) < 'c' AS train FROM s WHERE len(toks) >= 5),
 g AS (SELECT id, lang, train, unnest(list_concat(list_transform(range(1, length(t) + 3), lambda i: substr(' ' || t || ' ', i, 1)), list_transform(range(1, length(t) + 2), lambda i: substr(' ' || t || ' ', i, 2)), list_transform(range(1, length(t) + 1), lambda i: substr(' ' || t || ' ', i, 3)))) AS g FROM split),
 c AS (SELECT lang, g, count(*) AS c FROM g WHERE train GROUP BY ALL), v AS (SELECT count(DISTINCT g) AS v FROM c), t AS (SELECT lang, sum(c) AS t FROM c GROUP BY lang),
 known AS (SELECT DISTINCT g FROM c),
@@ -107,7 +107,7 @@ s2 AS (SELECT test.id, t.lang AS lang_pred, sum(n * ln((coalesce(c.c, 0) + 0.5)
 best AS (SELECT id, arg_max(lang_pred, s) AS lang_pred FROM s2 GROUP BY id)
 SELECT split.lang, best.lang_pred, count(*) AS n FROM split JOIN best USING (id) GROUP BY ALL""")
 def langid_confusion(spark, d):
-    s = sents(spark, d, "true").filter(F.size("toks").between(5, 40)).select(F.concat_ws(":", "doc_id", "pos").alias("id"), "lang", "text", (F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1) < "c").alias("train"))
+    s = sents(spark, d, "true").filter(F.size("toks") >= 5).select(F.concat_ws(":", "doc_id", "pos").alias("id"), "lang", "text", (F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1) < "c").alias("train"))
     model = classify.train_langid(s.filter("train"))
     test = s.filter("NOT train")
     return test.select("id", "lang").join(classify.predict_lang(test.select("id", "text"), "id", model), "id").groupBy("lang", "lang_pred").agg(F.count("*").alias("n"))

@@ -144,10 +144,10 @@ def _ce_parts(spark, d):
     return pool, {"in_src": fit(inside, "src_toks", 2), "out_src": fit(out, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(out, "tgt_toks", 3)}
 
 
-@query("bilingual_ce_scores", f"{_CE_BASE} SELECT pair_id, round(ce, 4) AS ce FROM ce")
+@query("bilingual_ce_scores", f"{_CE_BASE} SELECT pair_id, ce FROM ce")
 def bilingual_ce_scores(spark, d):
     pool, models = _ce_parts(spark, d)
-    return selection.bilingual_ce(pool, models).select("pair_id", F.round(F.round("ce", 6), 4).alias("ce"))
+    return selection.bilingual_ce(pool, models).select("pair_id", F.round("ce", 6).alias("ce"))
 
 
 @query("select_bilingual_ce", f"{_CE_BASE} SELECT pair_id FROM ce ORDER BY ce, pair_id LIMIT (SELECT CAST(ceil(0.06 * count(*)) AS BIGINT) FROM ce)")
@@ -226,11 +226,11 @@ def random_selection(spark, d):
     return selection.hash_order(bitext.cipher_bitext(spark, d).select("pair_id"), 300, "random")
 
 
-_SHORT = f"{sql.cipher()}, p AS (SELECT * FROM cb WHERE len(tgt_toks) BETWEEN 3 AND 12 AND split <> 'spare'), prod AS (SELECT pair_id, j, e, unnest(list_concat(['<null>'], src_toks)) AS f FROM (SELECT pair_id, src_toks, unnest(tgt_toks) AS e, generate_subscripts(tgt_toks, 1) AS j FROM p))"
+_PAIRS = f"{sql.cipher()}, p AS (SELECT * FROM cb), prod AS (SELECT pair_id, j, e, unnest(list_concat(['<null>'], src_toks)) AS f FROM (SELECT pair_id, src_toks, unnest(tgt_toks) AS e, generate_subscripts(tgt_toks, 1) AS j FROM p))"
 
 
 def _em_sql(rounds: int) -> str:
-    out = [_SHORT]
+    out = [_PAIRS]
     for r in range(1, rounds + 1):
         x = "1.0" if r == 1 else "l.p"
         join = "" if r == 1 else f"JOIN l{r - 1} l USING (f, e)"
@@ -238,31 +238,31 @@ def _em_sql(rounds: int) -> str:
     return "WITH " + ", ".join(out)
 
 
-def _short(spark, d):
-    return bitext.cipher_bitext(spark, d).filter("size(tgt_toks) BETWEEN 3 AND 12 AND split <> 'spare'")
+def _pairs(spark, d):
+    return bitext.cipher_bitext(spark, d)
 
 
 @query("align_em3", f"{_em_sql(3)} SELECT f, e, round(p, 5) AS p FROM l3 WHERE p > 0.0500001")
 def align_em3(spark, d):
-    return lexical.fit_alignment(_short(spark, d), 3).filter("p > 0.0500001").select("f", "e", F.round("p", 5).alias("p"))
+    return lexical.fit_alignment(_pairs(spark, d), 3).filter("p > 0.0500001").select("f", "e", F.round("p", 5).alias("p"))
 
 
 @query("align_scores", f"{_em_sql(3)} SELECT pair_id, round(avg(ln(greatest(q, 1e-9))), 5) AS score FROM (SELECT pair_id, j, avg(coalesce(p, 0)) AS q FROM prod LEFT JOIN l3 USING (f, e) GROUP BY ALL) GROUP BY pair_id")
 def align_scores(spark, d):
-    pairs = _short(spark, d)
+    pairs = _pairs(spark, d)
     return lexical.alignment_score(pairs, lexical.fit_alignment(pairs, 3)).select("pair_id", F.round("score", 5).alias("score"))
 
 
 @query("align_viterbi", f"{_em_sql(3)} SELECT f, count(*) AS links FROM (SELECT pair_id, j, min({{'q': round(-p, 9), 'f': f}}).f AS f FROM prod JOIN l3 USING (f, e) GROUP BY pair_id, j) GROUP BY f HAVING count(*) >= 20")
 def align_viterbi(spark, d):
-    pairs = _short(spark, d)
+    pairs = _pairs(spark, d)
     return lexical.viterbi_links(pairs, lexical.fit_alignment(pairs, 3)).groupBy("f").agg(F.count("*").alias("links")).filter("links >= 20")
 
 
 @query("align_diagonal")
 def align_diagonal(spark, d):
     """Symmetrised scores under the diagonal prior: true pairs against the same pairs with another's target."""
-    pairs = _short(spark, d).select("pair_id", "src_toks", "tgt_toks")
+    pairs = _pairs(spark, d).select("pair_id", "src_toks", "tgt_toks")
     fwd = lexical.fit_alignment(pairs, 3, prior="diagonal")
     back = lexical.fit_alignment(pairs.select("pair_id", F.col("tgt_toks").alias("src_toks"), F.col("src_toks").alias("tgt_toks")), 3, prior="diagonal")
     wrong = classify.make_negatives(pairs, ("mispaired",)).drop("kind")
@@ -276,7 +276,7 @@ def align_diagonal(spark, d):
 @query("acceptability_auc")
 def acceptability_auc(spark, d):
     """Both poolings of the pair classifier on held-out pairs, true against damaged."""
-    pairs = _short(spark, d).select("pair_id", "src_toks", "tgt_toks", "split")
+    pairs = _pairs(spark, d).select("pair_id", "src_toks", "tgt_toks", "split")
     train, test = pairs.filter("split = 'train'"), pairs.filter("split = 'dev_a'")
     lex = lexical.fit_alignment(train, 3)
     out = None
@@ -346,7 +346,7 @@ def truecase_apply(spark, d):
 
 @query("langid_hashed_lr")
 def langid_hashed_lr(spark, d):
-    s = sents(spark, d, "true").filter(F.size("toks").between(5, 40)).withColumn("train", F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1) < "c")
+    s = sents(spark, d, "true").filter(F.size("toks") >= 5).withColumn("train", F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1) < "c")
     model = classify.hashed_lr(s.filter("train").select("text", "lang"))
     test = s.filter("NOT train").select("text", "lang").withColumn("__g", classify.char_ngrams(F.col("text")))
     return model.transform(test).groupBy((F.col("__y") == F.col("prediction")).alias("right")).agg(F.count("*").alias("n"))
