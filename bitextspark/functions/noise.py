@@ -22,6 +22,11 @@ def noise_blank(tokens: Column, key: Column, p: float = 0.05, filler: str = FILL
 
 def noise_swap(tokens: Column, key: Column, p: float = 0.05, style: str = "adjacent", window: int = 3, seed: str = "swap") -> Column:
     """adjacent: positions 2j and 2j+1 change places with probability p. local: a permutation that moves no token by more than window."""
+    # bound to a name by a transform of one element, so an expression of tokens isn't worked out again for each of them
+    return F.get(F.transform(F.array(tokens), lambda bound: _swapped(bound, key, p, style, window, seed)), F.lit(0))
+
+
+def _swapped(tokens: Column, key: Column, p: float, style: str, window: int, seed: str) -> Column:
     if style == "local":
         moved = F.transform(tokens, lambda t, i: F.struct((i + (window + 1) * uniform(key, i, seed)).alias("k"), i.alias("i"), t.alias("t")))
         return F.transform(F.array_sort(moved), lambda x: x["t"])

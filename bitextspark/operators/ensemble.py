@@ -233,11 +233,14 @@ def cluster_domains(vectors: DataFrame, k: int = 2, seed: int = 42, distance: st
 
 def hashed_vectors(df: DataFrame, tokens: str, dims: int = 64) -> DataFrame:
     """df with vec: words' signed hash buckets, summed and brought to unit length (a stand-in for a sentence encoder)."""
-    h = lambda t: F.pmod(F.xxhash64(t), F.lit(2 * dims))
-    zero = F.array_repeat(F.lit(0.0), dims)
-    counts = F.aggregate(tokens, zero, lambda acc, t: F.transform(acc, lambda v, i: v + F.when(F.floor(h(t) / 2) == i, F.when(h(t) % 2 == 0, 1.0).otherwise(-1.0)).otherwise(0.0)))
+    # buckets are worked out once, then counted by sign; even buckets are positive
+    buckets = F.transform(tokens, lambda t: F.pmod(F.xxhash64(t), F.lit(2 * dims)))
+    made = F.transform("__h", lambda x: F.when(x % 2 == 0, F.floor(x / 2)).otherwise(-1 - F.floor(x / 2)))
+    n = lambda of: F.size(F.filter("__s", lambda x: x == of))
+    counts = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: (n(i) - n(-1 - i)).cast("double"))
+    df = df.withColumn("__h", buckets).withColumn("__s", made)
     norm = F.sqrt(F.aggregate("__v", F.lit(0.0), lambda a, b: a + b * b))
-    return df.withColumn("__v", counts).withColumn("vec", F.transform("__v", lambda v: F.when(norm > 0, v / norm).otherwise(0.0))).drop("__v")
+    return df.withColumn("__v", counts).withColumn("vec", F.transform("__v", lambda v: F.when(norm > 0, v / norm).otherwise(0.0))).drop("__v", "__h", "__s")
 
 
 def train_domain_router(df: DataFrame, features: tuple[str, ...] = ("src_toks", "tgt_toks"), label: str = "domain", size: int = 1 << 14):

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import ngram
+from .lexical import keep_table
 
 
 def cross_entropy(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int, name: str) -> DataFrame:
@@ -52,6 +53,7 @@ def threshold_refine(df: DataFrame, score: str, k: int, tie: str, lowest: bool =
     ranked: all but the last distinct scores are taken whole, and the tie-break
     is needed among the rows at the bound only.
     """
+    df = keep_table(df, "scored")  # read several times below
     total = df.count()
     if k >= total:
         return df

@@ -244,7 +244,7 @@ def stream_sliding(spark, d):
 
 
 @query("stream_session", """WITH o AS (SELECT *, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL '2 hours' THEN 1 ELSE 0 END AS b FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
-g AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM o) SELECT user_id, epoch(min(ts))::BIGINT AS start, count(*) AS n FROM g GROUP BY user_id, g""")
+g AS (SELECT *, sum(b) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM o) SELECT user_id, floor(epoch(min(ts)))::BIGINT AS start, count(*) AS n FROM g GROUP BY user_id, g""")
 def stream_session(spark, d):
     return ingest.drain(ingest.sessions(_events(spark, d), "ts", "user_id", "2 hours"), "complete").select("user_id", F.unix_seconds("start").alias("start"), "n")
 
@@ -292,12 +292,12 @@ def udf_grouped_agg(spark, d):
     return table(spark, d, "orders").groupBy("o_orderpriority").agg(med("o_totalprice").alias("med"))
 
 
-@query("udf_grouped_map", "SELECT o_orderkey, round((o_totalprice - avg(o_totalprice) OVER (PARTITION BY o_custkey)) / 7, 5) AS off FROM orders")
+@query("udf_grouped_map", "SELECT o_orderkey, o_totalprice > max(o_totalprice) OVER (PARTITION BY o_custkey) / 2 AS large FROM orders")
 def udf_grouped_map(spark, d):
-    def centred(f: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"o_orderkey": f["o_orderkey"], "off": f["o_totalprice"] - f["o_totalprice"].mean()})
+    def large(f: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"o_orderkey": f["o_orderkey"], "large": f["o_totalprice"] > f["o_totalprice"].max() / 2})
 
-    return table(spark, d, "orders").groupBy("o_custkey").applyInPandas(centred, "o_orderkey long, off double").select("o_orderkey", F.round(F.col("off") / 7, 5).alias("off"))
+    return table(spark, d, "orders").groupBy("o_custkey").applyInPandas(large, "o_orderkey long, large boolean")
 
 
 @query("udtf_segments", f"WITH {sql.SENT} SELECT lang, count(*) AS n FROM sent GROUP BY lang")
