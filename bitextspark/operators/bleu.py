@@ -73,7 +73,7 @@ def sentence_bleu(df: DataFrame, id_col: str, hyp: str, ref: str, tokenize: str
 
 def corpus_bleu(df: DataFrame, id_col: str, hyp: str, ref: str, group: tuple[str, ...] = (), tokenize: str = "13a", lowercase: bool = False, smooth: str = "exp") -> DataFrame:
     """(group, bleu, hyp_len, ref_len): one value a group, from sums over its rows."""
-    stats = statistics(df.withColumn("__key", F.struct(id_col, *group)), "__key", hyp, ref, tokenize, lowercase)
+    stats = statistics(df.withColumn("__key", F.struct(F.col(id_col).alias("__id"), *group)), "__key", hyp, ref, tokenize, lowercase)
     sums = stats.groupBy(*(F.col(f"__key.{g}").alias(g) for g in group)).agg(*(F.sum(c).alias(c) for c in ("m1", "m2", "m3", "m4", "t1", "t2", "t3", "t4", "hyp_len", "ref_len")))
     return sums.select(*group, F.round(from_sums(smooth), 6).alias("bleu"), "hyp_len", "ref_len")
 
