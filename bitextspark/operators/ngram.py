@@ -100,21 +100,22 @@ def floor_probability(counts: DataFrame, n: int, by: tuple[str, ...] = ()) -> Da
 def scores(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int, name: str = "score") -> DataFrame:
     """(id, name): mean ln P over tokens, the end mark included, under fixed interpolation with each order looked up by itself.
 
-    Each order is one join on the n-gram, so unseen contexts back off by
-    themselves; the sums meet by (id, i) and again by id.
+    Unseen contexts back off by themselves, as each order is looked up alone.
     """
     weights = FIXED[n]
     grams = explode_ngrams(df, tokens, n, (id_col,))
     total = Window.partitionBy("n", "ctx")
     c = counts.withColumn("q", F.col("cnt") / F.sum("cnt").over(total))
     vocab = counts.filter("n = 1").agg(F.count("*").alias("v"))
-    out, p = grams.crossJoin(F.broadcast(vocab)), F.lit(weights[-1]) / F.col("v")  # one row is broadcast
+    # every distinct n-gram is looked up once in each order; the corpus then meets one table
+    kinds, p = grams.select("ctx", "tok").distinct().crossJoin(F.broadcast(vocab)), F.lit(weights[-1]) / F.col("v")  # one row is broadcast
     for order in range(n, 0, -1):
         low = c.filter(F.col("n") == order).select(F.col("ctx").alias("__c"), F.col("tok").alias("__t"), F.col("q").alias(f"q{order}"))
         tail = F.lit("") if order == 1 else F.array_join(F.slice(F.split("ctx", " "), F.lit(n - order + 1), F.lit(order - 1)), " ")
-        out = out.withColumn("__k", tail).join(low, (F.col("__k") == F.col("__c")) & (F.col("tok") == F.col("__t")), "left").drop("__c", "__t", "__k")
+        kinds = kinds.withColumn("__k", tail).join(low, (F.col("__k") == F.col("__c")) & (F.col("tok") == F.col("__t")), "left").drop("__c", "__t", "__k")
         p = p + weights[n - order] * F.coalesce(F.col(f"q{order}"), F.lit(0.0))
-    return out.groupBy(id_col).agg(F.avg(F.log(p)).alias(name))
+    table = kinds.select("ctx", "tok", F.log(p).alias("__lp"))
+    return grams.join(table, ["ctx", "tok"]).groupBy(id_col).agg(F.avg("__lp").alias(name))
 
 
 def perplexity(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int) -> DataFrame:

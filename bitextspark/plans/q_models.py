@@ -139,8 +139,9 @@ def _ce_parts(spark, d):
     chars = lambda p: p.withColumn("src_toks", tokenize(F.array_join("src_toks", ""), "char"))
     pool = chars(bitext.cipher_bitext(spark, d)).select("pair_id", "src_toks", "tgt_toks", "tgt")
     inside = chars(bitext.cipher_pairs(benchmark_sentences(spark, d).select("text", F.lit("b").alias("genre"))))
+    pool = lexical.keep_table(pool, "pool")
     out = pool.filter(uniform(F.col("pair_id"), F.lit("out")) < 0.1)
-    fit = ngram.fit_counts
+    fit = lambda df, toks, n: lexical.keep_table(ngram.fit_counts(df, toks, n), "counts")
     return pool, {"in_src": fit(inside, "src_toks", 2), "out_src": fit(out, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(out, "tgt_toks", 3)}
 
 
