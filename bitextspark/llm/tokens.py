@@ -98,6 +98,7 @@ class Memo:
         self.direct = len(steps) == 2 and bool(by_bytes and letters) and kinds == ["NFC", "Replace", "Lowercase"]
         self.table = dict(enumerate(byte_letters()))
         self.marks = {p: self._ids(p) for p in ".,;:!?"} | {"": []}
+        self.mark_bytes = {p.encode(): ids for p, ids in self.marks.items() if p}
 
     def _ids(self, text: str) -> list[int]:
         return self.library.encode(text, add_special_tokens=False).ids
@@ -115,15 +116,24 @@ class Memo:
             self.old, self.young = self.young, {}
         young, old, make, table = self.young, self.old, self.make, self.table
         together, apart = [], []
-        tokenize, plain = self.library.model.tokenize, PLAIN.match
+        tokenize, plain, direct, mark_of = self.library.model.tokenize, PLAIN.match, self.direct, self.mark_bytes.get
         for w in set(words).difference(young):
             if w in old:
                 young[w] = old[w]
                 continue
+            if direct:
+                # ASCII letters need no pattern: bytes.isalpha() knows no others
+                if w.isalpha():
+                    young[w] = make([t.id for t in tokenize(w.lower().decode())])
+                    continue
+                ends = mark_of(w[-1:])
+                if ends is not None and w[:-1].isalpha():
+                    young[w] = make([t.id for t in tokenize(w[:-1].lower().decode())] + ends)
+                    continue
             text = w.decode("utf-8", "replace")
-            if self.direct and (m := plain(text)):
-                letters = m[1] if m[1].isascii() else m[1].lower().encode().decode("latin-1").translate(table)
-                young[w] = make([t.id for t in tokenize(letters.lower() if m[1].isascii() else letters)] + self.marks[m[2]])
+            if direct and (m := plain(text)):
+                letters = m[1].lower().encode().decode("latin-1").translate(table)
+                young[w] = make([t.id for t in tokenize(letters)] + self.marks[m[2]])
             elif self.mark is None or MARK in text or "<" in text:
                 young[w] = make(self._ids(text))
             else:
