@@ -176,4 +176,4 @@ def _mapped(docs: DataFrame, id_col: str, text_col: str, path: str | None, mask_
                 yield pa.RecordBatch.from_arrays([batch.column("i"), *out], names=["i", *(c[0] for c in columns)])
 
     schema = ", ".join([f"i {kind}", *(f"{c[0]} {c[1]}" for c in columns)])
-    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), schema).withColumnRenamed("i", id_col)
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run, cycles=False), schema).withColumnRenamed("i", id_col)

@@ -63,13 +63,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def tidy(run):
-    """run for mapInArrow, with a worker's free memory given back when a task ends: workers are reused, and what a task has freed would stay with them."""
+def tidy(run, cycles: bool = True):
+    """run for mapInArrow, with a worker's free memory given back when a task ends: workers are reused, and what a task has freed would stay with them.
+
+    cycles=False is for a run whose rows leave no reference cycles behind: the
+    collector, which would walk its memos again and again, rests until the task ends.
+    """
 
     def tidied(batches):
+        if not cycles:
+            gc.disable()
         try:
             yield from run(batches)
         finally:
+            gc.enable()
             gc.collect()
             pa.default_memory_pool().release_unused()
             try:
