@@ -24,8 +24,9 @@ def default_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+@lru_cache(2)
 def load(path: str) -> Tokenizer:
-    """The tokenizer of a file, without truncation and padding."""
+    """The tokenizer of a file, without truncation and padding; read once a worker, not once a task."""
     found = Tokenizer.from_file(path)
     found.no_truncation()
     found.no_padding()
@@ -37,6 +38,7 @@ def _spec(path: str) -> dict:
         return json.load(f)
 
 
+@lru_cache(2)
 def splits_at_space(path: str) -> bool:
     """Whether no token of this tokenizer can reach over one of SEPARATORS.
 
