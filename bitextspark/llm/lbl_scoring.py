@@ -1,17 +1,25 @@
 """Language-model scoring with a log-bilinear model trained by noise-contrastive estimation.
 
-Token counts cover all training documents. The most frequent tokens, the end
-mark and one class for all others are the model's vocabulary: the vector of
-the next token is predicted as a sum of linear maps of the vectors of the
-tokens before it, and its probability is normalised over the vocabulary by
-matrix products. A token of the class for all others has the class's
-probability times its smoothed share of the class, so probabilities over all
+Token counts cover all training documents, and so does the neural model: its
+vocabulary is every token of LEAST_COUNT training occurrences, so it grows
+with the corpus (to HOT_WORDS at most, what a worker can hold), and each
+training document takes part in estimation. The vector of the next token is
+predicted as a sum of linear maps of the vectors of the tokens before it. Its
+probability has two factors: the SHORT most frequent words are classes of
+their own and the others lie in classes of MEMBERS neighbours in rank; first
+the class is predicted, then the word within it, each normalised by matrix
+products. Tokens outside the vocabulary share one class; one of them has the
+class's probability times its smoothed share of it, so probabilities over all
 tokens, unseen ones as one, sum to one.
 
+Estimation goes in ROUNDS rounds. In each, LEARNERS tasks at most start from
+the same parameters, read that round's part of the documents to its end and
+return the rows that they changed; rows are averaged by how often each was
+drawn and written. Small corpora are read several times (visits), large ones
+once. Averages depend on how the input is split into tasks.
+
 Frequent tokens' counts are sent to the tasks (HOT_WORDS at most). The rest,
-a small part of the text, meets its counts in a join. The neural model is
-fitted on a bounded sample of the training documents (FIT_DOCS, FIT_WORDS
-words of each); counts are not.
+a small part of the text, meets its counts in a join.
 """
 
 from __future__ import annotations
@@ -22,18 +30,22 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import as_bytes, cut, slices, tidy
 
-VOCABULARY = 1024
 HOT_WORDS = 120_000
-FIT_DOCS = 1200
-FIT_WORDS = 300
+#: A token with as many training occurrences is a word of the neural model.
+LEAST_COUNT = 30
+SHORT, MEMBERS = 256, 256
+ROUNDS, LEARNERS = 3, 16
+#: Tokens that a small corpus is read again for, up to MOST_VISITS times in all.
+VISITED_TOKENS, MOST_VISITS = 3_000_000, 3
 DIMENSIONS = 48
 CONTEXT = 2
-NOISE = 64
+NOISE, CLASS_NOISE = 64, 2
 END = b""  # no word is empty
 LN10 = math.log(10)
 
@@ -42,23 +54,58 @@ def tokens(text: bytes | None) -> list[bytes]:
     return [*(text or b"").lower().split(), END]
 
 
+def class_of(words: np.ndarray, vocabulary: int) -> np.ndarray:
+    """Classes of word numbers; vocabulary is the number that stands for all others, in the last class."""
+    deep = np.minimum(words, vocabulary - 1) - SHORT
+    out = np.where(words < SHORT, words, SHORT + deep // MEMBERS)
+    return np.where(words >= vocabulary, classes_of(vocabulary) - 1, out)
+
+
+def classes_of(vocabulary: int) -> int:
+    return min(vocabulary, SHORT) + -(-max(0, vocabulary - SHORT) // MEMBERS) + 1
+
+
+def log_sum(s: np.ndarray) -> np.ndarray:
+    top = s.max(axis=1)
+    return top + np.log(np.exp(s - top[:, None]).sum(axis=1))
+
+
 @dataclass
 class LogBilinear:
-    """Class c of the vocabulary has row c everywhere; the row behind the last stands for a text's start, as context only."""
+    """Row w of context is word w; the row behind the words stands for all others, the last one for a text's start. target and bias have a row per class, word and word_bias one per word."""
 
-    context: np.ndarray  # (CONTEXT, classes + 1, d): mapped vectors of the tokens before, the nearest first
+    context: np.ndarray  # (CONTEXT, words + 2, d): mapped vectors of the tokens before, the nearest first
     target: np.ndarray  # (classes, d)
     bias: np.ndarray  # (classes,)
+    word: np.ndarray  # (words, d)
+    word_bias: np.ndarray  # (words,)
 
     def hidden(self, before: np.ndarray) -> np.ndarray:
         return sum(self.context[j][before[:, j]] for j in range(CONTEXT))
 
     def log_partition(self, before: np.ndarray) -> np.ndarray:
+        """Logarithms of the classes' sums."""
         out = np.empty(len(before), dtype=np.float32)
         for a in range(0, len(before), 2048):
-            s = self.hidden(before[a : a + 2048]) @ self.target.T + self.bias
-            top = s.max(axis=1)
-            out[a : a + 2048] = top + np.log(np.exp(s - top[:, None]).sum(axis=1))
+            out[a : a + 2048] = log_sum(self.hidden(before[a : a + 2048]) @ self.target.T + self.bias)
+        return out
+
+    def log_probability(self, words: np.ndarray, before: np.ndarray) -> np.ndarray:
+        """Of every word after its context, that of the class for words outside the vocabulary."""
+        v, n = len(self.word), len(self.word) + 2
+        key, back = np.unique(before @ (n ** np.arange(CONTEXT, dtype=np.int64)), return_inverse=True)
+        once = np.stack([key // n**j % n for j in range(CONTEXT)], axis=1)
+        classes, hidden = class_of(words, v), self.hidden(once)
+        out = (np.einsum("td,td->t", hidden[back], self.target[classes]) + self.bias[classes] - self.log_partition(once)[back]).astype(np.float64)
+        deep = np.flatnonzero((words >= SHORT) & (words < v))
+        deep = deep[np.argsort(classes[deep], kind="stable")]
+        for part in np.split(deep, np.flatnonzero(np.diff(classes[deep])) + 1) if len(deep) else ():
+            lo = SHORT + (classes[part[0]] - SHORT) * MEMBERS
+            hi = min(lo + MEMBERS, v)
+            for a in range(0, len(part), 4096):
+                i = part[a : a + 4096]
+                s = hidden[back[i]] @ self.word[lo:hi].T + self.word_bias[lo:hi]
+                out[i] += s[np.arange(len(i)), words[i] - lo] - log_sum(s)
         return out
 
 
@@ -68,50 +115,167 @@ def contexts(classes: np.ndarray, first: np.ndarray, start: int) -> np.ndarray:
     return np.stack([np.where(at - j >= first, classes[np.maximum(at - j, 0)], start) for j in range(1, CONTEXT + 1)], axis=1)
 
 
-def train(texts: list[np.ndarray], unigram: np.ndarray, rounds: int = 3, seed: int = 1) -> LogBilinear:
-    """Noise-contrastive estimation over texts of class numbers; unigram (classes) is the noise and the starting point."""
-    rng = np.random.default_rng(seed)
-    n, d = len(unigram), DIMENSIONS
-    noise = np.maximum(unigram, 1e-9) / np.maximum(unigram, 1e-9).sum()
-    log_noise, ladder = np.log(noise), np.cumsum(noise)
-    vectors, maps = rng.normal(0, 0.1, (n + 1, d)), np.stack([np.eye(d) * 0.5 for _ in range(CONTEXT)])
-    target, bias = rng.normal(0, 0.1, (n, d)), log_noise.copy()
-    y = np.concatenate(texts) if texts else np.zeros(0, dtype=np.int64)
-    sizes = [len(t) for t in texts]
-    before = contexts(y, np.repeat(np.cumsum([0, *sizes[:-1]]), sizes) if texts else y, n)
-    params = [vectors, maps, target, bias]
-    squares = [np.full_like(p, 1e-2) for p in params]
-
-    def step(i: int, gradient: np.ndarray, rows: np.ndarray | None = None):
-        if rows is None:
-            squares[i] += gradient * gradient
-            params[i] -= 0.05 * gradient / np.sqrt(squares[i])
-            return
-        at, back = np.unique(rows, return_inverse=True)
-        summed = np.zeros((len(at), *gradient.shape[1:]))
-        np.add.at(summed, back, gradient)
-        squares[i][at] += summed * summed
-        params[i][at] -= 0.05 * summed / np.sqrt(squares[i][at])
-
-    for _ in range(rounds):
+class Learner:
+    """Parameters in four tables (word vectors, maps, classes, words; biases are last columns) and the steps that change them.
+
+    unigram has the words' weights and, last, that of all others; it is the noise and the starting point.
+    """
+
+    def __init__(self, unigram: np.ndarray, seed: int = 1):
+        rng, d = np.random.default_rng(seed), DIMENSIONS
+        self.noise = np.maximum(unigram, 1e-9) / np.maximum(unigram, 1e-9).sum()
+        v = self.vocabulary = len(unigram) - 1
+        self.classes = class_of(np.arange(v + 1), v)
+        mass = np.bincount(self.classes, self.noise)
+        self.log_noise, self.ladder = np.log(mass), np.cumsum(mass)
+        self.ladder_words = np.concatenate([[0.0], np.cumsum(self.noise)])
+        self.log_share = np.log(self.noise / mass[self.classes]).astype(np.float32)
+        draw = lambda n: rng.normal(0, 0.1, (n, d)).astype(np.float32)
+        vectors, maps = draw(v + 2), np.concatenate([np.eye(d, dtype=np.float32) * 0.5 for _ in range(CONTEXT)])
+        self.tables = [vectors, maps, np.column_stack([draw(len(mass)), self.log_noise]).astype(np.float32), np.column_stack([draw(v), self.log_share[:v]]).astype(np.float32)]
+        self.squares = [np.full_like(x, 1e-2) for x in self.tables]
+        self.drawn = [np.zeros(len(x), dtype=np.float32) for x in self.tables]
+
+    def _step(self, i: int, rows: np.ndarray, gradient: np.ndarray) -> None:
+        order = np.argsort(rows, kind="stable")
+        rows = rows[order]
+        starts = np.flatnonzero(np.concatenate([[True], rows[1:] != rows[:-1]]))
+        at, summed = rows[starts], np.add.reduceat(gradient[order], starts, axis=0)
+        squares = self.squares[i][at] + summed * summed
+        self.squares[i][at] = squares
+        self.tables[i][at] -= np.float32(0.05) * summed / np.sqrt(squares)
+        self.drawn[i][at] += np.diff(np.append(starts, len(rows)))
+
+    def learn(self, y: np.ndarray, before: np.ndarray, rng: np.random.Generator) -> None:
+        """One visit of words y after their contexts, in random order."""
+        vectors, maps, classes, words = self.tables
+        d, v = DIMENSIONS, self.vocabulary
+        map_rows = np.arange(CONTEXT * d)
+        log_noise, share = self.log_noise.astype(np.float32) + np.float32(math.log(NOISE)), np.float32(math.log(CLASS_NOISE))
+        sure = lambda x: 1 / (1 + np.exp(np.clip(-x, -30, 30)))
         order = rng.permutation(len(y))
         for a in range(0, len(order), 1024):
             part = order[a : a + 1024]
             own, near = y[part], before[part]
-            hidden = sum(vectors[near[:, j]] @ maps[j] for j in range(CONTEXT))
-            drawn = np.minimum(np.searchsorted(ladder, rng.random(NOISE)), n - 1)
+            own_class = self.classes[own]
+            seen = [vectors[near[:, j]] for j in range(CONTEXT)]
+            hidden = sum(seen[j] @ maps[j * d : j * d + d] for j in range(CONTEXT))
+            drawn = np.minimum(np.searchsorted(self.ladder, rng.random(NOISE)), len(self.ladder) - 1)
+            t_own, t_drawn = classes[own_class], classes[drawn]
             # how far each is from being taken for noise; log(NOISE * noise) is what noise would score
-            real = (hidden * target[own]).sum(axis=1) + bias[own] - log_noise[own] - math.log(NOISE)
-            false = hidden @ target[drawn].T + bias[drawn] - log_noise[drawn] - math.log(NOISE)
-            g_real, g_false = -1 / (1 + np.exp(np.clip(real, -30, 30))), 1 / (1 + np.exp(-np.clip(false, -30, 30)))
-            g_hidden = g_real[:, None] * target[own] + g_false @ target[drawn]
-            g_maps = np.stack([vectors[near[:, j]].T @ g_hidden for j in range(CONTEXT)])
-            g_vectors = np.concatenate([g_hidden @ maps[j].T for j in range(CONTEXT)])
-            step(2, np.concatenate([g_real[:, None] * hidden, g_false.T @ hidden]), np.concatenate([own, drawn]))
-            step(3, np.concatenate([g_real, g_false.sum(axis=0)]), np.concatenate([own, drawn]))
-            step(0, g_vectors, near.T.ravel())
-            step(1, g_maps / len(part))
-    return LogBilinear(np.stack([vectors @ maps[j] for j in range(CONTEXT)]).astype(np.float32), target.astype(np.float32), bias.astype(np.float32))
+            g_real = sure((hidden * t_own[:, :d]).sum(axis=1) + t_own[:, d] - log_noise[own_class]) - 1
+            g_false = sure(hidden @ t_drawn[:, :d].T + t_drawn[:, d] - log_noise[drawn])
+            g_hidden = g_real[:, None] * t_own[:, :d] + g_false @ t_drawn[:, :d]
+            c_rows = np.concatenate([own_class, drawn])
+            c_grad = np.concatenate([np.column_stack([g_real[:, None] * hidden, g_real]), np.column_stack([g_false.T @ hidden, g_false.sum(axis=0)])])
+            deep = np.flatnonzero((own >= SHORT) & (own < v))
+            if len(deep):
+                w, h = own[deep], hidden[deep]
+                lo = SHORT + (w - SHORT) // MEMBERS * MEMBERS
+                hi = np.minimum(lo + MEMBERS, v)
+                low, high = self.ladder_words[lo][:, None], self.ladder_words[hi][:, None]
+                other = np.searchsorted(self.ladder_words, low + (high - low) * rng.random((len(w), CLASS_NOISE)), side="right") - 1
+                other = np.clip(other, lo[:, None], hi[:, None] - 1)
+                t_w, t_other = words[w], words[other]
+                real = sure((h * t_w[:, :d]).sum(axis=1) + t_w[:, d] - self.log_share[w] - share) - 1
+                false = sure(np.matmul(t_other[:, :, :d], h[:, :, None])[:, :, 0] + t_other[:, :, d] - self.log_share[other] - share)
+                g_hidden[deep] += real[:, None] * t_w[:, :d] + np.matmul(false[:, None, :], t_other[:, :, :d])[:, 0]
+                g = np.concatenate([real, false.ravel()])
+                self._step(3, np.concatenate([w, other.ravel()]), np.column_stack([np.concatenate([h, np.repeat(h, CLASS_NOISE, axis=0)]) * g[:, None], g]))
+            g_maps = np.concatenate([seen[j].T @ g_hidden for j in range(CONTEXT)]) / np.float32(len(part))
+            g_vectors = np.concatenate([g_hidden @ maps[j * d : j * d + d].T for j in range(CONTEXT)])
+            self._step(2, c_rows, c_grad)
+            self._step(0, near.T.ravel(), g_vectors)
+            self._step(1, map_rows, g_maps)
+
+    def model(self) -> LogBilinear:
+        vectors, maps, classes, words = self.tables
+        d = DIMENSIONS
+        return LogBilinear(np.stack([vectors @ maps[j * d : j * d + d] for j in range(CONTEXT)]), classes[:, :d].copy(), classes[:, d].copy(), words[:, :d].copy(), words[:, d].copy())
+
+
+def train(texts: list[np.ndarray], unigram: np.ndarray, rounds: int = 3, seed: int = 1) -> LogBilinear:
+    """A model of texts of word numbers by one learner; the last number of unigram is that of all words outside the vocabulary."""
+    learner, rng = Learner(unigram, seed), np.random.default_rng(seed)
+    if texts:
+        y, sizes = np.concatenate(texts), [len(t) for t in texts]
+        before = contexts(y, np.repeat(np.cumsum([0, *sizes[:-1]]), sizes), len(unigram))
+        for _ in range(rounds):
+            learner.learn(y, before, rng)
+    return learner.model()
+
+
+#: Table, row, how often drawn, mean square, change of the row as 16-bit floats.
+_CHANGED = "k int, row long, drawn double, square double, x binary"
+
+
+def _rows(kinds, rows, drawn, squares, x) -> pa.RecordBatch:
+    values = pa.array([r.tobytes() for r in x.astype(np.float16)], pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(kinds, pa.int32()), pa.array(rows, pa.int64()), pa.array(drawn, pa.float64()), pa.array(squares, pa.float64()), values], names=["k", "row", "drawn", "square", "x"])
+
+
+def _arrays(batch: pa.RecordBatch) -> tuple[np.ndarray, ...]:
+    """(row, drawn, square, x) of rows of one table."""
+    x = np.frombuffer(b"".join(batch.column("x").to_pylist()), dtype=np.float16).reshape(batch.num_rows, -1)
+    return *(batch.column(c).to_numpy() for c in ("row", "drawn", "square")), x
+
+
+def fit(training: DataFrame, id_col: str, text_col: str, number: dict[bytes, int], unigram: np.ndarray, n_tokens: int) -> LogBilinear:
+    """The model of all rows of training: rounds of learners whose changed rows are averaged."""
+    learner, v = Learner(unigram), len(unigram) - 1
+    visits = max(1, min(MOST_VISITS, -(-VISITED_TOKENS // max(1, n_tokens))))
+    # the documents are dealt into ROUNDS parts; a round reads visits of them, so each document is read visits times
+    deal = F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.lit(7)), F.lit(ROUNDS))
+    for n in range(ROUNDS):
+        wanted = [(n + i) % ROUNDS for i in range(visits)]
+        # bounded by HOT_WORDS
+        sent = training.sparkSession.sparkContext.broadcast((list(number), unigram, learner.tables, [x.mean(axis=1) for x in learner.squares]))
+
+        def run(batches, sent=sent, n=n):
+            words, unigram, tables, squares = sent.value
+            number = {w: i for i, w in enumerate(words)}
+            learner = Learner(unigram)
+            for k, table in enumerate(tables):  # copies: the worker keeps the broadcast for its other tasks
+                learner.tables[k][:], learner.squares[k][:] = table, squares[k][:, None]
+            rng = np.random.default_rng([TaskContext.get().partitionId(), n])
+            for whole in batches:
+                for batch in slices(whole, "t"):
+                    texts = [[number.get(w, v) for w in tokens(t)] for t in as_bytes(batch.column("t"))]
+                    sizes = np.array([len(t) for t in texts])
+                    y = np.fromiter((w for t in texts for w in t), dtype=np.int64, count=int(sizes.sum()))
+                    learner.learn(y, contexts(y, np.repeat(np.cumsum(np.append(0, sizes[:-1])), sizes), v + 1), rng)
+            for k, (table, squares, drawn, start) in enumerate(zip(learner.tables, learner.squares, learner.drawn, tables, strict=True)):
+                changed = np.flatnonzero(drawn)
+                for a in range(0, len(changed), 4096):
+                    at = changed[a : a + 4096]
+                    yield _rows(np.full(len(at), k), at, drawn[at], squares[at].mean(axis=1), table[at] - start[at])
+
+        def average(batches):
+            # a partition holds all of a row's copies, LEARNERS at most
+            parts: dict[int, list] = {}
+            for batch in batches:
+                kinds = batch.column("k").to_numpy()
+                for k in np.unique(kinds):
+                    parts.setdefault(int(k), []).append(_arrays(batch.filter(pa.array(kinds == k))))
+            for k, found in parts.items():
+                row, drawn, square, x = (np.concatenate(z) for z in zip(*found, strict=True))
+                order = np.argsort(row, kind="stable")
+                row, drawn = row[order], drawn[order]
+                starts = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
+                total = np.add.reduceat(drawn, starts)
+                mean = lambda z, order=order, drawn=drawn, starts=starts, total=total: np.add.reduceat(z[order] * drawn[:, None], starts, axis=0) / total[:, None]
+                yield _rows(np.full(len(starts), k), row[starts], total, mean(square[:, None])[:, 0], mean(x.astype(np.float32)))
+
+        read = training.filter(deal.isin(wanted)).select(F.col(text_col).alias("t")).coalesce(LEARNERS)
+        changed = cut(read.mapInArrow(tidy(run), _CHANGED).repartition("k", "row").mapInArrow(tidy(average), _CHANGED), f"round-{n}").toArrow()
+        sent.destroy()  # the round is written; the files of the broadcast would stay
+        for batch in changed.to_batches():
+            kinds = batch.column("k").to_numpy()
+            for k in np.unique(kinds):
+                row, _, square, x = _arrays(batch.filter(pa.array(kinds == k)))
+                learner.tables[k][row] += x
+                learner.squares[k][row] = square[:, None]
+    return learner.model()
 
 
 def count_tokens(texts: DataFrame, text_col: str) -> DataFrame:
@@ -149,38 +313,13 @@ def most_frequent(counts: DataFrame, most: int) -> list[tuple[bytes, int]]:
     return sorted(((bytes(r["token"]), r["c"]) for r in counts.filter(size >= least).collect()), key=lambda x: (-x[1], x[0]))
 
 
-def sampled(training: DataFrame, id_col: str, text_col: str) -> list[list[bytes]]:
-    """Runs of words of at most FIT_DOCS documents, those with the least hash in equally many buckets."""
-    key = F.xxhash64(F.col(id_col).cast("string"), F.lit(7))
-    chosen = [(r["h"],) for r in training.groupBy(F.pmod(key, F.lit(FIT_DOCS)).alias("b")).agg(F.min(key).alias("h")).collect()]
-    if not chosen:
-        return []
-    picked = F.broadcast(training.sparkSession.createDataFrame(chosen, "__h long"))  # FIT_DOCS rows at most
-    found = training.join(picked, key == F.col("__h"), "left_semi").select(key.alias("h"), F.col(text_col).alias("t"))
-
-    def runs(batches):
-        for whole in batches:
-            for batch in slices(whole, "t"):
-                out = []
-                for h, t in zip(batch.column("h").to_pylist(), as_bytes(batch.column("t")), strict=True):
-                    words = tokens(t)[:-1]
-                    at = h % max(1, len(words) - FIT_WORDS + 1)
-                    run = words[at : at + FIT_WORDS]
-                    out.append(b" ".join([w[:64] for w in run]) + (b"\n" if at + FIT_WORDS >= len(words) else b""))
-                yield pa.RecordBatch.from_arrays([batch.column("h"), pa.array(out, pa.binary())], names=["h", "w"])
-
-    rows = {r["h"]: bytes(r["w"]) for r in found.mapInArrow(tidy(runs), "h long, w binary").collect()}
-    return [[*w.split(), *([END] if w.endswith(b"\n") else [])] for _, w in sorted(rows.items())]
-
-
 class Scorer:
-    """Scores texts for one worker; partition sums of contexts are kept, of which there are (classes + 1) ** CONTEXT at most."""
+    """Scores texts for one worker."""
 
     def __init__(self, model: LogBilinear | None, hot: list[tuple[bytes, int]], vocabulary: int):
         self.index = {w: i for i, (w, _) in enumerate(hot)}
         self.logs = np.append(np.log10(np.array([c for _, c in hot], dtype=np.float64) + 0.5), 0.0)
         self.model, self.vocabulary = model, vocabulary
-        self.partition = np.full((vocabulary + 2,) * CONTEXT, np.nan, dtype=np.float32) if model else None
 
     def texts(self, texts: list[bytes | None]):
         """Per text: tokens, hot tokens, log10 sum of (c + 0.5) over hot tokens and over those outside the vocabulary, tokens outside it, the model's log10 sum; and the tokens that aren't hot."""
@@ -198,16 +337,11 @@ class Scorer:
         outside = (at < 0) | (at >= self.vocabulary)
         score = np.zeros(len(at))
         if self.model:
-            classes = np.where(outside, self.vocabulary, at)
-            before = contexts(classes, np.repeat(first, sizes), self.vocabulary + 1)
-            key = tuple(before.T)
-            missing = np.isnan(self.partition[key])
-            if missing.any():
-                new = np.unique(before[missing], axis=0)
-                self.partition[tuple(new.T)] = self.model.log_partition(new)
+            words = np.where(outside, self.vocabulary, at)
+            before = contexts(words, np.repeat(first, sizes), self.vocabulary + 1)
             for a in range(0, len(at), 65_536):
                 s = slice(a, a + 65_536)
-                score[s] = (np.einsum("td,td->t", self.model.hidden(before[s]), self.model.target[classes[s]]) + self.model.bias[classes[s]] - self.partition[tuple(before[s].T)]) / LN10
+                score[s] = self.model.log_probability(words[s], before[s]) / LN10
         add = lambda x: np.add.reduceat(x, first)
         return sizes, add((at >= 0).astype(np.int64)), add(own), add(np.where(outside, own, 0.0)), add(outside.astype(np.int64)), add(score), rare
 
@@ -229,15 +363,14 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Da
     total = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n, v = total["n"], total["v"]
     hot = most_frequent(counts, HOT_WORDS)
-    vocabulary = min(VOCABULARY, len(hot))
+    vocabulary = sum(c >= LEAST_COUNT for _, c in hot)
     model = None
     inside = np.array([c for _, c in hot[:vocabulary]], dtype=np.float64)
     outside_mass = (n + 0.5 * (v + 1)) - float((inside + 0.5).sum())
     if vocabulary:
         number = {w: i for i, (w, _) in enumerate(hot[:vocabulary])}
-        runs = [np.array([number.get(w, vocabulary) for w in run], dtype=np.int64) for run in sampled(training, "i", "t") if run]
-        model = train(runs, np.append(inside + 0.5, outside_mass))
-    sent = spark.sparkContext.broadcast((model, hot, vocabulary))  # bounded by HOT_WORDS and VOCABULARY
+        model = fit(training, "i", "t", number, np.append(inside + 0.5, outside_mass), n)
+    sent = spark.sparkContext.broadcast((model, hot, vocabulary))  # bounded by HOT_WORDS
 
     def run(batches):
         scorer = Scorer(*sent.value)

@@ -70,3 +70,27 @@ def test_empty_and_untrained(spark):
     assert lbl.score(df).count() == 0
     only = spark.createDataFrame([(None, "a b")], "doc_id long, text string")
     assert [tuple(r) for r in lbl.score(only).collect()] == [(None, False, 3, 0, 0, 0.0, 0.0)]
+
+
+def test_both_factors_sum_to_one(monkeypatch):
+    monkeypatch.setattr(lbl, "SHORT", 8)
+    monkeypatch.setattr(lbl, "MEMBERS", 5)
+    rng = np.random.default_rng(2)
+    model = lbl.train([rng.integers(0, 30, size=40) for _ in range(20)], rng.random(30), rounds=1)
+    for before in rng.integers(0, 31, size=(6, lbl.CONTEXT)):
+        assert abs(np.exp(model.log_probability(np.arange(30), np.tile(before, (30, 1)))).sum() - 1) < 1e-4
+
+
+def test_every_training_document_is_learned_from(spark, monkeypatch):
+    # each document has a pair of words of its own, far beyond 1,200 documents; all of them must have been drawn
+    monkeypatch.setattr(lbl, "LEAST_COUNT", 5)
+    rows = [(i, f"a{i} b{i} " * 6) for i in range(1500)]
+    seen = []
+    monkeypatch.setattr(lbl, "fit", lambda *a, f=lbl.fit: seen.append((a[3], f(*a))) or seen[-1][1])
+    lbl.score(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    number, model = seen[0]
+    trained = [i for i, _ in rows if zlib.crc32(str(i).encode()) % 5 != 1]
+    assert len(trained) < len(number) // 2 + 1 and len(model.word) == len(number) == 2 * len(trained) + 1
+    fresh = lbl.Learner(np.ones(len(number) + 1)).model()
+    moved = np.abs(model.word - fresh.word).max(axis=1) > 1e-6
+    assert all(moved[number[f"{c}{i}".encode()]] for i in trained for c in "ab" if number[f"{c}{i}".encode()] >= lbl.SHORT)
