@@ -118,7 +118,7 @@ def genre_confusion(spark, d):
     return best.join(s.select("id", "lang"), "id").groupBy("lang", "lm_id").agg(F.count("*").alias("n"))
 
 
-# in-domain: the benchmark's sentences and their cipher; out-of-domain: a hash sample of the documents' pairs
+# in-domain: the benchmark's sentences and their cipher; out-of-domain: the documents' pairs, of which the SQL counts a hash sample only
 _CE_BASE = f"""WITH {sql.cipher()}, {_BENCH},
 ien AS (SELECT text AS tgt, {sql.words('text')} AS tgt_toks FROM bsent GROUP BY text),
 ic AS (SELECT *, list_transform(tgt_toks, lambda t: 'c' || substr(md5(lower(t)), 1, 4)) AS codes FROM ien WHERE len(tgt_toks) BETWEEN 3 AND 120),
@@ -132,7 +132,8 @@ a AS {score_sql('it', 'pool', 'id', 'tgt_toks', 3)}, b AS {score_sql('ot', 'pool
 ce AS (SELECT a.id AS pair_id, round((b.score - a.score) + (d.score - c.score), 6) AS ce FROM a JOIN b USING (id) JOIN c USING (id) JOIN d USING (id))"""
 
 
-def _ce_parts(spark, d):
+def _ce_parts(spark, d, sample=None):
+    """The pool and its models; sample is for the queries whose SQL counts that share of the pool, the others count all of it."""
     from ..functions.hashing import uniform
     from ..functions.text import tokenize
 
@@ -140,21 +141,25 @@ def _ce_parts(spark, d):
     pool = chars(bitext.cipher_bitext(spark, d)).select("pair_id", "src_toks", "tgt_toks", "tgt")
     inside = chars(bitext.cipher_pairs(benchmark_sentences(spark, d).select("text", F.lit("b").alias("genre"))))
     pool = lexical.keep_table(pool, "pool")
-    out = pool.filter(uniform(F.col("pair_id"), F.lit("out")) < 0.1)
+    out = pool if sample is None else pool.filter(uniform(F.col("pair_id"), F.lit("out")) < sample)
     fit = lambda df, toks, n: lexical.keep_table(ngram.fit_counts(df, toks, n), "counts")
     return pool, {"in_src": fit(inside, "src_toks", 2), "out_src": fit(out, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(out, "tgt_toks", 3)}
 
 
 @query("bilingual_ce_scores", f"{_CE_BASE} SELECT pair_id, ce FROM ce")
 def bilingual_ce_scores(spark, d):
-    pool, models = _ce_parts(spark, d)
+    pool, models = _ce_parts(spark, d, 0.1)
     return selection.bilingual_ce(pool, models).select("pair_id", F.round("ce", 6).alias("ce"))
 
 
 @query("select_bilingual_ce", f"{_CE_BASE} SELECT pair_id FROM ce ORDER BY ce, pair_id LIMIT (SELECT CAST(ceil(0.06 * count(*)) AS BIGINT) FROM ce)")
 def select_bilingual_ce(spark, d):
     """The six lowest in a hundred, the share that 600 thousand of 10 million pairs are."""
-    pool, models = _ce_parts(spark, d)
+    return _lowest_ce(spark, d, 0.1)
+
+
+def _lowest_ce(spark, d, sample=None):
+    pool, models = _ce_parts(spark, d, sample)
     scored = lexical.keep_table(selection.bilingual_ce(pool, models).withColumn("ce", F.round("ce", 6)), "ce")
     k = -(-6 * scored.count() // 100)
     return selection.select_lowest(scored, "ce", k).select("pair_id")
@@ -203,7 +208,7 @@ def selector_overlap(spark, d):
     """Cross entropy against the classifier, the classifier against a random pick of as many."""
     pairs, scored = _classified(spark, d)
     k = -(-6 * scored.count() // 100)
-    a, b = select_bilingual_ce(spark, d), selection.select_highest(scored, "prob", k)
+    a, b = _lowest_ce(spark, d), selection.select_highest(scored, "prob", k)
     c = selection.hash_order(pairs.select("pair_id"), k, "random")
     x = selection.selector_overlap(a, b).withColumn("selectors", F.lit("ce-classifier"))
     return x.unionByName(selection.selector_overlap(b, c).withColumn("selectors", F.lit("classifier-random")))
@@ -213,7 +218,7 @@ def selector_overlap(spark, d):
 def in_domain_union(spark, d):
     _, scored = _classified(spark, d)
     k = -(-6 * scored.count() // 100)
-    return selection.in_domain_union(("ce", select_bilingual_ce(spark, d)), ("classifier", selection.select_highest(scored, "prob", k)))
+    return selection.in_domain_union(("ce", _lowest_ce(spark, d)), ("classifier", selection.select_highest(scored, "prob", k)))
 
 
 @query("topk_global", f"{SENTS} SELECT doc_id, pos, length(text) AS n FROM s ORDER BY n DESC, doc_id || ':' || pos LIMIT 500")
