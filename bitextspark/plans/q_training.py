@@ -70,7 +70,7 @@ def bt_modes_bleu(spark, d):
 @query("joint_training_history")
 def joint_training_history(spark, d):
     first, second, a, _ = _parts(spark, d)
-    _, _, history = training.joint_train(first, second.select("pair_id", "src_toks"), second.select("pair_id", "tgt_toks"), a, max_iter=2)
+    _, _, history = training.joint_train(first, second.select("pair_id", "src_toks"), second.select("pair_id", "tgt_toks"), a)
     return spark.createDataFrame(history.rows, "iteration int, s2t double, t2s double, n_bt long, n_ft long")
 
 
@@ -80,7 +80,7 @@ def distill_history(spark, d):
     first, second, a, _ = _parts(spark, d)
     rows = []
     for gate in (28.0, None):
-        _, history = training.alternate_distill(first, second, a, max_iter=1, reference="tgt", least_bleu=gate)
+        _, history = training.alternate_distill(first, second, a, reference="tgt", least_bleu=gate)
         rows += [("gated" if gate else "ungated", *r) for r in history.rows]
     return spark.createDataFrame(rows, "gate string, iteration int, arch string, bleu double, n_distilled long")
 
@@ -91,7 +91,7 @@ def distill_pairs(spark, d):
     first, second, _, _ = _parts(spark, d)
     base = training.pick(first)
     lex = fit_alignment(base, SPECS["base"].iters)
-    teacher = Ensemble([train(base, SPECS[a], a, lex=lex) for a in ("relpos", "revsrc")])
+    teacher = Ensemble([train(base, SPECS[a], a, lex=lex) for a in ("relpos", "wide", "revsrc")])
     made = distill(teacher, second, "tgt", 28.0, mode="greedy")
     return made.select("pair_id", F.size("tgt_toks").alias("n"))
 
@@ -108,7 +108,7 @@ def ensemble_decode_bleu(spark, d):
     first, _, a, b = _parts(spark, d)
     portions = bitext.split_portions(first)
     models = []
-    for name, portion in (("base", 0), ("relpos", 1), ("revsrc", 2)):
+    for name, portion in (("base", 0), ("relpos", 1), ("revsrc", 2), ("wide", 3)):
         models.append(train(training.pick(portions.filter(F.col("portion") != portion)), SPECS[name], f"{name}-{portion}"))
     rows = [(m.model_id, training.score(m, a), training.score(m, b)) for m in models]
     rows += [(how, training.score(e := Ensemble(models, how), a), training.score(e, b)) for how in ("max", "avg", "logavg")]
@@ -119,7 +119,7 @@ def ensemble_decode_bleu(spark, d):
 
 @query("ladder")
 def ladder(spark, d):
-    rows = training.ladder(bitext.two_style_bitext(spark, d, digits=3), ("base", "relpos", "revsrc"))
+    rows = training.ladder(bitext.two_style_bitext(spark, d, digits=3))
     return spark.createDataFrame(rows, "arch string, stage string, stage_no int, split string, bleu double")
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -29,7 +30,7 @@ class History:
     rows: list[tuple] = field(default_factory=list)
 
 
-def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev: DataFrame, max_iter: int = 3, min_gain: float = 0.0, noise: str | None = "input", mode: str = "beam", spec: ModelSpec = SPECS["base"], beam: int = 3) -> tuple[TranslationModel, TranslationModel, History]:
+def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev: DataFrame, max_iter: int | None = None, min_gain: float = 0.0, noise: str | None = "input", mode: str = "beam", spec: ModelSpec = SPECS["base"], beam: int = 3) -> tuple[TranslationModel, TranslationModel, History]:
     """Source-to-target and target-to-source models that make data for each other until the first gains no more than min_gain.
 
     mono_src: (pair_id, src_toks), mono_tgt: (pair_id, tgt_toks). Each round's
@@ -39,7 +40,7 @@ def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev
     s2t, t2s = train(bitext, spec, "s2t-0"), train(flip(bitext), spec, "t2s-0")
     best = score(s2t, dev)
     history = History([(0, best, score(t2s, flip(dev)), 0, 0)])
-    for i in range(1, max_iter + 1):
+    for i in itertools.count(1) if max_iter is None else range(1, max_iter + 1):
         made_src = keep_table(back_translate(t2s, mono_tgt, noise, mode, beam=beam).withColumn("pair_id", F.concat(F.lit(f"bt{i}-"), "pair_id")), "bt")
         made_tgt = keep_table(back_translate(s2t, mono_src.withColumnRenamed("src_toks", "tgt_toks"), noise, mode, beam=beam).withColumn("pair_id", F.concat(F.lit(f"ft{i}-"), "pair_id")), "ft")
         new_s2t = train(bitext.unionByName(made_src), spec, f"s2t-{i}")
@@ -52,7 +53,7 @@ def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev
     return s2t, t2s, history
 
 
-def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, archs: tuple[str, ...] = ("base", "relpos", "revsrc"), max_iter: int = 2, min_gain: float = 0.0, reference: str | None = None, least_bleu: float | None = 28.0) -> tuple[dict[str, TranslationModel], History]:
+def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, archs: tuple[str, ...] = ("base", "relpos", "wide", "revsrc"), max_iter: int | None = None, min_gain: float = 0.0, reference: str | None = None, least_bleu: float | None = 28.0) -> tuple[dict[str, TranslationModel], History]:
     """Each student learns from an ensemble of all other architectures; repeated with the new students until their mean gains nothing."""
     bitext = pick(bitext)
     # with the uniform prior the lexical table doesn't depend on the order of words, so the architectures share it
@@ -60,7 +61,7 @@ def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, ar
     students = {a: train(bitext, SPECS[a], f"{a}-0", lex=lex) for a in archs}
     values = {a: score(m, dev) for a, m in students.items()}
     history = History([(0, a, v, 0) for a, v in values.items()])
-    for i in range(1, max_iter + 1):
+    for i in itertools.count(1) if max_iter is None else range(1, max_iter + 1):
         new, sizes = {}, {}
         for a in archs:
             teacher = Ensemble([m for b, m in students.items() if b != a])
