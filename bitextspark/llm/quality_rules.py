@@ -7,7 +7,7 @@ a new batch come from merging, not from reading again. A cutoff is a Tukey
 fence: the outer quartile plus some interquartile ranges, and never nearer to
 the quartile than a margin, so a group without spread rejects nothing odd
 about its members. A group with few documents takes its language's fence, a
-language with few takes the fence of all. The fences are joined to the counts
+language with few takes the fence of all, which holds whatever their number. The fences are joined to the counts
 and decide.
 """
 
@@ -26,7 +26,7 @@ SYMBOLS = b"#*$%&|<>"
 CAPITALS = bytes(range(65, 91))
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
-#: A group with fewer documents takes the next wider group's fences.
+#: A group with fewer documents takes the next wider group's fences; that of all has none wider.
 LEAST_DOCS = 200
 SKETCH_K = 800
 #: Fences up to so many rows are broadcast; more are joined by shuffle.
@@ -110,22 +110,22 @@ def sketches(counted: DataFrame) -> DataFrame:
     return good.groupBy("lang", "source").agg(F.count("*").alias("n"), *(F.kll_sketch_agg_double(r.name, F.lit(SKETCH_K)).alias(r.name) for r in RULES))
 
 
-def _fences(groups: DataFrame) -> DataFrame:
-    """lo_ and hi_ of every rule from the sketches of groups."""
+def _fences(groups: DataFrame, least: int = LEAST_DOCS) -> DataFrame:
+    """lo_ and hi_ of every rule from the sketches of groups of least documents or more."""
     out = []
     for r in RULES:
         low, high = (F.kll_sketch_get_quantile_double(r.name, F.lit(q)) for q in (0.25, 0.75))
         reach = F.greatest(r.ranges * (high - low), F.lit(r.margin))
         out += [(low - reach if r.both else F.lit(float("-inf"))).alias(f"lo_{r.name}"), (high + reach).alias(f"hi_{r.name}")]
     keys = [c for c in ("lang", "source") if c in groups.columns]
-    return groups.filter(F.col("n") >= LEAST_DOCS).select(*keys, F.struct(*out).alias("fence"))
+    return groups.filter(F.col("n") >= least).select(*keys, F.struct(*out).alias("fence"))
 
 
 def fences(made: DataFrame) -> DataFrame:
-    """One row per (lang, source) of the sketches with the fence that holds for it (null: too few documents anywhere)."""
+    """One row per (lang, source) of the sketches with the fence that holds for it (null: no document passes the base rules)."""
     merged = [F.kll_merge_agg_double(r.name).alias(r.name) for r in RULES]
     by_lang = _fences(made.groupBy("lang").agg(F.sum("n").alias("n"), *merged)).withColumnRenamed("fence", "lang_fence")
-    of_all = _fences(made.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), *merged)).withColumnRenamed("fence", "all_fence")
+    of_all = _fences(made.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n"), *merged), 1).withColumnRenamed("fence", "all_fence")
     own = _fences(made).withColumnRenamed("fence", "own_fence")
     keys = made.select("lang", "source")
     out = keys.alias("k").join(own.alias("o"), F.col("k.lang").eqNullSafe(F.col("o.lang")) & F.col("k.source").eqNullSafe(F.col("o.source")), "left")
@@ -136,7 +136,10 @@ def fences(made: DataFrame) -> DataFrame:
 def verdicts(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", source_col: str = "source") -> DataFrame:
     """(id, counts, base_failed, kept, reasons, key) of every row of docs.
 
-    Null texts count as empty and fail the base rules. A null language or
+    A document is held against the fence of its (language, source), of its
+    language where that has under LEAST_DOCS documents that pass the base
+    rules, or of all where the language has too; the last holds at any number
+    above zero. Null texts count as empty and fail the base rules. A null language or
     source is a group of its own. Repeated rows each get their verdict; ties
     don't matter, as nothing is ranked; an empty table gives an empty result;
     other columns of docs are not read.

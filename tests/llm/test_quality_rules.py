@@ -77,3 +77,13 @@ def test_clean_documents_stay_and_junk_goes(spark):
     found = quality.verdicts(spark.read.parquet(f"{d}/documents.parquet")).filter("n_words >= 50").join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id")
     share = {r["quality"]: r["k"] for r in found.groupBy("quality").agg({"kept": "count"}).drop("count(kept)").join(found.groupBy("quality").agg(__import__("pyspark.sql.functions", fromlist=["x"]).expr("avg(int(kept)) k")), "quality").collect()}
     assert share[1] > 0.98 and share[0] < 0.1
+
+
+def test_few_documents_have_a_fence(spark):
+    rng = random.Random(8)
+    words = ["".join(rng.choices("abcdefg", k=rng.randrange(3, 8))) for _ in range(400)]
+    rows = [(i, " ".join(rng.choices(words, k=80)), "en", "a") for i in range(30)]
+    rows += [(100, " ".join(rng.choices(words, k=80)).upper(), "en", "a"), (101, " ".join(x + "###" for x in rng.choices(words, k=80)), "en", "a")]
+    got = {r["doc_id"]: r for r in quality.verdicts(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert "capitals" in got[100]["reasons"] and "symbols" in got[101]["reasons"] and not got[100]["kept"] and not got[101]["kept"]
+    assert all(got[i]["kept"] for i in range(30))
