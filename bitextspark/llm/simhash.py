@@ -9,6 +9,12 @@ whatever the data, so there are no hot buckets and no cap: copies share one
 fingerprint and are folded before, and a large group of near copies is spread
 over its keys. Members of a key are linked to its first one, after the full
 distance has been verified; that keeps the components of the full link graph.
+
+This stands in for a table per segment with candidates that differ freely in
+the other one: at two bits the flips of the whole fingerprint find the same
+links, and 32-bit segments would have hot values. It doesn't carry over to
+more bits, for which ball_links refuses, and the check of the distance never
+rejects a pair.
 """
 
 from __future__ import annotations
@@ -64,6 +70,8 @@ def hamming(a: Column, b: Column) -> Column:
 
 def ball_links(fps: DataFrame) -> DataFrame:
     """Links (a, b) between distinct fingerprints within two bits, as stars around a member of each key."""
+    if MAX_BITS > 2:
+        raise ValueError("flips of one bit find links of two bits at most")
     one = [F.col(_FP)] + [F.col(_FP).bitwiseXOR(F.lit(int(np.array([1 << i], dtype=np.uint64).view(np.int64)[0]))) for i in range(64)]
     # what a key keeps of its members: whether it is one itself, and which of its bits lead to one
     keys = fps.select(F.posexplode(F.array(*one)).alias("p", "key"))

@@ -1,5 +1,6 @@
 import random
 
+import pytest
 import xxhash
 
 from bitextspark.llm import simhash
@@ -78,3 +79,9 @@ def test_keep_one_and_empty(spark):
 def test_long_text():
     t = "word " * 200_000
     assert simhash.fingerprint(t.encode()) == xxhash.xxh64(b"word word word", seed=42).intdigest() - (1 << 64) * (xxhash.xxh64(b"word word word", seed=42).intdigest() >> 63)
+
+
+def test_more_bits_than_the_flips_reach_are_refused(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "MAX_BITS", 3)
+    with pytest.raises(ValueError):
+        simhash.ball_links(spark.createDataFrame([(1,)], f"{simhash._FP} long"))
