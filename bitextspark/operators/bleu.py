@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import math
+from collections import Counter
+
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -25,26 +30,35 @@ def split_tokens(text: Column, lowercase: bool = False) -> Column:
     return F.filter(F.split(F.lower(text) if lowercase else text, " "), lambda x: x != "")
 
 
-def _grams(tokens: Column) -> Column:
-    """All n-grams of 1 to ORDERS tokens as (n, joined text)."""
+#: Names of a row's counts: clipped matches and totals of each order, lengths.
+SUMS = (*(f"m{n}" for n in range(1, ORDERS + 1)), *(f"t{n}" for n in range(1, ORDERS + 1)), "hyp_len", "ref_len")
 
-    def of(n: int) -> Column:
-        starts = F.when(F.size(tokens) >= n, F.sequence(F.lit(1), F.size(tokens) - n + 1)).otherwise(F.array().cast("array<int>"))
-        return F.transform(starts, lambda i: F.struct(F.lit(n).alias("n"), F.array_join(F.slice(tokens, i, F.lit(n)), " ").alias("g")))
 
-    return F.concat(*map(of, range(1, ORDERS + 1)))
+def row_statistics(hyp: list[str], ref: list[str]) -> list[int]:
+    """SUMS of one sentence."""
+    matches = []
+    for n in range(1, ORDERS + 1):
+        have, want = (Counter(zip(*(x[i:] for i in range(n)), strict=False)) for x in (hyp, ref))
+        matches.append(sum((have & want).values()))
+    return [*matches, *(max(0, len(hyp) - n) for n in range(ORDERS)), len(hyp), len(ref)]
 
 
 def statistics(df: DataFrame, id_col: str, hyp: str, ref: str, tokenize: str = "13a", lowercase: bool = False) -> DataFrame:
-    """(id, m1..m4, t1..t4, hyp_len, ref_len): clipped matches, totals and lengths of every row; they add over rows and partitions."""
+    """(id, m1..m4, t1..t4, hyp_len, ref_len): clipped matches, totals and lengths of every row; they add over rows and partitions.
+
+    A row is counted by itself, in Arrow batches: no n-gram is shuffled.
+    """
     tok = tokens_13a if tokenize == "13a" else split_tokens
-    base = df.select(id_col, tok(F.coalesce(F.col(hyp), F.lit("")), lowercase).alias("__h"), tok(F.coalesce(F.col(ref), F.lit("")), lowercase).alias("__r"))
-    side = lambda c, s: base.select(id_col, F.explode(_grams(F.col(c))).alias("x"), F.lit(s).alias("s")).select(id_col, "x.n", "x.g", "s")
-    counted = side("__h", 0).unionByName(side("__r", 1)).groupBy(id_col, "n", "g").agg(F.sum((F.col("s") == 0).cast("int")).alias("h"), F.sum("s").alias("r"))
-    sums = counted.groupBy(id_col).agg(*(F.sum(F.when(F.col("n") == n, F.least("h", "r"))).alias(f"m{n}") for n in range(1, 5)))
-    lengths = base.select(id_col, F.size("__h").cast("long").alias("hyp_len"), F.size("__r").cast("long").alias("ref_len"))
-    out = lengths.join(sums, id_col, "left")
-    return out.select(id_col, *(F.coalesce(f"m{n}", F.lit(0)).cast("long").alias(f"m{n}") for n in range(1, 5)), *(F.greatest(F.col("hyp_len") - (n - 1), F.lit(0)).alias(f"t{n}") for n in range(1, 5)), "hyp_len", "ref_len")
+    base = df.select(F.col(id_col).alias("id"), tok(F.coalesce(F.col(hyp), F.lit("")), lowercase).alias("h"), tok(F.coalesce(F.col(ref), F.lit("")), lowercase).alias("r"))
+
+    def run(batches):
+        for batch in batches:
+            rows = [row_statistics(h, r) for h, r in zip(batch.column("h").to_pylist(), batch.column("r").to_pylist(), strict=True)]
+            columns = list(zip(*rows, strict=True)) if rows else [[]] * len(SUMS)
+            yield pa.RecordBatch.from_arrays([batch.column("id"), *(pa.array(c, pa.int64()) for c in columns)], names=["id", *SUMS])
+
+    kind = base.schema["id"].dataType.simpleString()
+    return base.mapInArrow(run, f"id {kind}, " + ", ".join(f"{c} long" for c in SUMS)).withColumnRenamed("id", id_col)
 
 
 def from_sums(smooth: str = "exp") -> Column:
@@ -74,16 +88,30 @@ def sentence_bleu(df: DataFrame, id_col: str, hyp: str, ref: str, tokenize: str
 def corpus_bleu(df: DataFrame, id_col: str, hyp: str, ref: str, group: tuple[str, ...] = (), tokenize: str = "13a", lowercase: bool = False, smooth: str = "exp") -> DataFrame:
     """(group, bleu, hyp_len, ref_len): one value a group, from sums over its rows."""
     stats = statistics(df.withColumn("__key", F.struct(F.col(id_col).alias("__id"), *group)), "__key", hyp, ref, tokenize, lowercase)
-    sums = stats.groupBy(*(F.col(f"__key.{g}").alias(g) for g in group)).agg(*(F.sum(c).alias(c) for c in ("m1", "m2", "m3", "m4", "t1", "t2", "t3", "t4", "hyp_len", "ref_len")))
+    sums = stats.groupBy(*(F.col(f"__key.{g}").alias(g) for g in group)).agg(*(F.sum(c).alias(c) for c in SUMS))
     return sums.select(*group, F.round(from_sums(smooth), 6).alias("bleu"), "hyp_len", "ref_len")
 
 
+def _smoothed(hyp: list[str], ref: list[str]) -> float:
+    """BLEU of one sentence, one added to matches and totals from the second order on."""
+    x = row_statistics(hyp, ref)
+    if not hyp or not x[0]:
+        return 0.0
+    logs = math.log(x[0] / x[ORDERS]) + sum(math.log((x[n] + 1) / (x[ORDERS + n] + 1)) for n in range(1, ORDERS))
+    return 100 * min(1.0, math.exp(1 - len(ref) / len(hyp))) * math.exp(logs / ORDERS)
+
+
 def gate_by_bleu(df: DataFrame, id_col: str, hyp: str, ref: str, least: float | None = 28.0, tokenize: str = "13a") -> DataFrame:
-    """df without the rows whose sentence BLEU is lower than least; None keeps all."""
+    """df without the rows whose sentence BLEU is lower than least; None keeps all. Rows are judged one by one, nothing is shuffled."""
     if least is None:
         return df
-    good = sentence_bleu(df, id_col, hyp, ref, tokenize).filter(F.col("bleu") >= least).select(F.col(id_col).alias("__g"))
-    return df.join(good, df[id_col] == F.col("__g"), "left_semi")
+    tok = tokens_13a if tokenize == "13a" else split_tokens
+
+    @F.pandas_udf("double")
+    def score(h: pd.Series, r: pd.Series) -> pd.Series:
+        return pd.Series([round(_smoothed(list(a), list(b)), 9) for a, b in zip(h, r, strict=True)])
+
+    return df.filter(score(tok(F.coalesce(F.col(hyp), F.lit(""))), tok(F.coalesce(F.col(ref), F.lit("")))) >= least)
 
 
 def ladder(evals: DataFrame, group: str = "testset", order: str = "stage_no") -> DataFrame:

@@ -6,6 +6,8 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 from itertools import combinations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -232,15 +234,20 @@ def cluster_domains(vectors: DataFrame, k: int = 2, seed: int = 42, distance: st
 
 
 def hashed_vectors(df: DataFrame, tokens: str, dims: int = 64) -> DataFrame:
-    """df with vec: words' signed hash buckets, summed and brought to unit length (a stand-in for a sentence encoder)."""
-    # buckets are worked out once, then counted by sign; even buckets are positive
-    buckets = F.transform(tokens, lambda t: F.pmod(F.xxhash64(t), F.lit(2 * dims)))
-    made = F.transform("__h", lambda x: F.when(x % 2 == 0, F.floor(x / 2)).otherwise(-1 - F.floor(x / 2)))
-    n = lambda of: F.size(F.filter("__s", lambda x: x == of))
-    counts = F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: (n(i) - n(-1 - i)).cast("double"))
-    df = df.withColumn("__h", buckets).withColumn("__s", made)
-    norm = F.sqrt(F.aggregate("__v", F.lit(0.0), lambda a, b: a + b * b))
-    return df.withColumn("__v", counts).withColumn("vec", F.transform("__v", lambda v: F.when(norm > 0, v / norm).otherwise(0.0))).drop("__v", "__h", "__s")
+    """df with vec: words' signed hash buckets, summed and brought to unit length (a stand-in for a sentence encoder). Tokens are hashed in the JVM, summed by Arrow batches."""
+    buckets = F.transform(F.col(tokens), lambda t: F.pmod(F.xxhash64(t), F.lit(2 * dims)).cast("int"))
+
+    @F.pandas_udf("array<double>")
+    def summed(column: pd.Series) -> pd.Series:
+        sizes = column.str.len().fillna(0).astype(int).to_numpy()
+        row = np.repeat(np.arange(len(sizes)), sizes)
+        at = np.concatenate([np.asarray(x, dtype=np.int64) for x in column if x is not None and len(x)] or [np.zeros(0, dtype=np.int64)])
+        # even buckets are positive
+        out = np.bincount(row * dims + at // 2, np.where(at % 2 == 0, 1.0, -1.0), minlength=len(sizes) * dims).reshape(-1, dims)
+        norm = np.sqrt((out * out).sum(axis=1, keepdims=True))
+        return pd.Series(list(np.divide(out, norm, out=np.zeros_like(out), where=norm > 0)))
+
+    return df.withColumn("vec", summed(buckets))
 
 
 def train_domain_router(df: DataFrame, features: tuple[str, ...] = ("src_toks", "tgt_toks"), label: str = "domain", size: int = 1 << 14):

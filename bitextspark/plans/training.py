@@ -8,17 +8,18 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..operators import bleu, ensemble, ngram, rerank
-from ..operators.lexical import fit_alignment, keep_table
-from ..operators.translate import SPECS, Ensemble, ModelSpec, TranslationModel, back_translate, decode, distill, fine_tune, flip, train
+from ..functions.hashing import uniform
+from ..operators import bleu, classify, ensemble, filters, ngram, rerank, selection
+from ..operators.lexical import keep_table
+from ..operators.translate import SPECS, Ensemble, ModelSpec, Training, TranslationModel, Weighted, back_translate, decode, distill, fine_tune_many, flip, score_many, train, train_many
+from ..sources.bitext import split_portions, tag_origin
+
+ARCHITECTURES = ("base", "relpos", "wide", "revsrc")
 
 
 def score(model, dev: DataFrame, mode: str = "greedy", **how) -> float:
     """Corpus BLEU of a model over (pair_id, src_toks, tgt_toks): one number to the driver."""
-    found = decode(model, dev, mode=mode, **how).filter("hyp_rank = 1").select("pair_id", F.array_join("hyp_toks", " ").alias("hyp"))
-    both = dev.select("pair_id", F.array_join("tgt_toks", " ").alias("ref")).join(found, "pair_id", "left")
-    row = bleu.corpus_bleu(both, "pair_id", "hyp", "ref", tokenize="split").first()
-    return float(row["bleu"]) if row else 0.0
+    return score_many({"m": model}, {"d": dev}, mode, **how)["m", "d"]
 
 
 def pick(pairs: DataFrame) -> DataFrame:
@@ -34,17 +35,22 @@ def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev
     """Source-to-target and target-to-source models that make data for each other until the first gains no more than min_gain.
 
     mono_src: (pair_id, src_toks), mono_tgt: (pair_id, tgt_toks). Each round's
-    synthetic pairs are written, so a round is one decode and lineage stays short.
+    synthetic pairs are written, so a round is one decode and lineage stays
+    short. Both directions are trained by the same passes.
     """
     bitext = pick(bitext)
-    s2t, t2s = train(bitext, spec, "s2t-0"), train(flip(bitext), spec, "t2s-0")
+
+    def both(forward: DataFrame, backward: DataFrame, n: int) -> list[TranslationModel]:
+        pairs = forward.withColumn("d", F.lit(0)).unionByName(flip(backward).withColumn("d", F.lit(1)))
+        return train_many(pairs, [Training(f"s2t-{n}", spec, F.col("d") == 0), Training(f"t2s-{n}", spec, F.col("d") == 1)], made=F.col("pair_id").rlike("^(bt|ft)[0-9]+-"))
+
+    s2t, t2s = both(bitext, bitext, 0)
     best = score(s2t, dev)
     history = History([(0, best, score(t2s, flip(dev)), 0, 0)])
     for i in itertools.count(1) if max_iter is None else range(1, max_iter + 1):
         made_src = keep_table(back_translate(t2s, mono_tgt, noise, mode, beam=beam).withColumn("pair_id", F.concat(F.lit(f"bt{i}-"), "pair_id")), "bt")
         made_tgt = keep_table(back_translate(s2t, mono_src.withColumnRenamed("src_toks", "tgt_toks"), noise, mode, beam=beam).withColumn("pair_id", F.concat(F.lit(f"ft{i}-"), "pair_id")), "ft")
-        new_s2t = train(bitext.unionByName(made_src), spec, f"s2t-{i}")
-        new_t2s = train(flip(bitext).unionByName(made_tgt), spec, f"t2s-{i}")
+        new_s2t, new_t2s = both(bitext.unionByName(made_src), bitext.unionByName(flip(made_tgt)), i)
         now = score(new_s2t, dev)
         history.rows.append((i, now, score(new_t2s, flip(dev)), made_src.count(), made_tgt.count()))
         if now <= best + min_gain:
@@ -53,23 +59,37 @@ def joint_train(bitext: DataFrame, mono_src: DataFrame, mono_tgt: DataFrame, dev
     return s2t, t2s, history
 
 
-def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, archs: tuple[str, ...] = ("base", "relpos", "wide", "revsrc"), max_iter: int | None = None, min_gain: float = 0.0, reference: str | None = None, least_bleu: float | None = 28.0) -> tuple[dict[str, TranslationModel], History]:
+def distilled(students: dict[str, TranslationModel], mono_src: DataFrame, reference: str | None, least_bleu: float | None, tag: str) -> DataFrame:
+    """(pair_id, src_toks, tgt_toks, student): what the ensemble of all other architectures teaches each student."""
+    out = None
+    for a in students:
+        teacher = Ensemble([m for b, m in students.items() if b != a])
+        made = distill(teacher, mono_src, reference, least_bleu, mode="greedy").select(F.concat(F.lit(f"{tag}-"), "pair_id").alias("pair_id"), "src_toks", "tgt_toks", F.lit(a).alias("student"))
+        out = made if out is None else out.unionByName(made)
+    return keep_table(out, "kd")
+
+
+def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, archs: tuple[str, ...] = ARCHITECTURES, max_iter: int | None = None, min_gain: float = 0.0, reference: str | None = None, least_bleu: float | None = 28.0) -> tuple[dict[str, TranslationModel], History]:
     """Each student learns from an ensemble of all other architectures; repeated with the new students until their mean gains nothing."""
     bitext = pick(bitext)
-    # with the uniform prior the lexical table doesn't depend on the order of words, so the architectures share it
-    lex = fit_alignment(bitext, SPECS["base"].iters)
-    students = {a: train(bitext, SPECS[a], f"{a}-0", lex=lex) for a in archs}
-    values = {a: score(m, dev) for a, m in students.items()}
+
+    def students_of(pairs: DataFrame, wheres: list, n: int) -> dict[str, TranslationModel]:
+        return dict(zip(archs, train_many(pairs, [Training(f"{a}-{n}", SPECS[a], w) for a, w in zip(archs, wheres, strict=True)], made=F.col("pair_id").startswith("kd")), strict=True))
+
+    def values_of(models: dict[str, TranslationModel]) -> dict[str, float]:
+        found = score_many(models, {"dev": dev})
+        return {a: found[a, "dev"] for a in models}
+
+    students = students_of(bitext, [None] * len(archs), 0)
+    values = values_of(students)
     history = History([(0, a, v, 0) for a, v in values.items()])
     for i in itertools.count(1) if max_iter is None else range(1, max_iter + 1):
-        new, sizes = {}, {}
-        for a in archs:
-            teacher = Ensemble([m for b, m in students.items() if b != a])
-            made = keep_table(distill(teacher, mono_src, reference, least_bleu, mode="greedy").withColumn("pair_id", F.concat(F.lit(f"kd{i}-"), "pair_id")), "kd")
-            sizes[a] = made.count()
-            new[a] = train(bitext.unionByName(made), SPECS[a], f"{a}-{i}")
-        now = {a: score(m, dev) for a, m in new.items()}
-        history.rows += [(i, a, v, sizes[a]) for a, v in now.items()]
+        made = distilled(students, mono_src, reference, least_bleu, f"kd{i}")
+        sizes = {r["student"]: r["count"] for r in made.groupBy("student").count().collect()}  # a row a student
+        pairs = bitext.withColumn("student", F.lit(None).cast("string")).unionByName(made)
+        new = students_of(pairs, [F.col("student").isNull() | (F.col("student") == a) for a in archs], i)
+        now = values_of(new)
+        history.rows += [(i, a, v, sizes.get(a, 0)) for a, v in now.items()]
         if sum(now.values()) <= sum(values.values()) + min_gain:
             break
         students, values = new, now
@@ -77,71 +97,128 @@ def alternate_distill(bitext: DataFrame, mono_src: DataFrame, dev: DataFrame, ar
 
 
 def greedy_members(models: list[TranslationModel], dev: DataFrame, how: str = "logavg", min_gain: float = 0.0) -> ensemble.SearchTrace:
-    """The greedy search with real ensemble decoding."""
+    """The greedy search with real ensemble decoding; all subsets of a round are decoded by one pass."""
     by = {m.model_id: m for m in models}
-    single = {m.model_id: score(m, dev) for m in models}
-    order = sorted(by, key=lambda m: (-single[m], m))
-    return ensemble.greedy_ensemble(order, lambda subsets: {s: score(Ensemble([by[m] for m in s], how), dev) for s in subsets}, min_gain=min_gain)
+    single = score_many(by, {"dev": dev})
+    order = sorted(by, key=lambda m: (-single[m, "dev"], m))
+
+    def evaluate(subsets):
+        found = score_many({"+".join(s): Ensemble([by[m] for m in s], how) for s in subsets}, {"dev": dev})
+        return {s: found["+".join(s), "dev"] for s in subsets}
+
+    return ensemble.greedy_ensemble(order, evaluate, min_gain=min_gain)
+
+
+def in_domain(pool: DataFrame, inside: DataFrame, share: float = 0.06) -> DataFrame:
+    """(pair_id, selectors): the pairs of the pool that cross entropy or the classifier takes for in-domain, a share of the pool each."""
+    fit = lambda df, toks, n: keep_table(ngram.fit_counts(df, toks, n), "counts")
+    models = {"in_src": fit(inside, "src_toks", 2), "out_src": fit(pool, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(pool, "tgt_toks", 3)}
+    total = pool.count()
+    k = -(-int(share * 100) * total // 100)
+    ce = selection.select_lowest(selection.bilingual_ce(pool, models), "ce", k)
+    found = classify.train_domain_classifier(inside, pool, min(1.0, 3 * inside.count() / max(1, total)))
+    return selection.in_domain_union(("ce", ce), ("classifier", selection.select_highest(classify.score_domain(pool, found), "prob", k)))
 
 
-def ladder(pairs: DataFrame, archs: tuple[str, ...] = ("base", "relpos", "wide", "revsrc")) -> list[tuple[str, str, int, str, float]]:
-    """(arch, stage, number, split, BLEU) of the cumulative stages over two-style pairs with columns split and style.
+def domain_labels(pairs: DataFrame, k: int = 2):
+    """A k-means model over hashed sentence vectors and the pairs with its cluster as domain."""
+    from pyspark.ml.functions import array_to_vector
 
-    The first half of the training pairs (by hash) is bitext; the other half
-    gives one side each as monolingual data. dev_a chooses, dev_b and test are
-    only reported. In-domain for fine-tuning is one style for each domain model.
+    vectors = keep_table(ensemble.hashed_vectors(pairs.withColumn("both", F.concat("src_toks", "tgt_toks")), "both").drop("both"), "vectors").withColumn("features", array_to_vector("vec"))
+    model = ensemble.cluster_domains(vectors, k, restarts=3)
+    return model, model.transform(vectors).withColumn("domain", F.col("domain").cast("double")).drop("vec", "features")
+
+
+def with_weights(router, df: DataFrame) -> DataFrame:
+    from pyspark.ml.functions import vector_to_array
+
+    return keep_table(router.transform(df).withColumn("weights", vector_to_array("probability")).select(*df.columns, "weights"), "routed")
+
+
+def ladder(pairs: DataFrame, archs: tuple[str, ...] = ARCHITECTURES, members: int = 10) -> list[tuple[str, str, int, str, float]]:
+    """(arch, stage, number, split, BLEU) of the cumulative stages over pairs of several domains (see sources.bitext.domain_bitext).
+
+    1 filtered bitext; 2 back-translated and distilled pairs beside it; 3
+    fine-tuning on what cross entropy and the classifier select of all training
+    pairs, for in-domain text that lies in no other split; 4 the greedy choice
+    among models of all architectures, of all data and of the three best of
+    six portions; 5 models of each cluster weighted by a router that reads the
+    source; 6 re-ranked n-best lists. dev_a chooses, dev_b and test are only
+    reported.
     """
-    trained = pairs.filter("split = 'train'").withColumn("half", F.pmod(F.xxhash64("pair_id"), F.lit(2)))
-    bitext, other = keep_table(trained.filter("half = 0"), "bitext"), keep_table(trained.filter("half = 1"), "mono")
+    pairs = keep_table(pairs, "pairs")
+    train_rows = filters.FilterCascade.bilingual().apply(pairs.filter("split = 'train'"))
+    bitext, other = (keep_table(train_rows.filter(F.col("part") == p), p) for p in ("bitext", "mono"))
     splits = {s: keep_table(pairs.filter(F.col("split") == s), s) for s in ("dev_a", "dev_b", "test")}
+    inside = keep_table(pick(pairs.filter("split = 'spare'")), "inside")
     rows: list[tuple[str, str, int, str, float]] = []
 
-    def note(arch: str, stage: str, n: int, model, **how) -> None:
-        rows.extend((arch, stage, n, s, score(model, df, **how)) for s, df in splits.items())
+    def note(systems: dict[str, object], stage: str, n: int, data=splits, **how) -> dict[tuple[str, str], float]:
+        found = score_many(systems, data, **how)
+        rows.extend((a, stage, n, s, v) for (a, s), v in found.items())
+        return found
 
     base = pick(bitext)
-    reverse = train(flip(base), SPECS["base"], "t2s")
-    synthetic = keep_table(back_translate(reverse, other.select("pair_id", "tgt_toks"), "input", "beam", beam=3), "bt")
-    lex = fit_alignment(base, SPECS["base"].iters)
-    first = {a: train(base, SPECS[a], f"{a}-baseline", lex=lex) for a in archs}
-    for a, m in first.items():
-        note(a, "baseline", 1, m)
-    teacher_of = lambda a: Ensemble([m for b, m in first.items() if b != a])
-    more = {}
-    for a in archs:
-        kd = keep_table(distill(teacher_of(a), other, "tgt", 28.0, mode="greedy").withColumn("pair_id", F.concat(F.lit("kd-"), "pair_id")), "kd")
-        more[a] = train(base.unionByName(synthetic).unionByName(kd), SPECS[a], f"{a}-augmented")
-        note(a, "augmented", 2, more[a])
-    tuned, domains = {}, []
-    for a in archs:
-        tuned[a] = fine_tune(more[a], base, 0.5, f"{a}-tuned")
-        note(a, "fine-tuned", 3, tuned[a])
-    trace = greedy_members(list(tuned.values()), splits["dev_a"])
-    members = Ensemble([m for m in tuned.values() if m.model_id in trace.chosen])
-    note("all", "ensemble", 4, members)
-    best = max(archs, key=lambda a: next(r[4] for r in rows if r[:4] == (a, "fine-tuned", 3, "dev_a")))
-    for style in (0, 1):
-        domains.append(fine_tune(more[best], pick(bitext.filter(F.col("style") == style)), 0.8, f"domain-{style}"))
-    router = ensemble.train_domain_router(bitext.withColumn("domain", F.col("style").cast("double")), ("src_toks",))
-    from pyspark.ml.functions import vector_to_array
-
-    splits = {s: keep_table(router.transform(df).withColumn("weights", vector_to_array("probability")).select(*df.columns, "weights"), s) for s, df in splits.items()}
-    weighted = Ensemble(domains)
-    note("all", "domain weighted", 5, weighted, weights="weights")
-    lists = {s: keep_table(nbest_rows(weighted, df, ngram.fit_counts(base, "tgt_toks", 2)), s) for s, df in splits.items()}
-    w = rerank.kbmira(lists["dev_a"].select("sent_id", "hyp_rank", "feats", "stats"), epochs=10)
-    for s, found in lists.items():
-        top = rerank.rerank(found, w)
-        rows.append(("all", "re-ranked", 6, s, float(bleu.corpus_bleu(top, "sent_id", "hyp", "tgt", tokenize="split").first()["bleu"])))
+    both = base.withColumn("d", F.lit(0)).unionByName(flip(base).withColumn("d", F.lit(1)))
+    *first, reverse = train_many(both, [*(Training(f"{a}-baseline", SPECS[a], F.col("d") == 0) for a in archs), Training("t2s", SPECS["base"], F.col("d") == 1)])
+    first = dict(zip(archs, first, strict=True))
+    note(first, "baseline", 1)
+
+    synthetic = back_translate(reverse, other.select("pair_id", "tgt_toks"), "input", "beam", beam=3).withColumn("pair_id", F.concat(F.lit("bt-"), "pair_id"))
+    taught = distilled(first, other, "tgt", 28.0, "kd")
+    nobody = F.lit(None).cast("string").alias("student")
+    every = tag_origin(base.select("*", nobody), "bitext", 0).unionByName(tag_origin(synthetic.select("*", nobody), "back-translated", 1)).unionByName(tag_origin(taught, "distilled", 1))
+    every = keep_table(split_portions(every), "every")
+    of = lambda a: F.col("student").isNull() | (F.col("student") == a)
+    found = train_many(every, [*(Training(f"{a}-augmented", SPECS[a], of(a)) for a in archs), *(Training(f"portion-{p}", SPECS["base"], of("base") & (F.col("portion") == p)) for p in range(6))], made=F.col("generation") > 0)
+    more = dict(zip(archs, found, strict=False))
+    note(more, "augmented", 2)
+
+    # the three portions whose models do best; more members learn from them
+    single = score_many({m.model_id: m for m in found[len(archs) :]}, {"dev_a": splits["dev_a"]})
+    portions = sorted(range(6), key=lambda p: (-single[f"portion-{p}", "dev_a"], p))[:3]
+    plans = [(a, p) for p in portions for a in archs][: max(0, members - len(archs))]
+    others = train_many(every, [Training(f"{a}-without-{p}", SPECS[a], of(a) & F.col("portion").isin([q for q in portions if q != p])) for a, p in plans], made=F.col("generation") > 0) if plans else []
+
+    pool = every.filter("student IS NULL OR student = 'base'").select("pair_id", "src_toks", "tgt_toks").dropDuplicates(["pair_id"])
+    pool = keep_table(pool, "pool")
+    chosen = keep_table(pool.join(in_domain(pool, inside), "pair_id").drop("selectors").unionByName(inside), "chosen")
+    candidates = [*more.values(), *others]
+    tuned = fine_tune_many(candidates, chosen, 0.7)
+    named = dict(zip(archs, tuned, strict=False))
+    note(named, "fine-tuned", 3)
+
+    trace = greedy_members(tuned, splits["dev_a"])
+    kept = [m for m in tuned if m.model_id in trace.chosen]
+    note({"all": Ensemble(kept)}, "ensemble", 4)
+
+    clusters, labelled = domain_labels(chosen)
+    labelled = keep_table(labelled, "labelled")
+    domains = range(clusters.getK())
+    whole = fine_tune_many([m for m in kept for _ in domains], labelled, 0.7, [F.col("domain") == d for _ in kept for d in domains], [f"{m.model_id}-domain-{d}" for m in kept for d in domains])
+    weighted = Weighted([Ensemble(whole[d :: len(domains)]) for d in domains])
+    router = ensemble.train_domain_router(labelled, ("src_toks",))
+    routed = {s: with_weights(router, df) for s, df in splits.items()}
+    note({"all": weighted}, "domain weighted", 5, routed, weights="weights")
+
+    lms = {"inside": ngram.fit_counts(inside, "tgt_toks", 2), "general": ngram.fit_counts(base, "tgt_toks", 2)} | {f"domain{d}": ngram.fit_counts(labelled.filter(F.col("domain") == d), "tgt_toks", 2) for d in domains}
+    lists = nbest_rows(weighted, routed, lms)
+    w = rerank.kbmira(lists.filter("split = 'dev_a'").select("sent_id", "hyp_rank", "feats", "stats"), epochs=10)
+    top = bleu.corpus_bleu(rerank.rerank(lists, w), "sent_id", "hyp", "tgt", ("split",), tokenize="split").collect()  # a row a split
+    rows.extend(("all", "re-ranked", 6, r["split"], float(r["bleu"])) for r in top)
     return rows
 
 
-def nbest_rows(model, df: DataFrame, lm: DataFrame, n: int = 5) -> DataFrame:
-    """N-best lists with features and BLEU statistics, ready for MIRA."""
-    found = decode(model, df, mode="beam", beam=n, nbest=n, weights="weights" if "weights" in df.columns else None)
-    rows = found.join(df.select("pair_id", "src_toks", "tgt"), "pair_id").withColumnsRenamed({"pair_id": "sent_id", "score": "nmt"})
-    rows = rerank.add_features(rows, {"lm": lm}).withColumn("hyp", F.array_join("hyp_toks", " ")).withColumn("key", F.concat_ws("#", "sent_id", "hyp_rank"))
-    rows = keep_table(rows, "nbest")
-    names = ("m1", "m2", "m3", "m4", "t1", "t2", "t3", "t4", "hyp_len", "ref_len")
-    stats = bleu.statistics(rows, "key", "hyp", "tgt", "split").select("key", F.array(*(F.col(c).cast("double") for c in names)).alias("stats"))
-    return rows.join(stats, "key")
+def nbest_rows(model, splits: dict[str, DataFrame], lms: dict[str, DataFrame], n: int = 5) -> DataFrame:
+    """N-best lists of all splits with features and BLEU statistics, ready for MIRA."""
+    data = None
+    for s, df in splits.items():
+        part = df.select("pair_id", "src_toks", "tgt", *(["weights"] if "weights" in df.columns else []), F.lit(s).alias("split"))
+        data = part if data is None else data.unionByName(part)
+    found = decode(model, data, mode="beam", beam=n, nbest=n, weights="weights" if "weights" in data.columns else None, carry=("src_toks", "tgt", "split"))
+    rows = keep_table(found.withColumnsRenamed({"pair_id": "sent_id", "score": "nmt"}), "nbest")
+    rows = keep_table(rerank.add_features(rows, lms).withColumn("hyp", F.array_join("hyp_toks", " ")).withColumn("key", F.concat_ws("#", "sent_id", "hyp_rank")), "featured")
+    stats = bleu.statistics(rows, "key", "hyp", "tgt", "split").select("key", F.array(*(F.col(c).cast("double") for c in bleu.SUMS)).alias("stats"))
+    return keep_table(rows.join(stats, "key"), "lists")
+
+

@@ -71,6 +71,27 @@ def two_style_bitext(spark: SparkSession, sf_dir: str, digits: int = 4) -> DataF
     return out.withColumn("tgt", F.array_join("tgt_toks", " ")).withColumn("src", F.array_join("src_toks", " ")).withColumn("pair_id", pair_id(F.col("src"), F.col("tgt")))
 
 
+def domain_bitext(spark: SparkSession, sf_dir: str, digits: int = 3, inside: float = 0.15, inside_mono: float = 0.5) -> DataFrame:
+    """Cipher bitext of a general and an in-domain register, with columns style (0, 1; 2 for general) and part (bitext, mono; null outside the training split).
+
+    General pairs write short target words in a form of their own. In-domain
+    pairs come in the two styles of two_style_bitext, each with its cue word
+    in the source. Training bitext is mostly general, monolingual text (the
+    other half of the training split) less so; the other splits are in-domain.
+    """
+    base = cipher_bitext(spark, sf_dir, digits)
+    u = lambda what: uniform(F.col("genre"), F.col("tgt"), F.lit(what))
+    part = F.when(F.col("split") == "train", F.when(u("part") < 0.5, "bitext").otherwise("mono"))
+    share = F.when(part == "bitext", inside).when(part == "mono", inside_mono).otherwise(1.0)
+    style = F.when(u("domain") < share, (u("style") < 0.5).cast("int")).otherwise(2)
+    out = base.withColumn("part", part).withColumn("style", style)
+    form = F.element_at(F.array(F.lit(""), F.lit("~"), F.lit("^")), F.col("style") + 1)
+    styled = F.transform("tgt_toks", lambda t: F.when(F.length(t) <= 3, F.concat(t, form)).otherwise(t))
+    cue = F.when(F.col("style") == 2, F.array().cast("array<string>")).otherwise(F.array(F.concat(F.lit("cue"), F.col("style").cast("string"))))
+    out = out.withColumn("tgt_toks", styled).withColumn("src_toks", F.concat(cue, "src_toks"))
+    return out.withColumn("tgt", F.array_join("tgt_toks", " ")).withColumn("src", F.array_join("src_toks", " ")).withColumn("pair_id", pair_id(F.col("src"), F.col("tgt")))
+
+
 def corrupted_bitext(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(pair_id, src, tgt, truth): cipher bitext of which about a quarter is damaged, each kind at three in a hundred."""
     pairs = cipher_bitext(spark, sf_dir).select("src", "tgt", "src_toks")
