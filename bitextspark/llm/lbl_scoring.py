@@ -4,11 +4,14 @@ Token counts cover all training documents, and so does the neural model: its
 vocabulary is every token of LEAST_COUNT training occurrences, so it grows
 with the corpus (to HOT_WORDS at most, what a worker can hold), and each
 training document takes part in estimation. The vector of the next token is
-predicted as a sum of linear maps of the vectors of the tokens before it. Its
+predicted as the sum of a vector of each token before it, by its distance
+(words' vectors and the linear map of a distance are one table). Its
 probability has two factors: the SHORT most frequent words are classes of
 their own and the others lie in classes of MEMBERS neighbours in rank; first
 the class is predicted, then the word within it, each normalised by matrix
-products. Tokens outside the vocabulary share one class; one of them has the
+products. As the score of a class is a sum over the tokens before, its
+exponential is a product: one table of exponentials a distance, made once,
+gives a normaliser as the inner product of two of its rows. Tokens outside the vocabulary share one class; one of them has the
 class's probability times its smoothed share of it, so probabilities over all
 tokens, unseen ones as one, sum to one.
 
@@ -27,6 +30,7 @@ from __future__ import annotations
 import math
 from collections import Counter
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -38,14 +42,19 @@ from .common import as_bytes, cut, slices, tidy
 
 HOT_WORDS = 120_000
 #: A token with as many training occurrences is a word of the neural model.
-LEAST_COUNT = 30
-SHORT, MEMBERS = 256, 256
+LEAST_COUNT = 100
+SHORT, MEMBERS = 128, 128
+#: Words whose factors a worker keeps, and rows of a table that travel together.
+HELD, BLOCK = 8192, 256
 ROUNDS, LEARNERS = 3, 16
 #: Tokens that a small corpus is read again for, up to MOST_VISITS times in all.
 VISITED_TOKENS, MOST_VISITS = 3_000_000, 3
-DIMENSIONS = 48
+DIMENSIONS = 32
 CONTEXT = 2
-NOISE, CLASS_NOISE = 64, 2
+NOISE, CLASS_NOISE = 24, 1
+RATE = 0.1
+#: Tokens a step: a corpus is learned in STEPS steps at least, as far as batches may be that small.
+LEAST_BATCH, MOST_BATCH, STEPS = 512, 8192, 4000
 END = b""  # no word is empty
 LN10 = math.log(10)
 
@@ -74,37 +83,65 @@ def log_sum(s: np.ndarray) -> np.ndarray:
 class LogBilinear:
     """Row w of context is word w; the row behind the words stands for all others, the last one for a text's start. target and bias have a row per class, word and word_bias one per word."""
 
-    context: np.ndarray  # (CONTEXT, words + 2, d): mapped vectors of the tokens before, the nearest first
+    context: np.ndarray  # (CONTEXT, words + 2, d): vectors of the tokens before, the nearest first
     target: np.ndarray  # (classes, d)
     bias: np.ndarray  # (classes,)
     word: np.ndarray  # (words, d)
     word_bias: np.ndarray  # (words,)
 
+    def __post_init__(self):
+        self._held = None
+
     def hidden(self, before: np.ndarray) -> np.ndarray:
         return sum(self.context[j][before[:, j]] for j in range(CONTEXT))
 
+    def _factor(self, j: int, words: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The exponentials of the classes' scores after words at distance j, over each row's largest, and its logarithm."""
+        scores = self.context[j][words] @ self.target.T
+        if j == 0:
+            scores += self.bias
+        top = scores.max(axis=1)
+        scores -= top[:, None]
+        return np.exp(scores, out=scores), top
+
     def log_partition(self, before: np.ndarray) -> np.ndarray:
-        """Logarithms of the classes' sums."""
-        out = np.empty(len(before), dtype=np.float32)
-        for a in range(0, len(before), 2048):
-            out[a : a + 2048] = log_sum(self.hidden(before[a : a + 2048]) @ self.target.T + self.bias)
+        """Logarithms of the classes' sums. Factors of the HELD most frequent words are kept, others' are made once a call."""
+        if self._held is None:
+            self._held = [self._factor(j, np.arange(min(HELD, self.context.shape[1]))) for j in range(CONTEXT)]
+        tables, tops, places = [], [], []
+        for j, (table, top) in enumerate(self._held):
+            rare, back = np.unique(np.where(before[:, j] >= len(table), before[:, j], -1), return_inverse=True)
+            more, more_top = self._factor(j, rare[rare >= 0])
+            tables.append(np.concatenate([table, more]) if len(more) else table)
+            tops.append(np.concatenate([top, more_top]))
+            places.append(np.where(before[:, j] >= len(table), len(table) + back - (rare[0] < 0), before[:, j]) if len(before) else before[:, j])
+        out = sum(top[at] for top, at in zip(tops, places, strict=True)).astype(np.float64)
+        for a in range(0, len(before), 4096):
+            part = slice(a, a + 4096)
+            product = tables[0][places[0][part]]
+            for j in range(1, CONTEXT - 1):
+                product = product * tables[j][places[j][part]]
+            z = np.einsum("tc,tc->t", product, tables[-1][places[-1][part]])
+            # where the largest classes of the factors differ by much, their product may vanish; those few are summed the plain way
+            good = z > 1e-25
+            out[part] += np.log(np.where(good, z, 1))
+            for i in a + np.flatnonzero(~good):
+                out[i] = log_sum((self.hidden(before[i : i + 1]) @ self.target.T + self.bias).astype(np.float64))[0]
         return out
 
     def log_probability(self, words: np.ndarray, before: np.ndarray) -> np.ndarray:
         """Of every word after its context, that of the class for words outside the vocabulary."""
-        v, n = len(self.word), len(self.word) + 2
-        key, back = np.unique(before @ (n ** np.arange(CONTEXT, dtype=np.int64)), return_inverse=True)
-        once = np.stack([key // n**j % n for j in range(CONTEXT)], axis=1)
-        classes, hidden = class_of(words, v), self.hidden(once)
-        out = (np.einsum("td,td->t", hidden[back], self.target[classes]) + self.bias[classes] - self.log_partition(once)[back]).astype(np.float64)
+        v = len(self.word)
+        classes, hidden = class_of(words, v), self.hidden(before)
+        out = np.einsum("td,td->t", hidden, self.target[classes]) + self.bias[classes] - self.log_partition(before)
         deep = np.flatnonzero((words >= SHORT) & (words < v))
-        deep = deep[np.argsort(classes[deep], kind="stable")]
+        deep = deep[np.argsort(classes[deep].astype(np.uint16), kind="stable")]
         for part in np.split(deep, np.flatnonzero(np.diff(classes[deep])) + 1) if len(deep) else ():
             lo = SHORT + (classes[part[0]] - SHORT) * MEMBERS
             hi = min(lo + MEMBERS, v)
             for a in range(0, len(part), 4096):
                 i = part[a : a + 4096]
-                s = hidden[back[i]] @ self.word[lo:hi].T + self.word_bias[lo:hi]
+                s = hidden[i] @ self.word[lo:hi].T + self.word_bias[lo:hi]
                 out[i] += s[np.arange(len(i)), words[i] - lo] - log_sum(s)
         return out
 
@@ -116,7 +153,7 @@ def contexts(classes: np.ndarray, first: np.ndarray, start: int) -> np.ndarray:
 
 
 class Learner:
-    """Parameters in four tables (word vectors, maps, classes, words; biases are last columns) and the steps that change them.
+    """Parameters in three tables (vectors of the tokens before, one part a distance; classes; words; biases are last columns) and the steps that change them.
 
     unigram has the words' weights and, last, that of all others; it is the noise and the starting point.
     """
@@ -127,71 +164,87 @@ class Learner:
         v = self.vocabulary = len(unigram) - 1
         self.classes = class_of(np.arange(v + 1), v)
         mass = np.bincount(self.classes, self.noise)
-        self.log_noise, self.ladder = np.log(mass), np.cumsum(mass)
+        self.log_noise, self.ladder = np.log(mass).astype(np.float32), np.cumsum(mass)
         self.ladder_words = np.concatenate([[0.0], np.cumsum(self.noise)])
         self.log_share = np.log(self.noise / mass[self.classes]).astype(np.float32)
         draw = lambda n: rng.normal(0, 0.1, (n, d)).astype(np.float32)
-        vectors, maps = draw(v + 2), np.concatenate([np.eye(d, dtype=np.float32) * 0.5 for _ in range(CONTEXT)])
-        self.tables = [vectors, maps, np.column_stack([draw(len(mass)), self.log_noise]).astype(np.float32), np.column_stack([draw(v), self.log_share[:v]]).astype(np.float32)]
-        self.squares = [np.full_like(x, 1e-2) for x in self.tables]
+        self.tables = [draw(CONTEXT * (v + 2)), np.column_stack([draw(len(mass)), self.log_noise]).astype(np.float32), np.column_stack([draw(v), self.log_share[:v]]).astype(np.float32)]
+        self.squares = [np.full(len(x), 1e-2, dtype=np.float32) for x in self.tables]
         self.drawn = [np.zeros(len(x), dtype=np.float32) for x in self.tables]
 
     def _step(self, i: int, rows: np.ndarray, gradient: np.ndarray) -> None:
+        """An adaptive step of each row by the sum of its gradients; a row has one step size."""
         order = np.argsort(rows, kind="stable")
         rows = rows[order]
         starts = np.flatnonzero(np.concatenate([[True], rows[1:] != rows[:-1]]))
         at, summed = rows[starts], np.add.reduceat(gradient[order], starts, axis=0)
-        squares = self.squares[i][at] + summed * summed
+        squares = self.squares[i][at] + np.einsum("rd,rd->r", summed, summed) / np.float32(summed.shape[1])
         self.squares[i][at] = squares
-        self.tables[i][at] -= np.float32(0.05) * summed / np.sqrt(squares)
+        summed *= (np.float32(-RATE) / np.sqrt(squares))[:, None]
+        self.tables[i][at] += summed
         self.drawn[i][at] += np.diff(np.append(starts, len(rows)))
 
-    def learn(self, y: np.ndarray, before: np.ndarray, rng: np.random.Generator) -> None:
+    def learn(self, y: np.ndarray, before: np.ndarray, rng: np.random.Generator, batch: int = LEAST_BATCH) -> None:
         """One visit of words y after their contexts, in random order."""
-        vectors, maps, classes, words = self.tables
+        vectors, classes, words = self.tables
         d, v = DIMENSIONS, self.vocabulary
-        map_rows = np.arange(CONTEXT * d)
-        log_noise, share = self.log_noise.astype(np.float32) + np.float32(math.log(NOISE)), np.float32(math.log(CLASS_NOISE))
-        sure = lambda x: 1 / (1 + np.exp(np.clip(-x, -30, 30)))
+        log_noise, share = self.log_noise + np.float32(math.log(NOISE)), np.float32(math.log(CLASS_NOISE))
+
+        def sure(x):
+            np.clip(x, -30, 30, out=x)
+            np.negative(x, out=x)
+            np.exp(x, out=x)
+            x += 1
+            return np.reciprocal(x, out=x)
+
         order = rng.permutation(len(y))
-        for a in range(0, len(order), 1024):
-            part = order[a : a + 1024]
-            own, near = y[part], before[part]
+        offsets = np.arange(CONTEXT) * (v + 2)
+        for a in range(0, len(order), batch):
+            part = order[a : a + batch]
+            own, near = y[part], before[part] + offsets
             own_class = self.classes[own]
-            seen = [vectors[near[:, j]] for j in range(CONTEXT)]
-            hidden = sum(seen[j] @ maps[j * d : j * d + d] for j in range(CONTEXT))
+            hidden = vectors[near[:, 0]]
+            for j in range(1, CONTEXT):
+                hidden += vectors[near[:, j]]
             drawn = np.minimum(np.searchsorted(self.ladder, rng.random(NOISE)), len(self.ladder) - 1)
             t_own, t_drawn = classes[own_class], classes[drawn]
             # how far each is from being taken for noise; log(NOISE * noise) is what noise would score
-            g_real = sure((hidden * t_own[:, :d]).sum(axis=1) + t_own[:, d] - log_noise[own_class]) - 1
-            g_false = sure(hidden @ t_drawn[:, :d].T + t_drawn[:, d] - log_noise[drawn])
-            g_hidden = g_real[:, None] * t_own[:, :d] + g_false @ t_drawn[:, :d]
-            c_rows = np.concatenate([own_class, drawn])
-            c_grad = np.concatenate([np.column_stack([g_real[:, None] * hidden, g_real]), np.column_stack([g_false.T @ hidden, g_false.sum(axis=0)])])
+            g_real = sure(np.einsum("bd,bd->b", hidden, t_own[:, :d]) + t_own[:, d] - log_noise[own_class]) - 1
+            g_false = sure(hidden @ t_drawn[:, :d].T + (t_drawn[:, d] - log_noise[drawn]))
+            g_hidden = g_false @ t_drawn[:, :d]
+            g_hidden += g_real[:, None] * t_own[:, :d]
+            g_own = np.empty((len(part), d + 1), dtype=np.float32)
+            np.multiply(hidden, g_real[:, None], out=g_own[:, :d])
+            g_own[:, d] = g_real
+            g_noise = np.column_stack([g_false.T @ hidden, g_false.sum(axis=0)])
             deep = np.flatnonzero((own >= SHORT) & (own < v))
             if len(deep):
                 w, h = own[deep], hidden[deep]
                 lo = SHORT + (w - SHORT) // MEMBERS * MEMBERS
                 hi = np.minimum(lo + MEMBERS, v)
-                low, high = self.ladder_words[lo][:, None], self.ladder_words[hi][:, None]
-                other = np.searchsorted(self.ladder_words, low + (high - low) * rng.random((len(w), CLASS_NOISE)), side="right") - 1
-                other = np.clip(other, lo[:, None], hi[:, None] - 1)
-                t_w, t_other = words[w], words[other]
-                real = sure((h * t_w[:, :d]).sum(axis=1) + t_w[:, d] - self.log_share[w] - share) - 1
-                false = sure(np.matmul(t_other[:, :, :d], h[:, :, None])[:, :, 0] + t_other[:, :, d] - self.log_share[other] - share)
-                g_hidden[deep] += real[:, None] * t_w[:, :d] + np.matmul(false[:, None, :], t_other[:, :, :d])[:, 0]
-                g = np.concatenate([real, false.ravel()])
-                self._step(3, np.concatenate([w, other.ravel()]), np.column_stack([np.concatenate([h, np.repeat(h, CLASS_NOISE, axis=0)]) * g[:, None], g]))
-            g_maps = np.concatenate([seen[j].T @ g_hidden for j in range(CONTEXT)]) / np.float32(len(part))
-            g_vectors = np.concatenate([g_hidden @ maps[j * d : j * d + d].T for j in range(CONTEXT)])
-            self._step(2, c_rows, c_grad)
-            self._step(0, near.T.ravel(), g_vectors)
-            self._step(1, map_rows, g_maps)
+                t_w = words[w]
+                real = sure(np.einsum("bd,bd->b", h, t_w[:, :d]) + t_w[:, d] - self.log_share[w] - share) - 1
+                g_deep = real[:, None] * t_w[:, :d]
+                g_rows, g_sums = [w], [np.column_stack([h * real[:, None], real])]
+                low, high = self.ladder_words[lo], self.ladder_words[hi]
+                for _ in range(CLASS_NOISE):
+                    other = np.searchsorted(self.ladder_words, low + (high - low) * rng.random(len(w)), side="right") - 1
+                    other = np.clip(other, lo, hi - 1)
+                    t_other = words[other]
+                    false = sure(np.einsum("bd,bd->b", h, t_other[:, :d]) + t_other[:, d] - self.log_share[other] - share)
+                    g_deep += false[:, None] * t_other[:, :d]
+                    g_rows.append(other)
+                    g_sums.append(np.column_stack([h * false[:, None], false]))
+                g_hidden[deep] += g_deep
+                self._step(2, np.concatenate(g_rows), np.concatenate(g_sums))
+            self._step(1, np.concatenate([own_class, drawn]).astype(np.uint16), np.concatenate([g_own, g_noise]))
+            for j in range(CONTEXT):
+                self._step(0, near[:, j], g_hidden)
 
     def model(self) -> LogBilinear:
-        vectors, maps, classes, words = self.tables
+        vectors, classes, words = self.tables
         d = DIMENSIONS
-        return LogBilinear(np.stack([vectors @ maps[j * d : j * d + d] for j in range(CONTEXT)]), classes[:, :d].copy(), classes[:, d].copy(), words[:, :d].copy(), words[:, d].copy())
+        return LogBilinear(vectors.reshape(CONTEXT, -1, d).copy(), classes[:, :d].copy(), classes[:, d].copy(), words[:, :d].copy(), words[:, d].copy())
 
 
 def train(texts: list[np.ndarray], unigram: np.ndarray, rounds: int = 3, seed: int = 1) -> LogBilinear:
@@ -205,76 +258,78 @@ def train(texts: list[np.ndarray], unigram: np.ndarray, rounds: int = 3, seed: i
     return learner.model()
 
 
-#: Table, row, how often drawn, mean square, change of the row as 16-bit floats.
-_CHANGED = "k int, row long, drawn double, square double, x binary"
+#: Table, rows' block, how often drawn, mean squares, changes of the rows as 16-bit floats.
+_CHANGED = "k int, block long, drawn binary, square binary, x binary"
 
 
-def _rows(kinds, rows, drawn, squares, x) -> pa.RecordBatch:
-    values = pa.array([r.tobytes() for r in x.astype(np.float16)], pa.binary())
-    return pa.RecordBatch.from_arrays([pa.array(kinds, pa.int32()), pa.array(rows, pa.int64()), pa.array(drawn, pa.float64()), pa.array(squares, pa.float64()), values], names=["k", "row", "drawn", "square", "x"])
+def _blocks(found) -> pa.RecordBatch:
+    """found: (table, block, drawn, squares, changes) of blocks."""
+    k, block, drawn, square, x = zip(*found, strict=True)
+    packed = lambda arrays, kind: pa.array([a.astype(kind).tobytes() for a in arrays], pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(k, pa.int32()), pa.array(block, pa.int64()), packed(drawn, np.float32), packed(square, np.float32), packed(x, np.float16)], names=["k", "block", "drawn", "square", "x"])
 
 
-def _arrays(batch: pa.RecordBatch) -> tuple[np.ndarray, ...]:
-    """(row, drawn, square, x) of rows of one table."""
-    x = np.frombuffer(b"".join(batch.column("x").to_pylist()), dtype=np.float16).reshape(batch.num_rows, -1)
-    return *(batch.column(c).to_numpy() for c in ("row", "drawn", "square")), x
+def _unpacked(batch: pa.RecordBatch):
+    """(table, block, drawn, squares, changes) of every row of a batch."""
+    for k, block, drawn, square, x in zip(*(batch.column(c).to_pylist() for c in ("k", "block", "drawn", "square", "x")), strict=True):
+        drawn = np.frombuffer(drawn, dtype=np.float32)
+        yield k, block, drawn, np.frombuffer(square, dtype=np.float32), np.frombuffer(x, dtype=np.float16).reshape(len(drawn), -1).astype(np.float32)
 
 
 def fit(training: DataFrame, id_col: str, text_col: str, number: dict[bytes, int], unigram: np.ndarray, n_tokens: int) -> LogBilinear:
     """The model of all rows of training: rounds of learners whose changed rows are averaged."""
     learner, v = Learner(unigram), len(unigram) - 1
+    batch_size = max(LEAST_BATCH, min(MOST_BATCH, n_tokens // STEPS))
     visits = max(1, min(MOST_VISITS, -(-VISITED_TOKENS // max(1, n_tokens))))
     # the documents are dealt into ROUNDS parts; a round reads visits of them, so each document is read visits times
     deal = F.pmod(F.xxhash64(F.col(id_col).cast("string"), F.lit(7)), F.lit(ROUNDS))
     for n in range(ROUNDS):
         wanted = [(n + i) % ROUNDS for i in range(visits)]
         # bounded by HOT_WORDS
-        sent = training.sparkSession.sparkContext.broadcast((list(number), unigram, learner.tables, [x.mean(axis=1) for x in learner.squares]))
+        sent = training.sparkSession.sparkContext.broadcast((list(number), unigram, learner.tables, learner.squares))
 
         def run(batches, sent=sent, n=n):
             words, unigram, tables, squares = sent.value
             number = {w: i for i, w in enumerate(words)}
             learner = Learner(unigram)
             for k, table in enumerate(tables):  # copies: the worker keeps the broadcast for its other tasks
-                learner.tables[k][:], learner.squares[k][:] = table, squares[k][:, None]
+                learner.tables[k][:], learner.squares[k][:] = table, squares[k]
             rng = np.random.default_rng([TaskContext.get().partitionId(), n])
             for whole in batches:
                 for batch in slices(whole, "t"):
                     texts = [[number.get(w, v) for w in tokens(t)] for t in as_bytes(batch.column("t"))]
                     sizes = np.array([len(t) for t in texts])
-                    y = np.fromiter((w for t in texts for w in t), dtype=np.int64, count=int(sizes.sum()))
-                    learner.learn(y, contexts(y, np.repeat(np.cumsum(np.append(0, sizes[:-1])), sizes), v + 1), rng)
+                    y = np.fromiter(chain.from_iterable(texts), dtype=np.int64, count=int(sizes.sum()))
+                    learner.learn(y, contexts(y, np.repeat(np.cumsum(np.append(0, sizes[:-1])), sizes), v + 1), rng, batch_size)
             for k, (table, squares, drawn, start) in enumerate(zip(learner.tables, learner.squares, learner.drawn, tables, strict=True)):
-                changed = np.flatnonzero(drawn)
-                for a in range(0, len(changed), 4096):
-                    at = changed[a : a + 4096]
-                    yield _rows(np.full(len(at), k), at, drawn[at], squares[at].mean(axis=1), table[at] - start[at])
+                found = [(k, a // BLOCK, drawn[a : a + BLOCK], squares[a : a + BLOCK], table[a : a + BLOCK] - start[a : a + BLOCK]) for a in range(0, len(table), BLOCK) if drawn[a : a + BLOCK].any()]
+                for a in range(0, len(found), 64):
+                    yield _blocks(found[a : a + 64])
 
         def average(batches):
-            # a partition holds all of a row's copies, LEARNERS at most
-            parts: dict[int, list] = {}
+            # a partition holds all of a block's copies, LEARNERS at most; they are summed as they come
+            sums: dict[tuple[int, int], list[np.ndarray]] = {}
             for batch in batches:
-                kinds = batch.column("k").to_numpy()
-                for k in np.unique(kinds):
-                    parts.setdefault(int(k), []).append(_arrays(batch.filter(pa.array(kinds == k))))
-            for k, found in parts.items():
-                row, drawn, square, x = (np.concatenate(z) for z in zip(*found, strict=True))
-                order = np.argsort(row, kind="stable")
-                row, drawn = row[order], drawn[order]
-                starts = np.flatnonzero(np.concatenate([[True], row[1:] != row[:-1]]))
-                total = np.add.reduceat(drawn, starts)
-                mean = lambda z, order=order, drawn=drawn, starts=starts, total=total: np.add.reduceat(z[order] * drawn[:, None], starts, axis=0) / total[:, None]
-                yield _rows(np.full(len(starts), k), row[starts], total, mean(square[:, None])[:, 0], mean(x.astype(np.float32)))
+                for k, block, drawn, square, x in _unpacked(batch):
+                    parts = (drawn, square * drawn, x * drawn[:, None])
+                    held = sums.get((k, block))
+                    if held is None:
+                        sums[k, block] = [p.astype(np.float64) for p in parts]
+                    else:
+                        for h, p in zip(held, parts, strict=True):
+                            h += p
+            for (k, block), (drawn, square, x) in sums.items():
+                over = np.maximum(drawn, 1e-9)
+                yield _blocks([(k, block, drawn, square / over, x / over[:, None])])
 
         read = training.filter(deal.isin(wanted)).select(F.col(text_col).alias("t")).coalesce(LEARNERS)
-        changed = cut(read.mapInArrow(tidy(run), _CHANGED).repartition("k", "row").mapInArrow(tidy(average), _CHANGED), f"round-{n}").toArrow()
+        changed = cut(read.mapInArrow(tidy(run), _CHANGED).repartition("k", "block").mapInArrow(tidy(average), _CHANGED), f"round-{n}").toArrow()
         sent.destroy()  # the round is written; the files of the broadcast would stay
         for batch in changed.to_batches():
-            kinds = batch.column("k").to_numpy()
-            for k in np.unique(kinds):
-                row, _, square, x = _arrays(batch.filter(pa.array(kinds == k)))
-                learner.tables[k][row] += x
-                learner.squares[k][row] = square[:, None]
+            for k, block, drawn, square, x in _unpacked(batch):
+                at = np.flatnonzero(drawn)
+                learner.tables[k][block * BLOCK + at] += x[at]
+                learner.squares[k][block * BLOCK + at] = square[at]
     return learner.model()
 
 
@@ -324,15 +379,15 @@ class Scorer:
     def texts(self, texts: list[bytes | None]):
         """Per text: tokens, hot tokens, log10 sum of (c + 0.5) over hot tokens and over those outside the vocabulary, tokens outside it, the model's log10 sum; and the tokens that aren't hot."""
         get = self.index.get
-        found, numbers = [tokens(t) for t in texts], []
-        rare = []
-        for words in found:
-            i = [get(w, -1) for w in words]
-            numbers.append(i)
-            rare.append(Counter([w for w, k in zip(words, i, strict=True) if k < 0]))
-        sizes = np.array([len(i) for i in numbers])
+        found = [tokens(t) for t in texts]
+        sizes = np.array([len(i) for i in found])
         first = np.cumsum(np.append(0, sizes[:-1]))
-        at = np.array([k for i in numbers for k in i], dtype=np.int64)
+        flat = list(chain.from_iterable(found))
+        at = np.array([get(w, -1) for w in flat], dtype=np.int64)
+        rare = [Counter() for _ in found]
+        missing = np.flatnonzero(at < 0)
+        for i, doc in zip(missing.tolist(), np.repeat(np.arange(len(found)), sizes)[missing].tolist(), strict=True):
+            rare[doc][flat[i]] += 1
         own = self.logs[at]  # -1: the 0.0 at the end
         outside = (at < 0) | (at >= self.vocabulary)
         score = np.zeros(len(at))
