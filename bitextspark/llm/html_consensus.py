@@ -14,10 +14,10 @@ import re
 from html import unescape
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, tidy
+from .common import cut, slices, tidy
 
 # Element names by what they do to text.
 RAW = ("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "textarea", "title", "head")
@@ -37,8 +37,8 @@ _MARKUP = re.compile(
 )
 _NAMES = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _VOID = re.compile(r"/\s*\Z")
-#: Winning paths of a host that are kept, by votes; a page has one of them or its own.
-KEPT_PATHS = 16
+#: A path that as large a share of its host's pages votes for is a consensus, so a host has a bounded number of them; a page has one of them or its own.
+CONSENSUS = 0.01
 BROADCAST_ROWS = 100_000
 
 
@@ -166,19 +166,21 @@ def votes(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> Dat
     """(host, path, votes) over all pages."""
 
     def run(batches):
-        for batch in batches:
-            own = [best(blocks(h or "")) for h in batch.column("h").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array([" ".join(p) if p else None for p in own], pa.string())], names=["host", "path"])
+        for whole in batches:
+            for batch in slices(whole, "h"):
+                own = [best(blocks(h or "")) for h in batch.column("h").to_pylist()]
+                yield pa.RecordBatch.from_arrays([batch.column("host"), pa.array([" ".join(p) if p else None for p in own], pa.string())], names=["host", "path"])
 
     read = pages.select(host(F.col(url_col)).alias("host"), F.col(html_col).alias("h"))
     return read.mapInArrow(tidy(run), "host string, path string").filter("path is not null").groupBy("host", "path").agg(F.count("*").alias("votes"))
 
 
-def winners(voted: DataFrame, kept: int = KEPT_PATHS) -> DataFrame:
-    """(host, paths): the paths with most votes of each host, ties to the longer and then the first by order."""
-    by = Window.partitionBy("host").orderBy(F.desc("votes"), F.desc(F.length("path")), "path")
-    ranked = voted.withColumn("r", F.row_number().over(by)).filter(F.col("r") <= kept)
-    return ranked.groupBy("host").agg(F.array_sort(F.collect_list(F.struct("r", "path"))).alias("x")).select("host", F.col("x.path").alias("paths"))
+def winners(voted: DataFrame, share: float = CONSENSUS) -> DataFrame:
+    """(host, paths): the paths with share of their host's votes or more, by votes, ties to the longer and then the first by order."""
+    total = voted.groupBy("host").agg(F.sum("votes").alias("all"))
+    held = voted.join(total, "host").filter(F.col("votes") >= share * F.col("all"))
+    order = F.struct((-F.col("votes")).alias("v"), (-F.length("path")).alias("l"), "path")
+    return held.groupBy("host").agg(F.array_sort(F.collect_list(order)).alias("x")).select("host", F.col("x.path").alias("paths"))
 
 
 def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
@@ -194,9 +196,10 @@ def main_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
     read = read.join(F.broadcast(won) if won.count() <= BROADCAST_ROWS else won, "host", "left")
 
     def run(batches):
-        for batch in batches:
-            text = [extract(h, w) for h, w in zip(batch.column("h").to_pylist(), batch.column("paths").to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("i"), batch.column("u"), pa.array(text, pa.string()), pa.array(map(len, text), pa.int64())], names=["i", "u", "text", "n_chars"])
+        for whole in batches:
+            for batch in slices(whole, "h"):
+                text = [extract(h, w) for h, w in zip(batch.column("h").to_pylist(), batch.column("paths").to_pylist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column("i"), batch.column("u"), pa.array(text, pa.string()), pa.array(map(len, text), pa.int64())], names=["i", "u", "text", "n_chars"])
 
     kind = pages.schema[id_col].dataType.simpleString()
     out = read.select("i", "u", "h", "paths").mapInArrow(tidy(run), f"i {kind}, u string, text string, n_chars long")

@@ -27,16 +27,17 @@ from .common import as_bytes, slices, tidy
 FIT_DOCS = 2400
 FIT_WORDS = 240
 BUCKETS = 1 << 17
+#: Weights of n-grams in all; with many labels each has fewer buckets.
+MOST_WEIGHTS = 1 << 24
 LEXICON_WORDS = 60_000
 MEMO_WORDS = 200_000
-MOST_LABELS = 256
 UNKNOWN = "und"
 
 
 @dataclass
 class Crf:
     labels: list[str]
-    weights: np.ndarray  # (BUCKETS, labels)
+    weights: np.ndarray  # (buckets, labels)
     lexicon_weights: np.ndarray  # (labels + 1, labels): rows by what the lexicon says, the last for nothing
     transitions: np.ndarray  # (labels, labels)
     start: np.ndarray
@@ -72,15 +73,15 @@ def clean(word: str) -> str:
 def emissions(model: Crf, words: list[str]) -> np.ndarray:
     """Scores (word, label) of distinct words."""
     low = [clean(w) for w in words]
-    ids, first = ngrams(low)
+    ids, first = ngrams(low, len(model.weights))
     size = np.diff(np.append(first, len(ids)))
     out = np.add.reduceat(model.weights[ids], first, axis=0) / np.sqrt(size)[:, None]
     none = len(model.labels)
     return out + model.lexicon_weights[np.array([model.lexicon.get(w, none) for w in low])]
 
 
-def forward_backward(scores: np.ndarray, lengths: np.ndarray, transitions: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Marginals (text, word, label), expected transitions (label, label) and expected starts of padded texts."""
+def forward_backward(scores: np.ndarray, lengths: np.ndarray, transitions: np.ndarray, start: np.ndarray, expect: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Marginals (text, word, label), expected transitions (label, label; for learning, zero without expect) and expected starts of padded texts."""
     b, t, n = scores.shape
     e = np.exp(scores - scores.max(axis=2, keepdims=True))
     a = np.exp(transitions - transitions.max())
@@ -102,11 +103,11 @@ def forward_backward(scores: np.ndarray, lengths: np.ndarray, transitions: np.nd
     inside = np.arange(t)[None, :] < lengths[:, None]
     marginals *= inside[:, :, None]
     pairs = np.zeros((n, n), dtype=e.dtype)
-    if t > 1:
+    if expect and t > 1:
         right = e[:, 1:] * backward[:, 1:]
-        total = np.einsum("btl,lm,btm->bt", forward[:, :-1], a, right)
+        total = ((forward[:, :-1] @ a) * right).sum(axis=2)
         weight = inside[:, 1:] / np.maximum(total, 1e-300)
-        pairs = np.einsum("btl,btm->lm", forward[:, :-1] * weight[:, :, None], right) * a
+        pairs = ((forward[:, :-1] * weight[:, :, None]).reshape(-1, n).T @ right.reshape(-1, n)) * a
     return marginals, pairs, marginals[:, 0].sum(axis=0)
 
 
@@ -143,10 +144,11 @@ def fit(runs: list[tuple[str, list[str]]], rounds: int = 4, seed: int = 1) -> Cr
 
     vocabulary: dict[str, int] = {}
     texts = [(np.array([vocabulary.setdefault(clean(w), len(vocabulary)) for _, words in s for w in words]), np.array([label for label, words in s for _ in words])) for s in sequences]
-    ids, first = ngrams(list(vocabulary))
+    buckets = min(BUCKETS, 1 << max(10, (MOST_WEIGHTS // max(1, n)).bit_length() - 1))
+    ids, first = ngrams(list(vocabulary), buckets)
     size = np.diff(np.append(first, len(ids)))
     says = np.array([lexicon.get(w, n) for w in vocabulary])
-    model = Crf(labels, np.zeros((BUCKETS, n)), np.zeros((n + 1, n)), np.zeros((n, n)), np.zeros(n), lexicon)
+    model = Crf(labels, np.zeros((buckets, n)), np.zeros((n + 1, n)), np.zeros((n, n)), np.zeros(n), lexicon)
     params = [model.weights, model.lexicon_weights, model.transitions, model.start]
     squares = [np.full_like(p, 1e-6) for p in params]
     for _ in range(rounds):
@@ -190,15 +192,15 @@ def fit(runs: list[tuple[str, list[str]]], rounds: int = 4, seed: int = 1) -> Cr
 def sample(docs: DataFrame, id_col: str, text_col: str, lang_col: str, total: int = FIT_DOCS) -> list[tuple[str, list[str]]]:
     """(label, words) of at most total documents, evenly by language: in each of equally many hash buckets the least hash."""
     labelled = docs.filter(F.col(lang_col).isNotNull() & F.col(id_col).isNotNull() & F.col(text_col).isNotNull())
-    langs = [r[0] for r in labelled.groupBy(F.col(lang_col).alias("l")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "l").limit(MOST_LABELS).collect()]
+    langs = [r[0] for r in labelled.groupBy(F.col(lang_col).alias("l")).agg(F.count("*").alias("n")).orderBy("l").collect()]  # a row a language
     if not langs:
         return []
     buckets = max(1, total // len(langs))
     key = F.xxhash64(F.col(id_col).cast("string"), F.lit(11))
     first = labelled.groupBy(F.col(lang_col).alias("l"), F.pmod(key, F.lit(buckets)).alias("b")).agg(F.min(key).alias("h"))
-    chosen = [(r["l"], r["h"]) for r in first.filter(F.col("l").isin(langs)).collect()]
+    chosen = [(r["l"], r["h"]) for r in first.collect()]  # FIT_DOCS rows, or one a language
     spark = docs.sparkSession
-    picked = F.broadcast(spark.createDataFrame(chosen, "__l string, __h long"))  # FIT_DOCS rows at most
+    picked = F.broadcast(spark.createDataFrame(chosen, "__l string, __h long"))
     found = labelled.join(picked, (F.col(lang_col) == F.col("__l")) & (key == F.col("__h")), "left_semi").select(F.col(lang_col).cast("string").alias("l"), key.alias("h"), F.col(text_col).alias("t"))
 
     def runs(batches):
@@ -208,7 +210,7 @@ def sample(docs: DataFrame, id_col: str, text_col: str, lang_col: str, total: in
                 for h, t in zip(batch.column("h").to_pylist(), as_bytes(batch.column("t")), strict=True):
                     words = [w for w in t.decode("utf-8", "replace").split() if any(c.isalpha() for c in w)]
                     at = h % max(1, len(words) - FIT_WORDS)
-                    out.append(" ".join(w[:64] for w in words[at : at + FIT_WORDS]))
+                    out.append(" ".join(words[at : at + FIT_WORDS]))
                 yield pa.RecordBatch.from_arrays([batch.column("l"), batch.column("h"), pa.array(out, pa.string())], names=["l", "h", "w"])
 
     rows = {(r["l"], r["h"]): r["w"].split() for r in found.mapInArrow(tidy(runs), "l string, h long, w string").collect()}
@@ -257,7 +259,7 @@ class Labeller:
             padded = np.zeros((len(part), part[-1][0], self.n), dtype=np.float32)
             for k, (size, i) in enumerate(part):
                 padded[k, :size] = self.scores[rows[i]]
-            marginals = forward_backward(padded, np.array([p[0] for p in part]), self.model.transitions.astype(np.float32), self.model.start.astype(np.float32))[0]
+            marginals = forward_backward(padded, np.array([p[0] for p in part]), self.model.transitions.astype(np.float32), self.model.start.astype(np.float32), expect=False)[0]
             for k, (size, i) in enumerate(part):
                 yield i, marginals[k, :size], self.letters[rows[i]]
 

@@ -1,25 +1,32 @@
 """Near-duplicates by SimHash and multi-index hashing.
 
-Each distinct 64-bit fingerprint is seen as two 32-bit segments. Within each
-segment the Hamming ball of radius one is enumerated (the other segment stays
-as it is), which gives 1 + 32 + 32 keys, and all fingerprints meet in one
-table by key. Two fingerprints at distance d <= 2 always share a key: their
-own (d = 1) or one of the two midpoints (d = 2). A key has at most 65 members
-whatever the data, so there are no hot buckets and no cap: copies share one
-fingerprint and are folded before, and a large group of near copies is spread
-over its keys. Members of a key are linked to its first one, after the full
-distance has been verified; that keeps the components of the full link graph.
-
-This stands in for a table per segment with candidates that differ freely in
-the other one: at two bits the flips of the whole fingerprint find the same
-links, and 32-bit segments would have hot values. It doesn't carry over to
-more bits, for which ball_links refuses, and the check of the distance never
-rejects a pair.
+A fingerprint is cut into segments, and there is a table for each segment,
+keyed by the segment's value. A fingerprint looks up, in each table, the
+Hamming ball of a small radius around its own segment; what it finds may
+differ freely in the other segments, so the complete distance of every match
+is verified, and most random matches fail there. By the pigeonhole principle
+two fingerprints within segments * (radius + 1) - 1 bits always meet.
+
+LINKS, two segments of 32 bits with radius one, finds all links of two bits.
+SIMILAR is for similarity 0.8: 256 bits in 16 tables of 16 bits, of which a
+pair needs one equal segment (certain within 15 bits; by the odds of single
+bits in three of four pairs at the threshold and nearly all above 0.9).
+
+A segment's value can be hot, as near copies share most of theirs. A bucket of
+more than HOT fingerprints is dealt into blocks of about HOT; each pair of
+blocks is one group, which verifies all its pairs and gives only a spanning
+forest of their links. So no bucket meets in one task, none is capped, and the
+components are those of all links. Copies share a fingerprint and are folded
+before.
 """
 
 from __future__ import annotations
 
+from dataclasses import dataclass
+from functools import reduce
+
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
@@ -27,63 +34,150 @@ from pyspark.sql import functions as F
 
 from .common import as_bytes, cut, slices, tidy
 
-SHINGLE_WORDS = 3
 SEED = 42
-MAX_BITS = 2
-_FP, _ROOT = "__fp", "__root"
+#: Fingerprints that a bucket or a block of a hot one holds.
+HOT = 256
+#: Hot buckets up to so many are broadcast; more are joined by shuffle.
+BROADCAST_ROWS = 100_000
+#: Ids of documents that go, broadcast up to so many.
+KEPT_IDS = 1_000_000
+_ROOT = "__root"
+
+
+@dataclass(frozen=True)
+class Layout:
+    """Words a shingle, fingerprint bits in longs, segments and the radius of the balls around them, and the most bits of a link."""
+
+    words: int
+    longs: int
+    segments: int
+    radius: int
+    max_bits: int
+
+    def __post_init__(self):
+        if self.radius not in (0, 1) or 64 * self.longs % self.segments or self.width > 32:
+            raise ValueError("segments of 32 bits at most that fill the fingerprint, and balls of radius 0 or 1")
+
+    @property
+    def width(self) -> int:
+        return 64 * self.longs // self.segments
+
+    @property
+    def certain(self) -> int:
+        """Bits within which no link can be missed."""
+        return self.segments * (self.radius + 1) - 1
+
+    @property
+    def columns(self) -> list[str]:
+        return [f"__f{i}" for i in range(self.longs)]
+
+
+LINKS = Layout(words=3, longs=1, segments=2, radius=1, max_bits=2)
+#: Two sets of equal size with Jaccard index 0.8 have a cosine of 8/9, and differ in 256 * acos(8/9) / pi = 38.8 bits.
+SIMILAR = Layout(words=5, longs=4, segments=16, radius=0, max_bits=38)
+
 
+def _mixed(h: np.ndarray, n: int) -> np.ndarray:
+    """The n-th further hash of 64-bit hashes."""
+    h = h + np.uint64((0x9E3779B97F4A7C15 * n) & (2**64 - 1))
+    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return h ^ (h >> np.uint64(31))
 
-def fingerprint(text: bytes | None, words: int = SHINGLE_WORDS, seed: int = SEED) -> int:
-    """SimHash of a text as a signed 64-bit integer; zero without words."""
+
+def fingerprint(text: bytes | None, words: int = LINKS.words, seed: int = SEED, longs: int = 1) -> list[int]:
+    """SimHash of a text as signed 64-bit integers; zero without words. The first one is that of the shingles' XXH64."""
     found = text.lower().split() if text else []
     if not found:
-        return 0
+        return [0] * longs
     if len(found) < words:
         shingles = [b" ".join(found)]
     else:
         shingles = map(b" ".join, zip(*(found[i:] for i in range(words)), strict=False))
     digest = xxhash.xxh64_intdigest
     hashes = np.array([digest(x, seed) for x in shingles], dtype="<u8")
-    ones = np.zeros(64, dtype=np.int64)
+    ones = np.zeros((longs, 64), dtype=np.int64)
     for i in range(0, len(hashes), 4096):
         part = hashes[i : i + 4096]
-        ones += np.unpackbits(part.view(np.uint8).reshape(len(part), 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
-    return int(np.packbits(2 * ones > len(hashes), bitorder="little").view("<i8")[0])
+        for k in range(longs):
+            own = _mixed(part, k) if k else part
+            ones[k] += np.unpackbits(own.view(np.uint8).reshape(len(own), 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int32)
+    return np.packbits(2 * ones > len(hashes), axis=1, bitorder="little").view("<i8")[:, 0].tolist()
 
 
-def with_fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SHINGLE_WORDS) -> DataFrame:
-    """(id, fingerprint) of every row of docs, one row each; null texts have fingerprint zero."""
+def with_fingerprint(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", layout: Layout = LINKS) -> DataFrame:
+    """(id, fingerprint columns) of every row of docs, one row each; null texts have fingerprint zero."""
 
     def run(batches):
         for whole in batches:
             for batch in slices(whole, "t"):
-                out = pa.array([fingerprint(x, words) for x in as_bytes(batch.column("t"))], pa.int64())
-                yield pa.RecordBatch.from_arrays([batch.column("i"), out], names=["i", _FP])
+                found = [fingerprint(x, layout.words, longs=layout.longs) for x in as_bytes(batch.column("t"))]
+                yield pa.RecordBatch.from_arrays([batch.column("i"), *(pa.array(c, pa.int64()) for c in zip(*found, strict=True))], names=["i", *layout.columns])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), f"i {kind}, {_FP} bigint").withColumnRenamed("i", id_col)
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), f"i {kind}, " + ", ".join(f"{c} bigint" for c in layout.columns)).withColumnRenamed("i", id_col)
+
+
+def hamming(a: Column, b: Column, layout: Layout = LINKS) -> Column:
+    """Bits in which two fingerprints (structs of the layout's columns) differ."""
+    return reduce(Column.__add__, (F.bit_count(a[c].bitwiseXOR(b[c])) for c in layout.columns))
+
+
+def _segments(layout: Layout) -> list[Column]:
+    mask = (1 << layout.width) - 1
+    return [F.shiftrightunsigned(F.col(layout.columns[i * layout.width // 64]), i * layout.width % 64).bitwiseAND(F.lit(mask)) for i in range(layout.segments)]
+
+
+def _forest(layout: Layout):
+    """For applyInPandas: a spanning forest of the links among a group's fingerprints, as pairs of them."""
+    bits = np.array([bin(i).count("1") for i in range(1 << 16)], dtype=np.uint8)
 
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        x = np.unique(frame[layout.columns].to_numpy(dtype=np.int64), axis=0)
+        pieces = x.view(np.uint16).reshape(len(x), -1)
+        distance = np.zeros((len(x), len(x)), dtype=np.int32)
+        for k in range(pieces.shape[1]):
+            distance += bits[pieces[:, k][:, None] ^ pieces[:, k][None, :]]
+        near = distance <= layout.max_bits
+        left, out = np.ones(len(x), dtype=bool), []
+        for root in range(len(x)):
+            if left[root]:
+                left[root] = False
+                edge = [root]
+                while edge:
+                    i = edge.pop()
+                    for j in np.flatnonzero(near[i] & left):
+                        left[j] = False
+                        edge.append(j)
+                        out.append((i, j))
+        a, b = (np.array([p[k] for p in out], dtype=int) for k in (0, 1))
+        return pd.DataFrame({f"{side}{c}": x[at, k] for side, at in (("a", a), ("b", b)) for k, c in enumerate(layout.columns)})
 
-def hamming(a: Column, b: Column) -> Column:
-    return F.bit_count(a.bitwiseXOR(b))
+    return run
 
 
-def ball_links(fps: DataFrame) -> DataFrame:
-    """Links (a, b) between distinct fingerprints within two bits, as stars around a member of each key."""
-    if MAX_BITS > 2:
-        raise ValueError("flips of one bit find links of two bits at most")
-    one = [F.col(_FP)] + [F.col(_FP).bitwiseXOR(F.lit(int(np.array([1 << i], dtype=np.uint64).view(np.int64)[0]))) for i in range(64)]
-    # what a key keeps of its members: whether it is one itself, and which of its bits lead to one
-    keys = fps.select(F.posexplode(F.array(*one)).alias("p", "key"))
-    met = (
-        keys.select("key", (F.col("p") == 0).cast("int").alias("s"), F.when(F.col("p") > 0, F.expr("shiftleft(1L, p - 1)")).otherwise(F.lit(0).cast("long")).alias("m"))
-        .groupBy("key").agg(F.max("s").alias("s"), F.bit_or("m").alias("m"))
-        .filter((F.bit_count("m") + F.col("s")) >= 2)
-    )
-    members = F.filter(F.expr("transform(sequence(0, 63), i -> CASE WHEN (m & shiftleft(1L, i)) <> 0 THEN key ^ shiftleft(1L, i) END)"), lambda x: x.isNotNull())
-    stars = met.select(F.concat(F.when(F.col("s") == 1, F.array("key")).otherwise(F.array().cast("array<bigint>")), members).alias("x"))
-    links = stars.select(F.array_min("x").alias("a"), F.explode("x").alias("b")).filter(F.col("a") != F.col("b"))
-    return links.filter(hamming(F.col("a"), F.col("b")) <= MAX_BITS).distinct()
+def segment_links(fps: DataFrame, layout: Layout = LINKS) -> DataFrame:
+    """Links (a, b) between distinct fingerprints (the layout's columns) of max_bits at most, as many as their components need."""
+    columns = layout.columns
+    own = fps.select(*columns, F.posexplode(F.array(*_segments(layout))).alias("s", "v"))
+    flips = [F.lit(0).cast("long"), *(F.lit(1 << i).cast("long") for i in range(layout.width))] if layout.radius else [F.lit(0).cast("long")]
+    asked = own.select(*columns, "s", F.explode(F.transform(F.array(*flips), lambda x: x.bitwiseXOR(F.col("v")))).alias("v")) if layout.radius else own
+    hot = cut(own.groupBy("s", "v").agg(F.count("*").alias("n")).filter(F.col("n") > HOT).select("s", "v", F.ceil(F.col("n") / HOT).cast("int").alias("blocks")), "hot")
+    some = hot.count()
+    small = F.broadcast(hot) if some <= BROADCAST_ROWS else hot
+    cold = lambda df: df.join(small, ["s", "v"], "left_anti") if some else df
+    this, other = F.struct(*columns), F.struct(*(F.col(f"o{c}").alias(c) for c in columns))
+    met = cold(own).join(cold(asked).withColumnsRenamed({c: f"o{c}" for c in columns}), ["s", "v"]).filter((this != other) & (hamming(this, other, layout) <= layout.max_bits))
+    links = met.select(F.least(this, other).alias("a"), F.greatest(this, other).alias("b"))
+    if some:
+        # each row goes to all pairs of blocks that have its own block in them
+        rows = asked.join(small, ["s", "v"]).withColumn("k", F.pmod(F.xxhash64(F.lit("block"), *columns), F.col("blocks")).cast("int"))
+        dealt = rows.select(*columns, "s", "v", "k", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("j")).withColumns({"lo": F.least("k", "j"), "hi": F.greatest("k", "j")})
+        schema = ", ".join(f"{side}{c} bigint" for side in "ab" for c in columns)
+        found = dealt.groupBy("s", "v", "lo", "hi").applyInPandas(_forest(layout), schema)
+        side = lambda x: F.struct(*(F.col(f"{x}{c}").alias(c) for c in columns))
+        links = links.unionByName(found.select(F.least(side("a"), side("b")).alias("a"), F.greatest(side("a"), side("b")).alias("b")))
+    return links.distinct()
 
 
 def contract(links: DataFrame, limit: int = 60) -> DataFrame:
@@ -113,34 +207,56 @@ def contract(links: DataFrame, limit: int = 60) -> DataFrame:
     return out
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SHINGLE_WORDS) -> DataFrame:
+def components(docs: DataFrame, id_col: str, text_col: str, layout: Layout) -> DataFrame:
+    """(id, the layout's columns, the component's root and component_id) for every row of docs."""
+    columns = layout.columns
+    own = cut(with_fingerprint(docs, id_col, text_col, layout), "fingerprints")
+    fps = cut(own.groupBy(*columns).agg(F.min(id_col).alias("least")), "distinct")
+    roots = contract(segment_links(fps.select(*columns), layout))
+    named = cut(fps.withColumn("__x", F.struct(*columns)).join(roots, F.col("__x") == roots["node"], "left").select(*columns, "least", F.coalesce(_ROOT, "__x").alias(_ROOT)), "named")
+    least = cut(named.groupBy(_ROOT).agg(F.min("least").alias("component_id")), "least")
+    by_fp = cut(named.join(least, _ROOT).select(*columns, _ROOT, "component_id"), "by-fingerprint")
+    return own.join(by_fp, columns).select(id_col, *columns, _ROOT, "component_id")
+
+
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", layout: Layout = LINKS) -> DataFrame:
     """(id, fingerprint, component_id) for every row of docs.
 
-    component_id is the smallest id reachable over links of at most two bits.
-    A row without words has fingerprint zero and is linked like any other;
-    repeated rows stay repeated; a null id is carried but never names a
-    component (a component of null ids only has a null component_id). An
-    empty table gives an empty result. Other columns of docs are not read.
+    component_id is the smallest id reachable over links of at most the
+    layout's bits. A row without words has fingerprint zero and is linked like
+    any other; repeated rows stay repeated; a null id is carried but never
+    names a component (a component of null ids only has a null component_id).
+    An empty table gives an empty result. Other columns of docs are not read.
     """
-    own = cut(with_fingerprint(docs, id_col, text_col, words), "fingerprints")
-    fps = cut(own.groupBy(_FP).agg(F.min(id_col).alias("least")), "distinct")
-    roots = contract(ball_links(fps.select(_FP)))
-    named = cut(fps.join(roots, fps[_FP] == roots["node"], "left").select(_FP, "least", F.coalesce(_ROOT, _FP).alias(_ROOT)), "named")
-    least = cut(named.groupBy(_ROOT).agg(F.min("least").alias("component_id")), "least")
-    by_fp = cut(named.join(least, _ROOT).select(_FP, "component_id"), "by-fingerprint")
-    return own.join(by_fp, _FP).select(id_col, F.lower(F.lpad(F.hex(_FP), 16, "0")).alias("fingerprint"), "component_id")
+    found = components(docs, id_col, text_col, layout)
+    digits = F.concat(*(F.lower(F.lpad(F.hex(c), 16, "0")) for c in reversed(layout.columns)))
+    return found.select(id_col, digits.alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of docs that name their component: one of each group of near copies.
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", layout: Layout = SIMILAR) -> DataFrame:
+    """One row of docs of each group of near copies: one that has the group's smallest id.
 
-    Rows with a null id belong to no group that can be named and are kept.
-    Of rows that repeat a kept id, one stays.
+    Rows with a null id belong to no group that can be named and are kept. A
+    repeated id may lie in several groups; of its rows in a group that it names
+    the first by text stays, the others go. The ids that go meet the documents
+    in a broadcast up to KEPT_IDS of them; texts are shuffled beyond it, and
+    those of repeated ids.
     """
-    found = near_duplicates(docs.select(id_col, text_col), id_col, text_col)
-    kept = found.filter(F.col(id_col) == F.col("component_id")).select(F.col(id_col).alias("__keep"))
-    counts = kept.agg(F.count("*").alias("n"), F.count_distinct("__keep").alias("d")).first()
-    out = docs.join(kept.distinct(), docs[id_col] == F.col("__keep"), "left_semi")
-    if counts["n"] != counts["d"]:
-        out = out.dropDuplicates([id_col])
-    return out.unionByName(docs.filter(F.col(id_col).isNull()))
+    columns = list(docs.columns)
+    found = cut(components(docs.select(id_col, text_col), id_col, text_col, layout).filter(F.col(id_col).isNotNull()).withColumnRenamed(id_col, "__id"), "verdicts")
+    counts = cut(found.groupBy("__id").agg(F.count("*").alias("n"), F.max(F.col("__id") == F.col("component_id")).alias("named")).filter("n > 1 OR NOT named"), "others")
+    gone = counts.select("__id")
+    out = docs.join(F.broadcast(gone) if gone.count() <= KEPT_IDS else gone, docs[id_col] == F.col("__id"), "left_anti")
+    again = counts.filter("n > 1 AND named").select("__id")
+    if again.isEmpty():
+        return out
+
+    @F.pandas_udf("array<bigint>")
+    def own(texts: pd.Series) -> pd.Series:
+        return pd.Series([fingerprint(None if t is None else t.encode(), layout.words, longs=layout.longs) for t in texts])
+
+    rows = docs.join(again, docs[id_col] == F.col("__id"), "left_semi").select(F.struct(*columns).alias("__row"), F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t"), own(F.col(text_col)).alias("__x"))
+    rows = rows.select("__row", "__id", "__t", *(F.col("__x")[k].alias(c) for k, c in enumerate(layout.columns)))
+    named = found.filter(F.col("__id") == F.col("component_id")).select("__id", *layout.columns, _ROOT).distinct()
+    first = rows.join(named, ["__id", *layout.columns]).groupBy("__id", _ROOT).agg(F.min_by("__row", "__t").alias("__row"))
+    return out.unionByName(first.select("__row.*"))

@@ -26,6 +26,8 @@ RESOLUTIONS = (1, 4, 16)
 QUERY_BLOCK = 16_384
 #: Queries and candidates that are scored at a time within a task.
 TILE_QUERIES, TILE_ROWS = 512, 4096
+#: Share of a tile's pairs beyond which they are scored by one product.
+DENSE = 0.3
 K = 5
 
 
@@ -66,31 +68,59 @@ class Searcher:
         for a in range(0, len(self.ids), TILE_QUERIES):
             self._tile(slice(a, a + TILE_QUERIES), ids, vectors, mine)
 
+    def _floor(self, at: np.ndarray) -> np.ndarray:
+        """The k-th score so far of queries, a little lower against rounding."""
+        floor = self.score[at, -1]
+        return np.where(np.isfinite(floor), floor - 1e-6 * np.maximum(1, np.abs(floor)), -np.inf)[:, None]
+
     def _tile(self, rows: slice, ids: np.ndarray, vectors: np.ndarray, mine) -> None:
-        floor = self.score[rows, -1]
-        floor = np.where(np.isfinite(floor), floor - 1e-6 * np.maximum(1, np.abs(floor)), -np.inf)
-        self.bounded += len(floor) * len(ids)
-        q, c = np.arange(len(floor)), np.arange(len(ids))
+        at = np.arange(len(self.ids))[rows]
+        alive = self.ids[at][:, None] != ids[None, :]
+        self.bounded += alive.size
+        floor, bound = self._floor(at), None
         for (_, a), (_, b) in zip(self.levels, mine, strict=True):
-            alive = (a[rows][q] @ b[c].T) >= floor[q][:, None]
-            q, c = q[alive.any(axis=1)], c[alive.any(axis=0)]
-            if not len(q) or not len(c):
+            bound = a[rows] @ b.T
+            alive &= bound >= floor
+            if not alive.any():
                 return
-        self.exact += len(q) * len(c)
-        at = np.arange(len(self.ids))[rows][q]
-        scores = self.vectors[at] @ vectors[c].T
-        scores[self.ids[at][:, None] == ids[c][None, :]] = -np.inf
+        # each query's best bounds come first: their scores raise the floor for its other pairs
+        some = min(4 * self.k, len(ids))
+        if some < len(ids):
+            best = np.argpartition(np.where(alive, bound, -np.inf), len(ids) - some, axis=1)[:, -some:]
+            first = np.zeros_like(alive)
+            np.put_along_axis(first, best, True, axis=1)
+            first &= alive
+            self._score(at, ids, vectors, first)
+            alive &= ~first
+            alive &= bound >= self._floor(at)
+        self._score(at, ids, vectors, alive)
+
+    def _score(self, at: np.ndarray, ids: np.ndarray, vectors: np.ndarray, alive: np.ndarray) -> None:
+        """Exact scores of the pairs that are alive, merged into the best."""
+        left = int(alive.sum())
+        if not left:
+            return
+        if left > DENSE * alive.size:
+            # a product of whole tiles is cheaper than gathering most pairs
+            self.exact += alive.size
+            scores = np.where(alive, self.vectors[at] @ vectors.T, -np.inf)
+        else:
+            self.exact += left
+            scores = np.full(alive.shape, -np.inf)
+            q, c = np.nonzero(alive)
+            for a in range(0, left, 65_536):
+                i, j = q[a : a + 65_536], c[a : a + 65_536]
+                scores[i, j] = np.einsum("pd,pd->p", self.vectors[at[i]], vectors[j])
         # rows that the k-th score so far rules out are left out of the merge
-        for i, row in zip(at, scores, strict=True):
-            near = np.flatnonzero(row >= self.score[i, -1]) if np.isfinite(self.score[i, -1]) else np.flatnonzero(row > -np.inf)
-            if not len(near):
-                continue
+        for i in np.flatnonzero((scores >= self.score[at, -1][:, None]).any(axis=1) & (scores > -np.inf).any(axis=1)):
+            n, row = at[i], scores[i]
+            near = np.flatnonzero(row >= self.score[n, -1]) if np.isfinite(self.score[n, -1]) else np.flatnonzero(row > -np.inf)
             if len(near) > 64 * self.k:
                 kth = np.partition(row[near], len(near) - self.k)[len(near) - self.k]
                 near = near[row[near] >= kth]
-            s, v = np.concatenate([self.score[i], row[near]]), np.concatenate([self.best[i], ids[c][near]])
+            s, v = np.concatenate([self.score[n], row[near]]), np.concatenate([self.best[n], ids[near]])
             order = np.lexsort((v, -s))[: self.k]
-            self.score[i], self.best[i] = s[order], v[order]
+            self.score[n], self.best[n] = s[order], v[order]
 
 
 def top_k(vectors: DataFrame, is_query: Column, id_col: str = "vec_id", vector_col: str = "embedding", k: int = K, scale: int = 256, resolutions=RESOLUTIONS, block: int = QUERY_BLOCK) -> DataFrame:
@@ -100,12 +130,16 @@ def top_k(vectors: DataFrame, is_query: Column, id_col: str = "vec_id", vector_c
     fixed size, each block is held against every row, and a task keeps k rows a
     query only, so neither driver nor tasks hold more than a block. Vectors
     that are null, empty or hold null or non-finite components take no part,
-    nor do rows with a null id; all others must have one length. A repeated
+    nor do rows with a null id; all others must have one length, else this
+    raises, as an inner product isn't defined. A repeated
     query id is answered once, from its first vector by order; a repeated
     candidate is listed as often as it comes, but never for its own id.
     """
     used = vectors.filter(F.col(id_col).isNotNull() & usable(vector_col)).select(F.col(id_col).cast("long").alias("i"), quantised(vector_col, scale).alias("x"), is_query.alias("q"))
     rows = cut(used, "vectors")
+    lengths = rows.agg(F.min(F.size("x")).alias("lo"), F.max(F.size("x")).alias("hi")).first()
+    if lengths["lo"] != lengths["hi"]:
+        raise ValueError(f"vectors of {lengths['lo']} to {lengths['hi']} components have no inner products")
     queries = rows.filter("q").groupBy("i").agg(F.min("x").alias("x"))
     total = queries.count()
     blocks = max(1, math.ceil(total / block))

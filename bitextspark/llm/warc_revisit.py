@@ -9,9 +9,15 @@ URL with a third of all captures is spread over the slices.
 
 from __future__ import annotations
 
+import re
+import zlib
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .common import tidy
+
 # Headers of a stored response that a 304 doesn't replace.
 KEPT_HEADERS = ("content-encoding", "content-length", "content-md5", "content-range", "content-type", "transfer-encoding", "connection", "keep-alive", "proxy-authenticate", "te", "trailer", "upgrade")
 # Query parameters without meaning for content.
@@ -32,11 +38,6 @@ def canonical_url(url: Column) -> Column:
     return F.when(url.isNull(), None).when(url.rlike(pattern), full).otherwise(F.trim(url))
 
 
-def header(headers: Column, name: str) -> Column:
-    """A header by its name in any case."""
-    return F.element_at(F.map_values(F.map_filter(headers, lambda k, _: F.lower(k) == name)), F.lit(1))
-
-
 def _header(headers: Column, name: str) -> Column:
     found = F.map_values(F.map_filter(headers, lambda k, _: F.lower(k) == name))
     return F.get(found, F.lit(0))
@@ -110,29 +111,116 @@ def captures(pages: DataFrame) -> DataFrame:
     return full.unionByName(probe)
 
 
-def read_warc(spark: SparkSession, path: str, first_id: int = 0) -> DataFrame:
-    """Records of uncompressed WARC files: record_id, kind, url, date, warc_headers, status, headers, payload.
-
-    Files are split at the version line, so a large file is read by many
-    tasks. A payload that holds that very line is cut there and its record has
-    fewer characters than its Content-Length says. Payloads are read as UTF-8.
+def _fields(block: bytes) -> list[tuple[str, str]]:
+    """Header lines of a block as (lower-case name, value); of repeated names the first holds."""
+    found: dict[str, str] = {}
+    for line in block.split(b"\n"):
+        name, colon, value = line.partition(b":")
+        if colon and name.strip():
+            found.setdefault(name.strip().lower().decode("utf-8", "replace"), value.strip().decode("utf-8", "replace"))
+    return list(found.items())
+
+
+class _Bytes:
+    """A stream of a file's bytes; gzip members, one a record or more, are unpacked as they come."""
+
+    def __init__(self, stream, size: int = 1 << 20):
+        self.stream, self.size, self.held = stream, size, b""
+        start = stream.read(2)
+        self.packed = start == b"\x1f\x8b"
+        self.raw, self.unpack = start, zlib.decompressobj(31) if self.packed else None
+
+    def _more(self) -> bool:
+        data = self.raw or self.stream.read(self.size)
+        self.raw = b""
+        if not self.packed:
+            self.held += data
+            return bool(data)
+        while data:
+            self.held += self.unpack.decompress(data)
+            data = self.unpack.unused_data
+            if self.unpack.eof:
+                self.unpack = zlib.decompressobj(31)
+            if not data:
+                return True
+        return False
+
+    def line(self) -> bytes | None:
+        while (at := self.held.find(b"\n")) < 0:
+            if not self._more():
+                out, self.held = self.held, b""
+                return out or None
+        out, self.held = self.held[: at + 1], self.held[at + 1 :]
+        return out
+
+    def exactly(self, n: int) -> bytes:
+        parts, size = [self.held], len(self.held)
+        self.held = b""
+        while size < n and self._more():
+            parts.append(self.held)
+            size += len(self.held)
+            self.held = b""
+        whole = b"".join(parts)
+        self.held = whole[n:]
+        return whole[:n]
+
+
+def warc_records(stream):
+    """(number, WARC headers, block) of every record of a stream, framed by Content-Length; a cut last block is given as far as it goes."""
+    data, n = _Bytes(stream), 0
+    while (line := data.line()) is not None:
+        if not line.startswith(b"WARC/"):
+            continue  # the empty lines between records
+        head = []
+        while (line := data.line()) is not None and line.strip():
+            head.append(line)
+        fields = _fields(b"".join(head))
+        length = dict(fields).get("content-length", "0")
+        yield n, fields, data.exactly(int(length) if length.isdigit() else 0)
+        n += 1
+
+
+def read_warc(spark: SparkSession, path: str) -> DataFrame:
+    """Records of WARC files (1.0 and 1.1, plain or gzip): record_id, kind, url, date, warc_headers, status, headers, payload (bytes).
+
+    A file is read as a stream by one task, record by record as its
+    Content-Length says, so a payload may hold anything and memory is that of
+    a few records. record_id is a hash of the file's path and the record's
+    number in it, the same in every run. Of repeated header names the first
+    holds; a record without a valid Content-Length has an empty payload.
     """
-    raw = spark.read.option("lineSep", "WARC/1.0\r\n").text(path).filter("value <> ''")
-    head, rest = F.substring_index("value", "\r\n\r\n", 1), F.expr("substr(value, length(substring_index(value, '\r\n\r\n', 1)) + 5)")
-
-    def pairs(block: Column) -> Column:
-        lines = F.filter(F.split(block, "\r\n"), lambda x: F.instr(x, ":") > 1)
-        entries = F.transform(lines, lambda x: F.struct(F.lower(F.trim(F.substring_index(x, ":", 1))).alias("k"), F.trim(F.regexp_replace(x, "^[^:]*:", "")).alias("v")))
-        # of repeated names the first holds
-        names = F.array_distinct(F.transform(entries, lambda e: e["k"]))
-        return F.map_from_arrays(names, F.transform(names, lambda n: F.get(F.filter(entries, lambda e: e["k"] == n), F.lit(0))["v"]))
-
-    out = raw.select(pairs(head).alias("warc_headers"), rest.alias("block"))
-    kind = F.col("warc_headers")["warc-type"]
-    http = kind.isin("response", "revisit")
-    return out.select(
-        (F.monotonically_increasing_id() + first_id).alias("record_id"), kind.alias("kind"), F.col("warc_headers")["warc-target-uri"].alias("url"), F.col("warc_headers")["warc-date"].alias("date"), "warc_headers",
-        F.when(http, F.try_cast(F.regexp_extract("block", r"^HTTP/\S+ (\d{3})", 1), "int") if hasattr(F, "try_cast") else F.expr(r"try_cast(regexp_extract(block, '^HTTP/\\S+ (\\d{3})', 1) AS int)")).alias("status"),
-        F.when(http, pairs(F.substring_index("block", "\r\n\r\n", 1))).alias("headers"),
-        F.when(http, F.expr("rtrim('\r\n', substr(block, length(substring_index(block, '\r\n\r\n', 1)) + 5))")).otherwise(F.col("block")).alias("payload"),
-    )
+    files = spark.read.format("binaryFile").load(path).select("path")  # names only: contents are streamed by the tasks
+    texts = pa.map_(pa.string(), pa.string())
+
+    def batch(rows: list[tuple]) -> pa.RecordBatch:
+        columns = zip(*rows, strict=True)
+        kinds = [pa.string(), pa.int64(), pa.string(), pa.string(), pa.string(), texts, pa.int32(), texts, pa.binary()]
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=["file", "n", "kind", "url", "date", "warc_headers", "status", "headers", "payload"])
+
+    def run(batches):
+        from pyarrow import fs
+
+        for names in batches:
+            for name in names.column("path").to_pylist():
+                system, inner = fs.FileSystem.from_uri(name)
+                with system.open_input_stream(inner, compression=None) as stream:
+                    rows, size = [], 0
+                    for n, fields, block in warc_records(stream):
+                        head = dict(fields)
+                        kind, status, own, payload = head.get("warc-type"), None, None, block
+                        if kind in ("response", "revisit"):
+                            first, _, payload = block.partition(b"\r\n\r\n")
+                            line, _, rest = first.partition(b"\n")
+                            found = re.match(rb"HTTP/\S+ (\d{3})", line)
+                            status, own = int(found[1]) if found else None, _fields(rest)
+                        rows.append((name, n, kind, head.get("warc-target-uri"), head.get("warc-date"), fields, status, own, payload))
+                        size += len(block)
+                        if size > 8 << 20 or len(rows) >= 5000:
+                            yield batch(rows)
+                            rows, size = [], 0
+                    if rows:
+                        yield batch(rows)
+
+    schema = "file string, n long, kind string, url string, date string, warc_headers map<string,string>, status int, headers map<string,string>, payload binary"
+    out = files.mapInArrow(tidy(run), schema)
+    return out.select(F.xxhash64("file", "n").alias("record_id"), "kind", "url", "date", "warc_headers", "status", "headers", "payload")

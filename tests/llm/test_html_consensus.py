@@ -54,3 +54,22 @@ def test_broken_and_long_pages():
     assert len(html.extract("<article>" + "<p>word word</p>" * 30_000 + "</article>", None)) == 30_000 * 11 - 2
     assert html.extract("<div>" * 3000 + "deep", None) == "deep"
     assert html.extract('<p title="a > b">x &lt;p&gt; y</p>', None) == "x <p> y"
+
+
+def test_a_host_with_many_templates_keeps_them_all(spark):
+    page = lambda k, i: f"<html><body><div class='nav'><a href=x>menu</a></div><div class='story{chr(97 + k)}'><p>{'text of the story ' * 5}{i}</p></div></body></html>"
+    rows = [(k * 30 + i, "http://a.example/x", page(k, i)) for k in range(20) for i in range(30)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    paths = html.winners(html.votes(df)).first()["paths"]
+    assert len([p for p in paths if "story" in p]) == 20
+    texts = {r["page_id"]: r["text"] for r in html.main_text(df).collect()}
+    assert all(t.startswith("text of the story") for t in texts.values())
+
+
+def test_a_host_outvotes_a_page(spark):
+    # on every seventh page the box beside the story is longer than the story: the page by itself would take the box
+    page = lambda i: f"<html><body><div class='story'><p>{'text of the story ' * 5}{i}</p></div><div class='more'><p>{'other words ' * (9 if i % 7 == 0 else 1)}</p></div></body></html>"
+    rows = [(i, "http://a.example/x", page(i)) for i in range(70)]
+    assert "other" in html.extract(rows[0][2], None)
+    got = html.main_text(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    assert all("other" not in r["text"] and r["text"].startswith("text of the story") for r in got)

@@ -56,3 +56,20 @@ def test_odd_rows(spark):
     assert nothing.count() == 0
     unlabelled = langid.predict(df.withColumn("lang", F.lit(None).cast("string")))
     assert {r["lang_pred"] for r in unlabelled.collect()} == {"und"}
+
+
+def test_every_label_can_be_learned(spark):
+    # 300 labels with words of their own
+    rows = [(i, " ".join(f"{chr(97 + k % 26)}{chr(97 + k // 26)}q{chr(97 + j)}" for j in range(12)), f"l{k:03d}") for i, k in enumerate(list(range(300)) * 8)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.learn(df)
+    assert len(model.labels) == 300 and model.weights.size <= langid.MOST_WEIGHTS
+    found = langid.Labeller(model).documents([t.encode() for _, t, _ in rows[:300]])
+    assert sum(p == lang for (p, _), (_, _, lang) in zip(found, rows, strict=False)) > 290
+
+
+def test_long_words_are_learned_whole(spark):
+    long = "z" * 80
+    rows = [(i, f"{long}{'aa' if i % 2 else 'bb'} " * 20, "x" if i % 2 else "y") for i in range(40)]
+    runs = langid.sample(spark.createDataFrame(rows, "doc_id long, text string, lang string"), "doc_id", "text", "lang")
+    assert {w for _, words in runs for w in words} == {f"{long}aa", f"{long}bb"}

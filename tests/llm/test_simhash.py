@@ -56,18 +56,87 @@ def test_equals_brute_force(spark):
     check(spark, rows)
 
 
-def test_chain_of_links_is_one_component(spark):
+def chain(spark):
     # fingerprints one bit apart in a path of 40: only a method that follows links to their end gives one component
     path = [0]
     for i in range(40):
         path.append(path[-1] | 1 << i)
-    fps = spark.createDataFrame([(x,) for x in path] + [((1 << 62) | (1 << 61) | (1 << 60),)], f"{simhash._FP} long")
-    links = simhash.ball_links(fps)
+    return path, spark.createDataFrame([(x,) for x in path] + [((1 << 62) | (1 << 61) | (1 << 60),)], "__f0 long")
+
+
+@pytest.mark.parametrize("hot", [2, 256])
+def test_chain_of_links_is_one_component(spark, monkeypatch, hot):
+    monkeypatch.setattr(simhash, "HOT", hot)
+    path, fps = chain(spark)
+    links = simhash.segment_links(fps)
     assert links.filter(simhash.hamming(links.a, links.b) > 2).isEmpty()
-    roots = {r["node"]: r[simhash._ROOT] for r in simhash.contract(links).collect()}
+    roots = {r["node"]["__f0"]: r[simhash._ROOT] for r in simhash.contract(links).collect()}
     assert len({roots[x] for x in path}) == 1 and set(roots) == set(path)
 
 
+@pytest.mark.parametrize("layout", [simhash.LINKS, simhash.Layout(words=3, longs=1, segments=4, radius=1, max_bits=7), simhash.Layout(words=5, longs=2, segments=8, radius=0, max_bits=7)])
+@pytest.mark.parametrize("hot", [3, 256])
+def test_all_links_within_the_certain_bits_are_found(spark, monkeypatch, layout, hot):
+    monkeypatch.setattr(simhash, "HOT", hot)
+    rng = random.Random(9)
+    signed = lambda x: x - (1 << 64) * (x >> 63)
+    rows = set()
+    for _ in range(12):
+        base = [rng.getrandbits(64) for _ in range(layout.longs)]
+        for _ in range(12):
+            own = list(base)
+            for _ in range(rng.randrange(layout.max_bits + 2)):
+                own[rng.randrange(layout.longs)] ^= 1 << rng.randrange(64)
+            rows.add(tuple(map(signed, own)))
+    rows = sorted(rows)
+    bits = lambda a, b: sum(((x ^ y) & (2**64 - 1)).bit_count() for x, y in zip(a, b, strict=True))
+    up = list(range(len(rows)))
+
+    def top(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for i in range(len(rows)):
+        for j in range(i):
+            if bits(rows[i], rows[j]) <= layout.max_bits:
+                up[top(i)] = top(j)
+    links = simhash.segment_links(spark.createDataFrame(rows, ", ".join(f"{c} long" for c in layout.columns)), layout)
+    assert all(bits(tuple(r["a"]), tuple(r["b"])) <= layout.max_bits for r in links.collect())
+    roots = {tuple(r["node"]): tuple(r[simhash._ROOT]) for r in simhash.contract(links).collect()}
+    got, want = {}, {}
+    for i, x in enumerate(rows):
+        got.setdefault(roots.get(x, x), set()).add(x)
+        want.setdefault(top(i), set()).add(x)
+    assert sorted(map(sorted, got.values())) == sorted(map(sorted, want.values()))
+
+
+def test_most_pairs_at_the_similarity_are_met():
+    rng, layout = random.Random(4), simhash.SIMILAR
+    met = {}
+    for want in (0.85, 0.93):
+        for _ in range(60):
+            words = [str(rng.getrandbits(40)) for _ in range(800)]
+            other = list(words)
+            while True:
+                a, b = ({tuple(x[i : i + 5]) for i in range(796)} for x in (words, other))
+                if len(a & b) / len(a | b) <= want:
+                    break
+                other[rng.randrange(800)] = str(rng.getrandbits(40))
+            x, y = (simhash.fingerprint(" ".join(w).encode(), 5, longs=4) for w in (words, other))
+            pieces = lambda f: [(v & (2**64 - 1)) >> s & 0xFFFF for v in f for s in (0, 16, 32, 48)]
+            distance = sum(((p ^ q) & (2**64 - 1)).bit_count() for p, q in zip(x, y, strict=True))
+            met.setdefault(want, []).append(distance <= layout.max_bits and any(p == q for p, q in zip(pieces(x), pieces(y), strict=True)))
+    assert sum(met[0.85]) > 0.6 * 60 and sum(met[0.93]) > 0.93 * 60
+
+
+def test_a_repeated_id_with_other_texts_keeps_its_own_groups_only(spark):
+    a, b = "a " * 40 + "x y z", " ".join(f"w{i}" for i in range(60))
+    c = " ".join(f"v{i}" for i in range(60))
+    df = spark.createDataFrame([(2, b), (5, a), (5, b), (7, a), (7, c), (7, c)], "doc_id long, text string")
+    assert sorted((r["doc_id"], r["text"]) for r in simhash.keep_one(df).collect()) == sorted([(2, b), (5, a), (7, c)])
+
+
 def test_keep_one_and_empty(spark):
     rows = [(3, "a b c d", "x"), (1, "a b c d", "y"), (9, "p q r s t", None), (None, "lone", "z"), (7, None, "n"), (8, "", "n")]
     df = spark.createDataFrame(rows, "doc_id long, text string, component_id string")
@@ -78,10 +147,4 @@ def test_keep_one_and_empty(spark):
 
 def test_long_text():
     t = "word " * 200_000
-    assert simhash.fingerprint(t.encode()) == xxhash.xxh64(b"word word word", seed=42).intdigest() - (1 << 64) * (xxhash.xxh64(b"word word word", seed=42).intdigest() >> 63)
-
-
-def test_more_bits_than_the_flips_reach_are_refused(spark, monkeypatch):
-    monkeypatch.setattr(simhash, "MAX_BITS", 3)
-    with pytest.raises(ValueError):
-        simhash.ball_links(spark.createDataFrame([(1,)], f"{simhash._FP} long"))
+    assert simhash.fingerprint(t.encode())[0] == xxhash.xxh64(b"word word word", seed=42).intdigest() - (1 << 64) * (xxhash.xxh64(b"word word word", seed=42).intdigest() >> 63)

@@ -2,6 +2,7 @@ import math
 import random
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from bitextspark.llm import topk_search as search
@@ -49,3 +50,23 @@ def test_bounds_rule_out_candidates():
     for a in range(0, 4000, 50):
         found.show(np.arange(a, a + 50), x[a : a + 50])
     assert found.exact < 0.5 * found.bounded
+
+
+def test_most_pairs_are_ruled_out_one_by_one_at_the_real_tile_sizes():
+    # smooth vectors, as of series: segments say nearly all of them; many queries, so no whole tile can go
+    rng = np.random.default_rng(5)
+    base = np.cumsum(rng.normal(size=(20_000, 64)), axis=1) * rng.lognormal(0, 0.7, size=(20_000, 1))
+    x = np.floor(16 * base)
+    found = search.Searcher(np.arange(1024), x[:1024], 5)
+    for a in range(0, len(x), search.TILE_ROWS):
+        found.show(np.arange(a, min(a + search.TILE_ROWS, len(x))), x[a : a + search.TILE_ROWS])
+    assert found.exact < 0.1 * found.bounded
+    scores = x[:1024] @ x.T
+    scores[np.arange(1024), np.arange(1024)] = -np.inf
+    assert (np.sort(scores, axis=1)[:, ::-1][:, :5] == found.score).all()
+
+
+def test_unequal_lengths_are_refused(spark):
+    df = spark.createDataFrame([(0, [0.5, 0.5, 0.5]), (1, [0.5] * 5)], "vec_id long, embedding array<float>")
+    with pytest.raises(ValueError):
+        search.top_k(df, F.col("vec_id") % 50 == 0)

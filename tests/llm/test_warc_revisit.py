@@ -54,11 +54,23 @@ def test_equals_brute_force(spark):
 
 
 def test_read_warc(spark, tmp_path):
-    def record(kind, url, block, extra=""):
-        return f"WARC/1.0\r\nWARC-Type: {kind}\r\nWARC-Target-URI: {url}\r\nWARC-Date: 2020-01-01T00:00:00Z\r\n{extra}Content-Length: {len(block)}\r\n\r\n{block}\r\n\r\n"
+    import gzip
 
-    text = record("warcinfo", "", "software: x") + record("response", "http://a/", "HTTP/1.1 200 OK\r\nETag: \"1\"\r\nSet-Cookie: a\r\nSet-Cookie: b\r\n\r\n<p>one\r\n\r\ntwo</p>") + record("revisit", "http://a/", "HTTP/1.1 304 Not Modified\r\nETag: \"1\"\r\n\r\n")
-    (tmp_path / "x.warc").write_bytes(text.encode())
-    got = warc.read_warc(spark, str(tmp_path / "x.warc")).orderBy("record_id").collect()
-    assert [(r["kind"], r["url"], r["status"], r["payload"]) for r in got] == [("warcinfo", "", None, "software: x\r\n\r\n"), ("response", "http://a/", 200, "<p>one\r\n\r\ntwo</p>"), ("revisit", "http://a/", 304, "")]
-    assert got[1]["headers"] == {"etag": '"1"', "set-cookie": "a"}
+    def record(kind, url, block, version="1.0"):
+        return f"WARC/{version}\r\nWARC-Type: {kind}\r\nWARC-Target-URI: {url}\r\nWARC-Date: 2020-01-01T00:00:00Z\r\nContent-Length: {len(block)}\r\n\r\n".encode() + block + b"\r\n\r\n"
+
+    inner = b"<p>one\r\n\r\nWARC/1.0\r\nWARC-Type: response\r\nContent-Length: 3\r\n\r\ntwo \xff\xfe</p>"
+    big = bytes(range(256)) * 20_000
+    records = [
+        record("warcinfo", "", b"software: x"), record("response", "http://a/", b"HTTP/1.1 200 OK\r\nETag: \"1\"\r\nSet-Cookie: a\r\nSet-Cookie: b\r\n\r\n" + inner, "1.1"),
+        record("revisit", "http://a/", b"HTTP/1.1 304 Not Modified\r\nETag: \"1\"\r\n\r\n"), record("resource", "http://b/", big),
+    ]
+    want = [("warcinfo", "", None, b"software: x"), ("response", "http://a/", 200, inner), ("revisit", "http://a/", 304, b""), ("resource", "http://b/", None, big)]
+    (tmp_path / "plain.warc").write_bytes(b"".join(records))
+    (tmp_path / "packed.warc.gz").write_bytes(b"".join(map(gzip.compress, records)))
+    for name in ("plain.warc", "packed.warc.gz"):
+        got = warc.read_warc(spark, str(tmp_path / name)).collect()
+        assert [(r["kind"], r["url"], r["status"], bytes(r["payload"])) for r in got] == want
+        assert got[1]["headers"] == {"etag": '"1"', "set-cookie": "a"} and len({r["record_id"] for r in got}) == 4
+    both = warc.read_warc(spark, str(tmp_path))
+    assert sorted(r["record_id"] for r in both.collect()) == sorted(r["record_id"] for r in warc.read_warc(spark, str(tmp_path)).collect()) and both.count() == 8
