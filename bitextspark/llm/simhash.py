@@ -26,7 +26,6 @@ from dataclasses import dataclass
 from functools import reduce
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
@@ -129,11 +128,11 @@ def _segments(layout: Layout) -> list[Column]:
 
 
 def _forest(layout: Layout):
-    """For applyInPandas: a spanning forest of the links among a group's fingerprints, as pairs of them."""
+    """For applyInArrow: a spanning forest of the links among a group's fingerprints, as pairs of them."""
     bits = np.array([bin(i).count("1") for i in range(1 << 16)], dtype=np.uint8)
 
-    def run(frame: pd.DataFrame) -> pd.DataFrame:
-        x = np.unique(frame[layout.columns].to_numpy(dtype=np.int64), axis=0)
+    def run(rows: pa.Table) -> pa.Table:
+        x = np.unique(np.stack([rows.column(c).to_numpy() for c in layout.columns], axis=1), axis=0)
         pieces = x.view(np.uint16).reshape(len(x), -1)
         distance = np.zeros((len(x), len(x)), dtype=np.int32)
         for k in range(pieces.shape[1]):
@@ -151,7 +150,7 @@ def _forest(layout: Layout):
                         edge.append(j)
                         out.append((i, j))
         a, b = (np.array([p[k] for p in out], dtype=int) for k in (0, 1))
-        return pd.DataFrame({f"{side}{c}": x[at, k] for side, at in (("a", a), ("b", b)) for k, c in enumerate(layout.columns)})
+        return pa.table({f"{side}{c}": x[at, k] for side, at in (("a", a), ("b", b)) for k, c in enumerate(layout.columns)})
 
     return run
 
@@ -174,7 +173,7 @@ def segment_links(fps: DataFrame, layout: Layout = LINKS) -> DataFrame:
         rows = asked.join(small, ["s", "v"]).withColumn("k", F.pmod(F.xxhash64(F.lit("block"), *columns), F.col("blocks")).cast("int"))
         dealt = rows.select(*columns, "s", "v", "k", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("j")).withColumns({"lo": F.least("k", "j"), "hi": F.greatest("k", "j")})
         schema = ", ".join(f"{side}{c} bigint" for side in "ab" for c in columns)
-        found = dealt.groupBy("s", "v", "lo", "hi").applyInPandas(_forest(layout), schema)
+        found = dealt.groupBy("s", "v", "lo", "hi").applyInArrow(_forest(layout), schema)
         side = lambda x: F.struct(*(F.col(f"{x}{c}").alias(c) for c in columns))
         links = links.unionByName(found.select(F.least(side("a"), side("b")).alias("a"), F.greatest(side("a"), side("b")).alias("b")))
     return links.distinct()
@@ -251,12 +250,18 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     if again.isEmpty():
         return out
 
-    @F.pandas_udf("array<bigint>")
-    def own(texts: pd.Series) -> pd.Series:
-        return pd.Series([fingerprint(None if t is None else t.encode(), layout.words, longs=layout.longs) for t in texts])
+    rows = docs.join(again, docs[id_col] == F.col("__id"), "left_semi").select(F.struct(*columns).alias("__row"), F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t"))
 
-    rows = docs.join(again, docs[id_col] == F.col("__id"), "left_semi").select(F.struct(*columns).alias("__row"), F.col(id_col).alias("__id"), F.coalesce(F.col(text_col), F.lit("")).alias("__t"), own(F.col(text_col)).alias("__x"))
-    rows = rows.select("__row", "__id", "__t", *(F.col("__x")[k].alias(c) for k, c in enumerate(layout.columns)))
+    def own(batches):
+        for whole in batches:
+            for batch in slices(whole, "__t"):
+                prints = [fingerprint(t, layout.words, longs=layout.longs) for t in as_bytes(batch.column("__t"))]
+                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(c, pa.int64()) for c in zip(*prints, strict=True))], names=[*batch.schema.names, *layout.columns])
+
+    schema = type(rows.schema)([*rows.schema.fields])
+    for c in layout.columns:
+        schema = schema.add(c, "long")
+    rows = rows.mapInArrow(tidy(own), schema)
     named = found.filter(F.col("__id") == F.col("component_id")).select("__id", *layout.columns, _ROOT).distinct()
     first = rows.join(named, ["__id", *layout.columns]).groupBy("__id", _ROOT).agg(F.min_by("__row", "__t").alias("__row"))
     return out.unionByName(first.select("__row.*"))
