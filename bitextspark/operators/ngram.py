@@ -37,15 +37,29 @@ def merge_counts(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.unionByName(b).groupBy(*keys).agg(F.sum("cnt").alias("cnt"))
 
 
+def with_totals(counts: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """counts with ctx_cnt, the sum of their context: partial sums and joins instead of windows.
+
+    All unigrams have one context, so their total is broadcast, a row a model;
+    a frequent context of the higher orders is split by AQE's skew join.
+    """
+    keys = [*by, "n", "ctx"]
+    totals = counts.groupBy(*keys).agg(F.sum("cnt").alias("ctx_cnt"))
+    single = counts.filter("n = 1").join(F.broadcast(totals.filter("n = 1")), keys)
+    return single.unionByName(counts.filter("n > 1").join(totals.filter("n > 1"), keys))
+
+
 def probabilities(counts: DataFrame, n: int, smoothing: str = "jm_fixed", by: tuple[str, ...] = (), k: float = 0.1, discount: float = 0.75) -> DataFrame:
     """(by, ctx, tok, p) for every n-gram of the highest order that was seen.
 
     jm_fixed: fixed interpolation, an unseen context's share is lost (simple SQL; doesn't sum to one).
-    jm: the shares of unseen orders are given to the lower ones. addk: additive. kn: absolute
+    jm: the shares of unseen orders are given to the lower ones; as every order of a seen n-gram was
+    seen, the two are equal here. addk: additive. kn: absolute
     discount with continuation counts below. What wasn't seen is scored by unseen().
     """
-    total = Window.partitionBy(*by, "n", "ctx")
-    c = counts.withColumn("ctx_cnt", F.sum("cnt").over(total))
+    if smoothing not in ("jm_fixed", "jm", "addk", "kn"):
+        raise ValueError(f"no smoothing {smoothing}")
+    c = with_totals(counts, by)
     vocab = counts.filter("n = 1").groupBy(*by).agg(F.count("*").alias("v"))
     top = c.filter(F.col("n") == n).select(*by, "ctx", "tok", "cnt", "ctx_cnt")
     top = top.join(F.broadcast(vocab), list(by)) if by else top.crossJoin(F.broadcast(vocab))  # one row a model
@@ -70,9 +84,8 @@ def probabilities(counts: DataFrame, n: int, smoothing: str = "jm_fixed", by: tu
 def _kneser_ney(counts: DataFrame, n: int, by: tuple[str, ...], d: float) -> DataFrame:
     """Interpolated: the highest order by counts, the orders below by the number of distinct contexts of a token."""
     cont = counts.filter(F.col("n") == 2).groupBy(*by, "tok").agg(F.count("*").alias("kc"))
-    of = Window.partitionBy(*by) if by else Window.partitionBy(F.lit(1))
-    # one row per type; its sum is over types, not tokens
-    low = cont.withColumn("low", F.col("kc") / F.sum("kc").over(of)).select(*by, "tok", "low")
+    of_all = cont.groupBy(*by).agg(F.sum("kc").alias("of_all"))  # one row a model
+    low = cont.join(F.broadcast(of_all), list(by) or F.lit(True)).select(*by, "tok", (F.col("kc") / F.col("of_all")).alias("low"))
     out = None
     for order in range(2, n + 1):
         at = Window.partitionBy(*by, "ctx")
@@ -97,25 +110,24 @@ def floor_probability(counts: DataFrame, n: int, by: tuple[str, ...] = ()) -> Da
     return counts.filter("n = 1").groupBy(*by).agg((F.lit(FIXED[n][-1]) / F.count("*")).alias("floor"))
 
 
-def scores(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int, name: str = "score") -> DataFrame:
+def scores(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int, name: str = "score", by: tuple[str, ...] = ()) -> DataFrame:
     """(id, name): mean ln P over tokens, the end mark included, under fixed interpolation with each order looked up by itself.
 
-    Unseen contexts back off by themselves, as each order is looked up alone.
+    Unseen contexts back off by themselves, as each order is looked up alone. With by, a row meets the model of its by columns.
     """
-    weights = FIXED[n]
-    grams = explode_ngrams(df, tokens, n, (id_col,))
-    total = Window.partitionBy("n", "ctx")
-    c = counts.withColumn("q", F.col("cnt") / F.sum("cnt").over(total))
-    vocab = counts.filter("n = 1").agg(F.count("*").alias("v"))
+    weights, by = FIXED[n], list(by)
+    grams = explode_ngrams(df, tokens, n, (id_col, *by))
+    c = with_totals(counts, tuple(by)).withColumn("q", F.col("cnt") / F.col("ctx_cnt"))
+    vocab = counts.filter("n = 1").groupBy(*by).agg(F.count("*").alias("v"))
     # every distinct n-gram is looked up once in each order; the corpus then meets one table
-    kinds, p = grams.select("ctx", "tok").distinct().crossJoin(F.broadcast(vocab)), F.lit(weights[-1]) / F.col("v")  # one row is broadcast
+    kinds, p = grams.select(*by, "ctx", "tok").distinct().join(F.broadcast(vocab), by or F.lit(True)), F.lit(weights[-1]) / F.col("v")  # one row a model
     for order in range(n, 0, -1):
-        low = c.filter(F.col("n") == order).select(F.col("ctx").alias("__c"), F.col("tok").alias("__t"), F.col("q").alias(f"q{order}"))
+        low = c.filter(F.col("n") == order).select(*by, F.col("ctx").alias("__k"), "tok", F.col("q").alias(f"q{order}"))
         tail = F.lit("") if order == 1 else F.array_join(F.slice(F.split("ctx", " "), F.lit(n - order + 1), F.lit(order - 1)), " ")
-        kinds = kinds.withColumn("__k", tail).join(low, (F.col("__k") == F.col("__c")) & (F.col("tok") == F.col("__t")), "left").drop("__c", "__t", "__k")
+        kinds = kinds.withColumn("__k", tail).join(low, [*by, "__k", "tok"], "left").drop("__k")
         p = p + weights[n - order] * F.coalesce(F.col(f"q{order}"), F.lit(0.0))
-    table = kinds.select("ctx", "tok", F.log(p).alias("__lp"))
-    return grams.join(table, ["ctx", "tok"]).groupBy(id_col).agg(F.avg("__lp").alias(name))
+    table = kinds.select(*by, "ctx", "tok", F.log(p).alias("__lp"))
+    return grams.join(table, [*by, "ctx", "tok"]).groupBy(id_col).agg(F.avg("__lp").alias(name))
 
 
 def perplexity(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n: int) -> DataFrame:

@@ -132,7 +132,7 @@ def genre_scores(df: DataFrame, id_col: str, tokens: str, counts: DataFrame, n:
     weights = ngram.FIXED[n]
     models = counts.filter("n = 1").groupBy(lm).agg(F.count("*").alias("v"))
     out = ngram.explode_ngrams(df, tokens, n, (id_col,)).crossJoin(F.broadcast(models))  # one row a model
-    c = counts.withColumn("q", F.col("cnt") / F.sum("cnt").over(Window.partitionBy(lm, "n", "ctx")))
+    c = ngram.with_totals(counts, (lm,)).withColumn("q", F.col("cnt") / F.col("ctx_cnt"))
     p = F.lit(weights[-1]) / F.col("v")
     for order in range(n, 0, -1):
         low = c.filter(F.col("n") == order).select(F.col(lm).alias("__m"), F.col("ctx").alias("__c"), F.col("tok").alias("__t"), F.col("q").alias(f"q{order}"))

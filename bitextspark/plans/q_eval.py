@@ -101,18 +101,17 @@ def published_ladder(spark, d):
     return bleu.ladder(spark.createDataFrame(PUBLISHED, "testset string, stage_no int, bleu double"))
 
 
-# next-token distributions: bigram models of three groups of sources, for the 40 most frequent words before
+# next-token distributions: bigram models of three groups of sources, for every word before
 _STEP = f"""{SENTS.removeprefix('WITH ')}, w AS (SELECT doc_id || ':' || pos AS id, toks, CAST(substr(source, 4) AS INTEGER) % 3 AS model_id FROM s WHERE lang = 'en'),
-{counts_sql('c', 'w', 'id', 'toks', 2, 'model_id')}, often AS (SELECT ctx FROM c2 WHERE ctx <> '<s>' GROUP BY ctx ORDER BY sum(cnt) DESC, ctx LIMIT 40),
-step AS (SELECT model_id, ctx AS sent_id, tok, q AS p FROM c2 JOIN often USING (ctx)), members AS (SELECT sent_id, count(DISTINCT model_id) AS m FROM step GROUP BY sent_id)"""
+{counts_sql('c', 'w', 'id', 'toks', 2, 'model_id')},
+step AS (SELECT model_id, ctx AS sent_id, tok, q AS p FROM c2), members AS (SELECT sent_id, count(DISTINCT model_id) AS m FROM step GROUP BY sent_id)"""
 
 
 def steps(spark, d):
     s = sents(spark, d).withColumn("model_id", F.substring("source", 4, 9).cast("int") % 3)
     counts = ngram.fit_counts(s, "toks", 2, ("model_id",)).filter("n = 2")
-    often = counts.filter("ctx <> '<s>'").groupBy("ctx").agg(F.sum("cnt").alias("c")).orderBy(F.desc("c"), "ctx").limit(40).select("ctx")
-    q = F.col("cnt") / F.sum("cnt").over(Window.partitionBy("model_id", "ctx"))
-    return counts.withColumn("logp", F.log(q)).join(F.broadcast(often), "ctx", "left_semi").select("model_id", F.col("ctx").alias("sent_id"), F.lit(0).alias("hyp_id"), F.lit(0).alias("step"), "tok", "logp")  # 40 rows
+    c = ngram.with_totals(keep_table(counts, "counts"), ("model_id",))
+    return c.select("model_id", F.col("ctx").alias("sent_id"), F.lit(0).alias("hyp_id"), F.lit(0).alias("step"), "tok", F.log(F.col("cnt") / F.col("ctx_cnt")).alias("logp"))
 
 
 def _combined(how: str) -> str:

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import noise
-from ..functions.text import mark_unknown, normalize_numerals, normalize_punct, words
+from ..functions.text import normalize_numerals, normalize_punct, words
 from ..operators import classify, filters, selection
 from ..sources import bitext
 from . import sql
@@ -186,16 +186,22 @@ def mixture_sample(spark, d):
     return out.groupBy("origin").agg(F.count("*").alias("n"), F.min("pair_id").alias("first_id"))
 
 
-@query("drop_unk", f"""{SENTS}, top AS (SELECT w FROM (SELECT unnest(toks) AS w FROM s WHERE lang = 'en') GROUP BY w ORDER BY count(*) DESC, w LIMIT 100), k AS (SELECT list(w) AS ws FROM top)
-SELECT doc_id, pos, array_to_string(list_filter(toks, lambda t: list_contains(ws, t)), ' ') AS kept FROM s CROSS JOIN k WHERE lang = 'en'""")
+#: Words of the vocabulary that drop_unk keeps, the published size of the smaller side.
+VOCABULARY = 27_800
+
+
+@query("drop_unk", f"""{SENTS}, top AS (SELECT w FROM (SELECT unnest(toks) AS w FROM s WHERE lang = 'en') GROUP BY w ORDER BY count(*) DESC, w LIMIT {VOCABULARY}),
+k AS (SELECT doc_id, pos, array_to_string(list(w ORDER BY i), ' ') AS t FROM (SELECT doc_id, pos, unnest(toks) AS w, generate_subscripts(toks, 1) AS i FROM s WHERE lang = 'en') JOIN top USING (w) GROUP BY ALL)
+SELECT doc_id, pos, coalesce(t, '') AS kept FROM s LEFT JOIN k USING (doc_id, pos) WHERE lang = 'en'""")
 def drop_unk(spark, d):
-    """Words outside the 100 most frequent are marked and the marks dropped."""
-    from ..functions.text import drop_unknown
+    """Words outside the vocabulary go; each word meets it by a join."""
     from ..operators.subword import build_vocab
 
     s = sents(spark, d)
-    known = build_vocab(s, "toks", 100).agg(F.collect_list("tok").alias("ws"))  # 100 words in one row
-    return s.join(F.broadcast(known), F.lit(True)).select("doc_id", "pos", F.array_join(drop_unknown(mark_unknown(F.col("toks"), F.col("ws"))), " ").alias("kept"))
+    known = F.broadcast(build_vocab(s, "toks", VOCABULARY).select("tok"))
+    met = s.select("doc_id", "pos", F.posexplode("toks").alias("i", "tok")).join(known, "tok", "left_semi")
+    kept = met.groupBy("doc_id", "pos").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("i", "tok"))), lambda x: x["tok"]), " ").alias("t"))
+    return s.select("doc_id", "pos").join(kept, ["doc_id", "pos"], "left").select("doc_id", "pos", F.coalesce("t", F.lit("")).alias("kept"))
 
 
 @query("agg_rollup_reasons", f"""WITH {sql.CORRUPT}, a AS (SELECT truth, unnest(CASE WHEN len({sql.REASONS}) = 0 THEN ['kept'] ELSE {sql.REASONS} END) AS reason FROM cc)

@@ -50,25 +50,26 @@ def keyed(spark, d, where="true"):
     return sents(spark, d, where).withColumn("id", F.concat_ws(":", "doc_id", "pos"))
 
 
-@query("lm_token_trigram_score", f"""{KEYED}, en AS (SELECT * FROM k WHERE lang = 'en'), tr AS (SELECT * FROM en WHERE substr(md5(id), 1, 1) < '8'), te AS (SELECT * FROM en WHERE substr(md5(id), 1, 1) >= 'e'),
-{counts_sql('c', 'tr', 'id', 'toks', 3)} SELECT id, round(score, 5) AS score FROM {score_sql('c', 'te', 'id', 'toks', 3)}""")
+@query("lm_token_trigram_score", f"""{KEYED}, en AS (SELECT * FROM k WHERE lang = 'en'), {counts_sql('c', 'en', 'id', 'toks', 3)} SELECT id, round(score, 5) AS score FROM {score_sql('c', 'en', 'id', 'toks', 3)}""")
 def lm_token_trigram_score(spark, d):
-    en = keyed(spark, d, "lang = 'en'").withColumn("h", F.substring(F.md5("id"), 1, 1))
-    counts = ngram.fit_counts(en.filter("h < '8'"), "toks", 3)
-    return ngram.scores(en.filter("h >= 'e'"), "id", "toks", counts, 3).select("id", F.round("score", 5).alias("score"))
+    en = keyed(spark, d, "lang = 'en'")
+    counts = lexical.keep_table(ngram.fit_counts(en, "toks", 3), "counts")
+    return ngram.scores(en, "id", "toks", counts, 3).select("id", F.round("score", 5).alias("score"))
 
 
 _CH = "list_filter(string_split(regexp_replace(text, '\\s+', '', 'g'), ''), lambda c: c <> '')"
 
 
-@query("lm_char_bigram_score", f"""{KEYED}, de AS (SELECT id, {_CH} AS chars FROM k WHERE lang = 'de'), tr AS (SELECT * FROM de WHERE substr(md5(id), 1, 1) < '8'), te AS (SELECT * FROM de WHERE substr(md5(id), 1, 1) >= 'e'),
-{counts_sql('c', 'tr', 'id', 'chars', 2)} SELECT id, round(score, 5) AS score FROM {score_sql('c', 'te', 'id', 'chars', 2)}""")
+# every language but English has a model of its own; ids don't repeat over languages
+@query("lm_char_bigram_score", f"""{KEYED}, other AS (SELECT id, lang, {_CH} AS chars FROM k WHERE lang <> 'en'), {counts_sql('c', 'other', 'id', 'chars', 2, 'lang')}
+SELECT g.id, round(avg(ln(0.6 * coalesce(b.q, 0) + 0.3 * coalesce(a.q, 0) + 0.1 / m.v)), 5) AS score FROM {grams_sql('other', 'id', 'chars', 2, 'lang,')} g JOIN c_v m ON m.lang = g.lang
+LEFT JOIN c2 b ON b.lang = g.lang AND b.ctx = g.ctx AND b.tok = g.tok LEFT JOIN c1 a ON a.lang = g.lang AND a.ctx = '' AND a.tok = g.tok GROUP BY g.id""")
 def lm_char_bigram_score(spark, d):
     from ..functions.text import tokenize
 
-    de = keyed(spark, d, "lang = 'de'").withColumn("h", F.substring(F.md5("id"), 1, 1)).withColumn("chars", tokenize(F.col("text"), "char"))
-    counts = ngram.fit_counts(de.filter("h < '8'"), "chars", 2)
-    return ngram.scores(de.filter("h >= 'e'"), "id", "chars", counts, 2).select("id", F.round("score", 5).alias("score"))
+    other = keyed(spark, d, "lang <> 'en'").withColumn("chars", tokenize(F.col("text"), "char"))
+    counts = lexical.keep_table(ngram.fit_counts(other, "chars", 2, ("lang",)), "counts")
+    return ngram.scores(other, "id", "chars", counts, 2, by=("lang",)).select("id", F.round("score", 5).alias("score"))
 
 
 @query("lm_perplexity", f"""{KEYED}, en AS (SELECT * FROM k WHERE lang = 'en'), tr AS (SELECT * FROM en WHERE substr(md5(id), 1, 1) < '8'), te AS (SELECT * FROM en WHERE substr(md5(id), 1, 1) >= '8'),
@@ -96,7 +97,7 @@ def lm_smoothing(spark, d):
     return out
 
 
-_GENRE = f"""{KEYED}, tr AS (SELECT * FROM k WHERE len(toks) >= 3 AND substr(md5(id), 1, 1) < '8'), te AS (SELECT * FROM k WHERE len(toks) >= 3 AND substr(md5(id), 1, 1) >= 'e'), {counts_sql('c', 'tr', 'id', 'toks', 2, 'lang')},
+_GENRE = f"""{KEYED}, te AS (SELECT * FROM k WHERE len(toks) >= 3), {counts_sql('c', 'te', 'id', 'toks', 2, 'lang')},
 sc AS (SELECT g.id, m.lang AS lm_id, avg(ln(0.6 * coalesce(b.q, 0) + 0.3 * coalesce(a.q, 0) + 0.1 / m.v)) AS score FROM {grams_sql('te', 'id', 'toks', 2)} g CROSS JOIN c_v m
 LEFT JOIN c2 b ON b.lang = m.lang AND b.ctx = g.ctx AND b.tok = g.tok LEFT JOIN c1 a ON a.lang = m.lang AND a.ctx = '' AND a.tok = g.tok GROUP BY ALL)"""
 
@@ -104,21 +105,21 @@ LEFT JOIN c2 b ON b.lang = m.lang AND b.ctx = g.ctx AND b.tok = g.tok LEFT JOIN
 @query("genre_top_sentences", f"{_GENRE} SELECT lm_id, id, CAST(r AS INTEGER) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY lm_id ORDER BY round(score, 6) DESC, id) AS r FROM sc) WHERE r <= 20")
 def genre_top_sentences(spark, d):
     """One model per language stands for a genre; the 20 sentences that each likes best."""
-    s = keyed(spark, d).filter(F.size("toks") >= 3).withColumn("h", F.substring(F.md5("id"), 1, 1))
-    counts = ngram.fit_counts(s.filter("h < '8'").withColumnRenamed("lang", "lm_id"), "toks", 2, ("lm_id",))
-    scored = selection.genre_scores(s.filter("h >= 'e'"), "id", "toks", counts, 2).withColumn("score", F.round("score", 6))
+    s = keyed(spark, d).filter(F.size("toks") >= 3)
+    counts = lexical.keep_table(ngram.fit_counts(s.withColumnRenamed("lang", "lm_id"), "toks", 2, ("lm_id",)), "counts")
+    scored = selection.genre_scores(s, "id", "toks", counts, 2).withColumn("score", F.round("score", 6))
     return selection.top_per_group(scored, "lm_id", "score", 20, "id").select("lm_id", "id", "rank")
 
 
 @query("genre_confusion", f"{_GENRE} SELECT lang, lm_id, count(*) AS n FROM (SELECT id, arg_max(lm_id, score) AS lm_id FROM sc GROUP BY id) JOIN te USING (id) GROUP BY ALL")
 def genre_confusion(spark, d):
-    s = keyed(spark, d).filter(F.size("toks") >= 3).withColumn("h", F.substring(F.md5("id"), 1, 1))
-    counts = ngram.fit_counts(s.filter("h < '8'").withColumnRenamed("lang", "lm_id"), "toks", 2, ("lm_id",))
-    best = selection.genre_scores(s.filter("h >= 'e'"), "id", "toks", counts, 2).groupBy("id").agg(F.max_by("lm_id", "score").alias("lm_id"))
+    s = keyed(spark, d).filter(F.size("toks") >= 3)
+    counts = lexical.keep_table(ngram.fit_counts(s.withColumnRenamed("lang", "lm_id"), "toks", 2, ("lm_id",)), "counts")
+    best = selection.genre_scores(s, "id", "toks", counts, 2).groupBy("id").agg(F.max_by("lm_id", "score").alias("lm_id"))
     return best.join(s.select("id", "lang"), "id").groupBy("lang", "lm_id").agg(F.count("*").alias("n"))
 
 
-# in-domain: the benchmark's sentences and their cipher; out-of-domain: the documents' pairs, of which the SQL counts a hash sample only
+# in-domain: the benchmark's sentences and their cipher; out-of-domain: all of the documents' pairs
 _CE_BASE = f"""WITH {sql.cipher()}, {_BENCH},
 ien AS (SELECT text AS tgt, {sql.words('text')} AS tgt_toks FROM bsent GROUP BY text),
 ic AS (SELECT *, list_transform(tgt_toks, lambda t: 'c' || substr(md5(lower(t)), 1, 4)) AS codes FROM ien WHERE len(tgt_toks) BETWEEN 3 AND 120),
@@ -126,40 +127,37 @@ icb AS (SELECT tgt, tgt_toks, list_transform(codes, lambda c, i: CASE WHEN (CASE
   THEN codes[CASE WHEN i % 2 = 1 THEN i + 1 ELSE i - 1 END] ELSE c END) AS src_toks FROM ic),
 inn AS (SELECT tgt AS id, tgt_toks, list_filter(string_split(array_to_string(src_toks, ''), ''), lambda c: c <> '') AS chars FROM icb),
 pool AS (SELECT pair_id AS id, tgt_toks, list_filter(string_split(array_to_string(src_toks, ''), ''), lambda c: c <> '') AS chars FROM cb),
-outn AS (SELECT * FROM pool WHERE {sql.u('id', "'out'")} < 0.1),
-{counts_sql('it', 'inn', 'id', 'tgt_toks', 3)}, {counts_sql('ot', 'outn', 'id', 'tgt_toks', 3)}, {counts_sql('is_', 'inn', 'id', 'chars', 2)}, {counts_sql('os_', 'outn', 'id', 'chars', 2)},
+{counts_sql('it', 'inn', 'id', 'tgt_toks', 3)}, {counts_sql('ot', 'pool', 'id', 'tgt_toks', 3)}, {counts_sql('is_', 'inn', 'id', 'chars', 2)}, {counts_sql('os_', 'pool', 'id', 'chars', 2)},
 a AS {score_sql('it', 'pool', 'id', 'tgt_toks', 3)}, b AS {score_sql('ot', 'pool', 'id', 'tgt_toks', 3)}, c AS {score_sql('is_', 'pool', 'id', 'chars', 2)}, d AS {score_sql('os_', 'pool', 'id', 'chars', 2)},
 ce AS (SELECT a.id AS pair_id, round((b.score - a.score) + (d.score - c.score), 6) AS ce FROM a JOIN b USING (id) JOIN c USING (id) JOIN d USING (id))"""
 
 
-def _ce_parts(spark, d, sample=None):
-    """The pool and its models; sample is for the queries whose SQL counts that share of the pool, the others count all of it."""
-    from ..functions.hashing import uniform
+def _ce_parts(spark, d):
+    """The pool and its models; the whole pool is the out-of-domain corpus."""
     from ..functions.text import tokenize
 
     chars = lambda p: p.withColumn("src_toks", tokenize(F.array_join("src_toks", ""), "char"))
     pool = chars(bitext.cipher_bitext(spark, d)).select("pair_id", "src_toks", "tgt_toks", "tgt")
     inside = chars(bitext.cipher_pairs(benchmark_sentences(spark, d).select("text", F.lit("b").alias("genre"))))
     pool = lexical.keep_table(pool, "pool")
-    out = pool if sample is None else pool.filter(uniform(F.col("pair_id"), F.lit("out")) < sample)
     fit = lambda df, toks, n: lexical.keep_table(ngram.fit_counts(df, toks, n), "counts")
-    return pool, {"in_src": fit(inside, "src_toks", 2), "out_src": fit(out, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(out, "tgt_toks", 3)}
+    return pool, {"in_src": fit(inside, "src_toks", 2), "out_src": fit(pool, "src_toks", 2), "in_tgt": fit(inside, "tgt_toks", 3), "out_tgt": fit(pool, "tgt_toks", 3)}
 
 
 @query("bilingual_ce_scores", f"{_CE_BASE} SELECT pair_id, ce FROM ce")
 def bilingual_ce_scores(spark, d):
-    pool, models = _ce_parts(spark, d, 0.1)
+    pool, models = _ce_parts(spark, d)
     return selection.bilingual_ce(pool, models).select("pair_id", F.round("ce", 6).alias("ce"))
 
 
 @query("select_bilingual_ce", f"{_CE_BASE} SELECT pair_id FROM ce ORDER BY ce, pair_id LIMIT (SELECT CAST(ceil(0.06 * count(*)) AS BIGINT) FROM ce)")
 def select_bilingual_ce(spark, d):
     """The six lowest in a hundred, the share that 600 thousand of 10 million pairs are."""
-    return _lowest_ce(spark, d, 0.1)
+    return _lowest_ce(spark, d)
 
 
-def _lowest_ce(spark, d, sample=None):
-    pool, models = _ce_parts(spark, d, sample)
+def _lowest_ce(spark, d):
+    pool, models = _ce_parts(spark, d)
     scored = lexical.keep_table(selection.bilingual_ce(pool, models).withColumn("ce", F.round("ce", 6)), "ce")
     k = -(-6 * scored.count() // 100)
     return selection.select_lowest(scored, "ce", k).select("pair_id")
@@ -317,7 +315,7 @@ def bpe_pair_counts(spark, d):
 
 @query("bpe_learn")
 def bpe_learn(spark, d):
-    merges = subword.learn_bpe(subword.word_types(sents(spark, d)), 200)
+    merges = subword.learn_bpe(subword.word_types(sents(spark, d)))
     return spark.createDataFrame([(i, a, b) for i, (a, b) in enumerate(merges)], "rank int, left string, right string")
 
 
@@ -325,7 +323,7 @@ def bpe_learn(spark, d):
 def bpe_apply(spark, d):
     """Pieces a sentence, and whether they read back as it."""
     s = keyed(spark, d, "lang = 'en'")
-    merges = subword.learn_bpe(subword.word_types(s), 200)
+    merges = subword.learn_bpe(subword.word_types(s))
     out = subword.apply_bpe(s, merges, "id")
     return out.join(s.select("id", F.array_join("toks", " ").alias("t")), "id").select("id", F.size("pieces").alias("n_pieces"), (subword.decode_pieces("pieces") == F.col("t")).alias("same"))
 
