@@ -7,7 +7,9 @@ training document takes part in estimation. The vector of the next token is
 predicted as the sum of a vector of each token before it, by its distance
 (words' vectors and the linear map of a distance are one table). Its
 probability has two factors: the SHORT most frequent words are classes of
-their own and the others lie in classes of MEMBERS neighbours in rank; first
+their own and the others lie in classes of neighbours in rank, MEMBERS or a
+GROWTH-th of the ranks before, so that classes grow with the logarithm of a
+large vocabulary and the largest are those that are seldom entered; first
 the class is predicted, then the word within it, each normalised by matrix
 products. As the score of a class is a sum over the tokens before, its
 exponential is a product: one table of exponentials a distance, made once,
@@ -43,9 +45,11 @@ from .common import as_bytes, cut, slices, tidy
 HOT_WORDS = 120_000
 #: A token with as many training occurrences is a word of the neural model.
 LEAST_COUNT = 100
-SHORT, MEMBERS = 128, 128
+SHORT, MEMBERS, GROWTH = 128, 128, 32
+#: Scores of a class's words that are made at once.
+PIECE = 1 << 19
 #: Words whose factors a worker keeps, and rows of a table that travel together.
-HELD, BLOCK = 8192, 256
+HELD, BLOCK = 16_384, 256
 ROUNDS, LEARNERS = 3, 16
 #: Tokens that a small corpus is read again for, up to MOST_VISITS times in all.
 VISITED_TOKENS, MOST_VISITS = 3_000_000, 3
@@ -63,15 +67,19 @@ def tokens(text: bytes | None) -> list[bytes]:
     return [*(text or b"").lower().split(), END]
 
 
-def class_of(words: np.ndarray, vocabulary: int) -> np.ndarray:
-    """Classes of word numbers; vocabulary is the number that stands for all others, in the last class."""
-    deep = np.minimum(words, vocabulary - 1) - SHORT
-    out = np.where(words < SHORT, words, SHORT + deep // MEMBERS)
-    return np.where(words >= vocabulary, classes_of(vocabulary) - 1, out)
+def class_edges(vocabulary: int) -> np.ndarray:
+    """The first word of every class; behind them the vocabulary, where the class of all other words starts."""
+    edges = list(range(min(vocabulary, SHORT)))
+    at = len(edges)
+    while at < vocabulary:
+        edges.append(at)
+        at += max(MEMBERS, at // GROWTH)
+    return np.array([*edges, vocabulary])
 
 
-def classes_of(vocabulary: int) -> int:
-    return min(vocabulary, SHORT) + -(-max(0, vocabulary - SHORT) // MEMBERS) + 1
+def class_of(words: np.ndarray, edges: np.ndarray) -> np.ndarray:
+    """Classes of word numbers; the vocabulary's size and beyond stand for all others, in the last class."""
+    return np.searchsorted(edges, words, side="right") - 1
 
 
 def log_sum(s: np.ndarray) -> np.ndarray:
@@ -91,6 +99,7 @@ class LogBilinear:
 
     def __post_init__(self):
         self._held = None
+        self.edges = class_edges(len(self.word))
 
     def hidden(self, before: np.ndarray) -> np.ndarray:
         return sum(self.context[j][before[:, j]] for j in range(CONTEXT))
@@ -132,15 +141,15 @@ class LogBilinear:
     def log_probability(self, words: np.ndarray, before: np.ndarray) -> np.ndarray:
         """Of every word after its context, that of the class for words outside the vocabulary."""
         v = len(self.word)
-        classes, hidden = class_of(words, v), self.hidden(before)
+        classes, hidden = class_of(words, self.edges), self.hidden(before)
         out = np.einsum("td,td->t", hidden, self.target[classes]) + self.bias[classes] - self.log_partition(before)
         deep = np.flatnonzero((words >= SHORT) & (words < v))
         deep = deep[np.argsort(classes[deep].astype(np.uint16), kind="stable")]
         for part in np.split(deep, np.flatnonzero(np.diff(classes[deep])) + 1) if len(deep) else ():
-            lo = SHORT + (classes[part[0]] - SHORT) * MEMBERS
-            hi = min(lo + MEMBERS, v)
-            for a in range(0, len(part), 4096):
-                i = part[a : a + 4096]
+            lo, hi = self.edges[classes[part[0]]], self.edges[classes[part[0]] + 1]
+            rows = max(1, min(4096, PIECE // int(hi - lo)))
+            for a in range(0, len(part), rows):
+                i = part[a : a + rows]
                 s = hidden[i] @ self.word[lo:hi].T + self.word_bias[lo:hi]
                 out[i] += s[np.arange(len(i)), words[i] - lo] - log_sum(s)
         return out
@@ -162,7 +171,8 @@ class Learner:
         rng, d = np.random.default_rng(seed), DIMENSIONS
         self.noise = np.maximum(unigram, 1e-9) / np.maximum(unigram, 1e-9).sum()
         v = self.vocabulary = len(unigram) - 1
-        self.classes = class_of(np.arange(v + 1), v)
+        self.edges = class_edges(v)
+        self.classes = class_of(np.arange(v + 1), self.edges)
         mass = np.bincount(self.classes, self.noise)
         self.log_noise, self.ladder = np.log(mass).astype(np.float32), np.cumsum(mass)
         self.ladder_words = np.concatenate([[0.0], np.cumsum(self.noise)])
@@ -220,8 +230,7 @@ class Learner:
             deep = np.flatnonzero((own >= SHORT) & (own < v))
             if len(deep):
                 w, h = own[deep], hidden[deep]
-                lo = SHORT + (w - SHORT) // MEMBERS * MEMBERS
-                hi = np.minimum(lo + MEMBERS, v)
+                lo, hi = self.edges[own_class[deep]], self.edges[own_class[deep] + 1]
                 t_w = words[w]
                 real = sure(np.einsum("bd,bd->b", h, t_w[:, :d]) + t_w[:, d] - self.log_share[w] - share) - 1
                 g_deep = real[:, None] * t_w[:, :d]
