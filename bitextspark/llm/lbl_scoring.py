@@ -43,6 +43,8 @@ from pyspark.sql import functions as F
 from .common import as_bytes, cut, slices, tidy
 
 HOT_WORDS = 120_000
+#: Steps of the share that is taken of a bucket of counts.
+SHARES = 1 << 20
 #: A token with as many training occurrences is a word of the neural model.
 LEAST_COUNT = 100
 SHORT, MEMBERS, GROWTH = 128, 128, 32
@@ -364,17 +366,21 @@ def count_tokens(texts: DataFrame, text_col: str) -> DataFrame:
 
 
 def most_frequent(counts: DataFrame, most: int) -> list[tuple[bytes, int]]:
-    """Tokens from some count on, most at most: the count is set by a histogram of logarithms, so nothing large is sorted or sent."""
+    """Tokens from some count on, most at most: the count is set by a histogram of logarithms, so nothing large is sorted or sent.
+
+    Of the bucket at the border, whose counts are within a twentieth of each
+    other, the share that there is room for is taken by the tokens' hash.
+    """
     size = F.floor(16 * F.log2("c")).cast("int")
     histogram = sorted(((r["s"], r["n"]) for r in counts.groupBy(size.alias("s")).agg(F.count("*").alias("n")).collect()), reverse=True)
-    least, total = None, 0
+    least, share, total = 0, 0.0, 0
     for s, n in histogram:
-        if total + n > most:
+        least, share, total = s, min(1.0, (most - total) / n), total + n
+        if total >= most:
             break
-        least, total = s, total + n
-    if least is None:
-        return []
-    return sorted(((bytes(r["token"]), r["c"]) for r in counts.filter(size >= least).collect()), key=lambda x: (-x[1], x[0]))
+    part = F.pmod(F.xxhash64("token"), F.lit(SHARES)) < int(share * SHARES)
+    found = counts.filter((size > least) | ((size == least) & part)).collect()
+    return sorted(((bytes(r["token"]), r["c"]) for r in found), key=lambda x: (-x[1], x[0]))[:most]
 
 
 class Scorer:

@@ -94,3 +94,13 @@ def test_every_training_document_is_learned_from(spark, monkeypatch):
     fresh = lbl.Learner(np.ones(len(number) + 1)).model()
     moved = np.abs(model.word - fresh.word).max(axis=1) > 1e-6
     assert all(moved[number[f"{c}{i}".encode()]] for i in trained for c in "ab" if number[f"{c}{i}".encode()] >= lbl.SHORT)
+
+
+def test_a_full_bucket_at_the_border_is_shared_by_hash(spark):
+    """Thousand tokens with one count and room for a hundred: some are taken, the model isn't dropped, and what is more frequent stays."""
+    rows = [(f"w{i}".encode(), 130) for i in range(1000)]
+    found = lbl.most_frequent(spark.createDataFrame(rows, "token binary, c long"), 100)
+    assert 50 < len(found) <= 100 and found == sorted(found, key=lambda x: (-x[1], x[0]))
+    found = lbl.most_frequent(spark.createDataFrame([(b"often", 9000), *rows], "token binary, c long"), 100)
+    assert found[0] == (b"often", 9000) and 50 < len(found) <= 100
+    assert len(lbl.most_frequent(spark.createDataFrame(rows, "token binary, c long"), 1000)) == 1000
