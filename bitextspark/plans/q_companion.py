@@ -203,7 +203,8 @@ def map_token_counts(spark, d):
     return m.select("doc_id", F.when(F.size(often) > 0, F.array_join(F.transform(often, lambda e: F.concat(e["key"], F.lit("="), e["value"].cast("string"))), ",")).alias("often"))
 
 
-@query("json_props")
+@query("json_props", """SELECT 'OBJECT<' || array_to_string(list_transform(list_sort(json_keys(props)), lambda k: k || ': ' || CASE json_type(props, '$.' || k)
+  WHEN 'UBIGINT' THEN 'BIGINT' WHEN 'VARCHAR' THEN 'STRING' WHEN 'DOUBLE' THEN 'DECIMAL' ELSE json_type(props, '$.' || k) END), ', ') || '>' AS shape, count(*) AS n FROM events GROUP BY 1""")
 def json_props(spark, d):
     """Semi-structured properties as VARIANT: schema and count."""
     e = table(spark, d, "events").withColumn("v", F.try_parse_json("props"))

@@ -59,7 +59,22 @@ def corpus_bleu(spark, d):
     return bleu.corpus_bleu(hyps(spark, d), "pair_id", "hyp", "ref", ("split",), tokenize="split")
 
 
-@query("corpus_bleu_13a")
+def _13a(text: str) -> str:
+    """SQL of bleu.tokens_13a."""
+    for name, char in (("&quot;", '"'), ("&lt;", "<"), ("&gt;", ">"), ("&amp;", "&")):
+        text = f"replace({text}, '{name}', '{char}')"
+    text = rf"' ' || regexp_replace({text}, '\s', ' ', 'g') || ' '"
+    for pattern, to in ((r"([{-~\[-` -&(-+:-@/])", r" \1 "), (r"([^0-9])([.,])", r"\1 \2 "), (r"([.,])([^0-9])", r" \1 \2"), (r"([0-9])(-)", r"\1 \2 ")):
+        text = f"regexp_replace({text}, '{pattern}', '{to}', 'g')"
+    return f"list_filter(string_split(trim(regexp_replace({text}, '\\s+', ' ', 'g')), ' '), lambda x: x <> '')"
+
+
+_SYSTEMS = {"noised cased": ("hyp", "ref"), "noised uncased": ("lower(hyp)", "lower(ref)"), "lowered cased": ("lower(ref)", "ref"), "lowered uncased": ("lower(ref)", "lower(ref)")}
+_TOKENS = " UNION ALL ".join(f"SELECT '{name}:' || id AS id, '{name}' AS system, {_13a(h)} AS h, {_13a(r)} AS r FROM texts" for name, (h, r) in _SYSTEMS.items())
+
+
+@query("corpus_bleu_13a", f"""WITH {HYP}, texts AS (SELECT id, array_to_string(hy.h, ' ') AS hyp, cb.tgt AS ref FROM hy JOIN cb ON cb.pair_id = hy.id), tk AS ({_TOKENS}),
+{bleu_stats('tk', 'id', 'system,')}, s AS (SELECT system, {_SUMS} FROM st GROUP BY system) SELECT system, round(100 * {_BP} * exp((ln(m1 / t1) + ln(m2 / t2) + ln(m3 / t3) + ln(m4 / t4)) / 4), 6) AS bleu, hl AS hyp_len, rl AS ref_len FROM s""")
 def corpus_bleu_13a(spark, d):
     """Cased and uncased BLEU of the standard tokens, of the noised targets and of lower-cased ones."""
     rows = hyps(spark, d)
@@ -141,7 +156,7 @@ def ensemble_domain_weighted(spark, d):
     return ensemble.combine_weighted(s, routes(s)).select("sent_id", "tok", F.round("p", 7).alias("p"))
 
 
-@query("ensemble_domain_log")
+@query("ensemble_domain_log", f"WITH {_STEP}, {_ROUTE}, x AS (SELECT step.sent_id AS sent_id, tok, exp(sum(prob * ln(greatest(p, 1e-9)))) AS x FROM step JOIN route ON route.sent_id = step.sent_id AND domain = model_id GROUP BY step.sent_id, tok) SELECT sent_id, tok, round(x / sum(x) OVER (PARTITION BY sent_id), 7) AS p FROM x")
 def ensemble_domain_log(spark, d):
     s = steps(spark, d).withColumnRenamed("model_id", "domain")
     return ensemble.combine_weighted(s, routes(s), "log").select("sent_id", "tok", F.round("p", 7).alias("p"))
@@ -179,8 +194,12 @@ def length_penalty(spark, d):
     return sents(spark, d, "true").select("doc_id", "pos", F.round(ensemble.length_norm(-n, n), 6).alias("power"), F.round(ensemble.length_norm(-n, n, form="gnmt"), 6).alias("gnmt"))
 
 
+#: Models that the searches choose from; the greedy one looks at the pairs of the best eight.
+MODELS = 10
+
+
 def rescored(spark, d):
-    """(scores by model, hypothesis and sentence; BLEU statistics): five noised versions of each development target under six language models."""
+    """(scores by model, hypothesis and sentence; BLEU statistics): five noised versions of each development target under MODELS language models."""
     cb = bitext.cipher_bitext(spark, d)
     dev = cb.filter("split = 'dev_a'")
     out = None
@@ -189,7 +208,7 @@ def rescored(spark, d):
         part = dev.select(F.col("pair_id").alias("sent_id"), F.lit(r).alias("hyp_id"), h.alias("toks"), "tgt")
         out = part if out is None else out.unionByName(part)
     out = keep_table(out.withColumn("key", F.concat_ws("#", "sent_id", "hyp_id")), "hyps")
-    train = cb.filter("split = 'train'").withColumn("lm_id", F.concat(F.lit("m"), F.floor(uniform(F.col("pair_id"), F.lit("lm")) * 6).cast("int").cast("string")))
+    train = cb.filter("split = 'train'").withColumn("lm_id", F.concat(F.lit("m"), F.floor(uniform(F.col("pair_id"), F.lit("lm")) * MODELS).cast("int").cast("string")))
     from ..operators.selection import genre_scores
 
     scores = genre_scores(out, "key", "toks", ngram.fit_counts(train, "tgt_toks", 2, ("lm_id",)), 2)
@@ -201,7 +220,7 @@ def rescored(spark, d):
 def _searches(spark, d, how="logavg"):
     scores, stats = rescored(spark, d)
     evaluate = ensemble.rescoring(spark, scores, stats, how)
-    names = [r["model_id"] for r in scores.select("model_id").distinct().orderBy("model_id").collect()]  # six models
+    names = [r["model_id"] for r in scores.select("model_id").distinct().orderBy("model_id").collect()]  # MODELS rows
     single = evaluate([(m,) for m in names])
     return sorted(names, key=lambda m: (-single[(m,)], m)), evaluate
 

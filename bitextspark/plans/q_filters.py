@@ -135,7 +135,8 @@ query("noise_delete", _noise_sql(_D))(_noise(noise.noise_delete))
 query("noise_blank", _noise_sql(_B))(_noise(noise.noise_blank))
 query("noise_swap", _noise_sql(_S))(_noise(noise.noise_swap))
 query("noise_swap_local", _noise_sql(_L))(_noise(lambda t, k: noise.noise_swap(t, k, style="local")))
-query("noise_composite")(_noise(noise.add_noise))
+query("noise_composite", f"""{SENTS}, e AS (SELECT doc_id, pos, toks, doc_id || ':' || pos AS k FROM s WHERE lang = 'en'), kept AS (SELECT doc_id, pos, k, {_D} AS toks FROM e),
+blank AS (SELECT doc_id, pos, k, {_B} AS toks FROM kept) SELECT doc_id, pos, array_to_string({_S}, ' ') AS noised FROM blank""")(_noise(noise.add_noise))
 
 
 @query("reverse_source", f"{SENTS} SELECT doc_id, pos, array_to_string(list_reverse(toks), ' ') AS reversed FROM s")
