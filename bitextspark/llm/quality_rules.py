@@ -4,9 +4,10 @@ One pass reads every text and counts; the counts are small and cut to a
 table. KLL sketches over the documents that pass the base rules are built per
 (language, source), merged per language and merged over all, so thresholds of
 a new batch come from merging, not from reading again. A cutoff is a Tukey
-fence: the outer quartile plus some interquartile ranges, and never nearer to
-the quartile than a margin, so a group without spread rejects nothing odd
-about its members. A group with few documents takes its language's fence, a
+fence: the outer quartile plus some interquartile ranges. A margin is the least
+distance from the quartile, for ratios that are zero in most documents and so
+have no range; it is below what word lengths usually spread, so there the
+quantiles decide (reaches tells which). A group with few documents takes its language's fence, a
 language with few takes the fence of all, which holds whatever their number. The fences are joined to the counts
 and decide.
 """
@@ -55,8 +56,8 @@ RULES = (
     Rule("symbols", "n_symbols", "n_words", 6.0, 0.15),
     Rule("dup_lines", "n_dup_lines", "n_lines", 6.0, 0.3),
     Rule("repeats", "n_repeat_words", "n_words", 6.0, 0.3),
-    Rule("capitals", "n_capitals", "word_chars", 6.0, 0.15),
-    Rule("word_length", "word_chars", "n_words", 6.0, 2.0, both=True),
+    Rule("capitals", "n_capitals", "word_chars", 6.0, 0.05),
+    Rule("word_length", "word_chars", "n_words", 6.0, 0.5, both=True),
 )
 
 
@@ -121,6 +122,15 @@ def _fences(groups: DataFrame, least: int = LEAST_DOCS) -> DataFrame:
     return groups.filter(F.col("n") >= least).select(*keys, F.struct(*out).alias("fence"))
 
 
+def reaches(made: DataFrame, least: int = LEAST_DOCS) -> DataFrame:
+    """(lang, source, rule, reach, by_margin) of the sketches of least documents or more: how far the fence lies from the quartile, and whether the margin set it."""
+    out = []
+    for r in RULES:
+        spread = r.ranges * (F.kll_sketch_get_quantile_double(r.name, F.lit(0.75)) - F.kll_sketch_get_quantile_double(r.name, F.lit(0.25)))
+        out.append(F.struct(F.lit(r.name).alias("rule"), F.greatest(spread, F.lit(r.margin)).alias("reach"), (spread <= r.margin).alias("by_margin")))
+    return made.filter(F.col("n") >= least).select("lang", "source", F.inline(F.array(*out)))
+
+
 def fences(made: DataFrame) -> DataFrame:
     """One row per (lang, source) of the sketches with the fence that holds for it (null: no document passes the base rules)."""
     merged = [F.kll_merge_agg_double(r.name).alias(r.name) for r in RULES]

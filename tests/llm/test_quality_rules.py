@@ -87,3 +87,26 @@ def test_few_documents_have_a_fence(spark):
     got = {r["doc_id"]: r for r in quality.verdicts(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
     assert "capitals" in got[100]["reasons"] and "symbols" in got[101]["reasons"] and not got[100]["kept"] and not got[101]["kept"]
     assert all(got[i]["kept"] for i in range(30))
+
+
+def test_spread_sets_the_reach(spark):
+    """Two sources that differ in how much their documents' word lengths spread: the wide one's fence is farther, and by its quantiles."""
+    rng = random.Random(12)
+    rows = []
+    for i in range(600):
+        size = 5 if i % 2 else rng.randrange(3, 9)
+        rows.append((i, " ".join("".join(rng.choices("abcdefghijk", k=size)) for _ in range(60)), "en", "narrow" if i % 2 else "wide"))
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    got = {r["source"]: r for r in quality.reaches(quality.sketches(quality.counts(docs))).filter("rule = 'word_length'").collect()}
+    assert not got["wide"]["by_margin"] and got["narrow"]["by_margin"] and got["wide"]["reach"] > 10 * got["narrow"]["reach"]
+    long = " ".join("".join(rng.choices("abcdefghijk", k=9)) for _ in range(60))
+    more = docs.union(spark.createDataFrame([(1000, long, "en", "wide"), (1001, long, "en", "narrow")], docs.schema))
+    kept = {r["doc_id"]: r["kept"] for r in quality.verdicts(more).filter("doc_id >= 1000").collect()}
+    assert kept == {1000: True, 1001: False}
+
+
+def test_quantiles_set_the_reach_of_word_lengths_on_the_given_table(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    found = quality.reaches(quality.sketches(quality.counts(docs))).filter("rule = 'word_length'").agg({"by_margin": "count"}).first()[0]
+    by_margin = quality.reaches(quality.sketches(quality.counts(docs))).filter("rule = 'word_length' AND by_margin").count()
+    assert found > 0 and by_margin == 0
