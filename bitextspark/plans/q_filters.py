@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import noise
 from ..functions.text import normalize_numerals, normalize_punct, words
-from ..operators import classify, filters, selection
+from ..operators import cascade, classify, filters, lexical, ngram, selection
 from ..sources import bitext
 from . import sql
 
@@ -63,6 +63,26 @@ def monolingual_filter(spark, d):
     return noted.groupBy("lang").agg(F.count("*").alias("n"), F.sum((F.size("reasons") == 0).cast("long")).alias("kept"))
 
 
+def _whole_cascade(spark, d):
+    """Damaged pairs with the reasons of all nine rules: language model and lexicon are fitted on the undamaged text."""
+    pairs = bitext.corrupted_bitext(spark, d).withColumn("row_id", F.concat_ws(":", "pair_id", "copy", F.md5("truth")))
+    every = sents(spark, d, "true")
+    langs = lexical.keep_table(classify.train_langid(every.filter(F.size("toks") >= 5)), "langs")
+    counts = lexical.keep_table(ngram.fit_counts(every.filter("lang = 'en'"), "toks", 2), "counts")
+    return cascade.annotate(pairs, langs, counts, lexical.fit_alignment(bitext.cipher_bitext(spark, d).filter("split = 'train'"), 3))
+
+
+@query("filter_cascade_whole")
+def filter_cascade_whole(spark, d):
+    """Rows by kind of damage and reason, with duplicates, language, language model and alignment among the rules."""
+    return cascade.report(_whole_cascade(spark, d), "truth")
+
+
+@query("filter_quality_whole")
+def filter_quality_whole(spark, d):
+    return filters.filter_quality(_whole_cascade(spark, d))
+
+
 DIALOGUE = "d AS (SELECT * FROM (SELECT conv_id, turn, role, text AS src, lead(role) OVER w AS nr, lead(text) OVER w AS tgt FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND nr = 'assistant')"
 
 
