@@ -122,6 +122,11 @@ def hamming(a: Column, b: Column, layout: Layout = LINKS) -> Column:
     return reduce(Column.__add__, (F.bit_count(a[c].bitwiseXOR(b[c])) for c in layout.columns))
 
 
+def _shuffled(df: DataFrame) -> DataFrame:
+    """df for a join by shuffle. Spark takes a table's files for its size, before a fingerprint is exploded into its balls, and would gather millions of rows on the driver to broadcast them."""
+    return df.hint("merge")
+
+
 def _segments(layout: Layout) -> list[Column]:
     mask = (1 << layout.width) - 1
     return [F.shiftrightunsigned(F.col(layout.columns[i * layout.width // 64]), i * layout.width % 64).bitwiseAND(F.lit(mask)) for i in range(layout.segments)]
@@ -163,10 +168,10 @@ def segment_links(fps: DataFrame, layout: Layout = LINKS) -> DataFrame:
     asked = own.select(*columns, "s", F.explode(F.transform(F.array(*flips), lambda x: x.bitwiseXOR(F.col("v")))).alias("v")) if layout.radius else own
     hot = cut(own.groupBy("s", "v").agg(F.count("*").alias("n")).filter(F.col("n") > HOT).select("s", "v", F.ceil(F.col("n") / HOT).cast("int").alias("blocks")), "hot")
     some = hot.count()
-    small = F.broadcast(hot) if some <= BROADCAST_ROWS else hot
+    small = F.broadcast(hot) if some <= BROADCAST_ROWS else _shuffled(hot)
     cold = lambda df: df.join(small, ["s", "v"], "left_anti") if some else df
     this, other = F.struct(*columns), F.struct(*(F.col(f"o{c}").alias(c) for c in columns))
-    met = cold(own).join(cold(asked).withColumnsRenamed({c: f"o{c}" for c in columns}), ["s", "v"]).filter((this != other) & (hamming(this, other, layout) <= layout.max_bits))
+    met = cold(own).join(_shuffled(cold(asked).withColumnsRenamed({c: f"o{c}" for c in columns})), ["s", "v"]).filter((this != other) & (hamming(this, other, layout) <= layout.max_bits))
     links = met.select(F.least(this, other).alias("a"), F.greatest(this, other).alias("b"))
     if some:
         # each row goes to all pairs of blocks that have its own block in them

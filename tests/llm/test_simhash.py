@@ -137,6 +137,13 @@ def test_a_repeated_id_with_other_texts_keeps_its_own_groups_only(spark):
     assert sorted((r["doc_id"], r["text"]) for r in simhash.keep_one(df).collect()) == sorted([(2, b), (5, a), (7, c)])
 
 
+def test_tables_that_grow_are_not_broadcast(spark, capsys):
+    fps = simhash.cut(spark.range(500).selectExpr("xxhash64(id) AS __f0"), "prints")
+    simhash.segment_links(fps).explain()
+    plan = capsys.readouterr().out
+    assert "SortMergeJoin" in plan and "Broadcast" not in plan
+
+
 def test_keep_one_and_empty(spark):
     rows = [(3, "a b c d", "x"), (1, "a b c d", "y"), (9, "p q r s t", None), (None, "lone", "z"), (7, None, "n"), (8, "", "n")]
     df = spark.createDataFrame(rows, "doc_id long, text string, component_id string")
