@@ -25,6 +25,11 @@ def test_query_equals_its_sql(spark, duck, name):
     assert sorted((tuple(r[c] for c in columns) for r in got.collect()), key=str) == sorted(want, key=str)
 
 
+@pytest.mark.parametrize("name", ["best_checkpoint", "best_portions", "convergence_steps", "diverse_specs", "model_ranking", "published_ladder", "sinusoid_positions", "teacher_members", "train_plans"])
+def test_query_reads_a_table(spark, name):
+    assert registry.QUERIES[name](spark, SF).inputFiles()
+
+
 def test_ladder_reports_every_stage(spark):
     rows = q_training.ladder(spark, SF).collect()
     assert {r["stage_no"] for r in rows} == {1, 2, 3, 4, 5, 6} and all(0 <= r["bleu"] <= 100 for r in rows)
