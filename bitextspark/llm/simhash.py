@@ -10,7 +10,9 @@ two fingerprints within segments * (radius + 1) - 1 bits always meet.
 LINKS, two segments of 32 bits with radius one, finds all links of two bits.
 SIMILAR is for similarity 0.8: 256 bits in 16 tables of 16 bits, of which a
 pair needs one equal segment (certain within 15 bits; by the odds of single
-bits in three of four pairs at the threshold and nearly all above 0.9).
+bits in three of four pairs at the threshold and nearly all above 0.9). What
+it proposes is checked by the shingles themselves, and what it may have missed
+is found by shared rare shingles (alike_components), so no pair is lost.
 
 A segment's value can be hot, as near copies share most of theirs. A bucket of
 more than HOT fingerprints is dealt into blocks of about HOT; each pair of
@@ -40,6 +42,10 @@ HOT = 256
 BROADCAST_ROWS = 100_000
 #: Ids of documents that go, broadcast up to so many.
 KEPT_IDS = 1_000_000
+#: Sets whose shingles are counted to order shingles by frequency, and frequent shingles sent to the tasks.
+ORDER_SETS = 5_000
+ORDER_SHINGLES = 200_000
+PARITY_BITS = 2048
 _ROOT = "__root"
 
 
@@ -86,15 +92,26 @@ def _mixed(h: np.ndarray, n: int) -> np.ndarray:
 
 def fingerprint(text: bytes | None, words: int = LINKS.words, seed: int = SEED, longs: int = 1) -> list[int]:
     """SimHash of a text as signed 64-bit integers; zero without words. The first one is that of the shingles' XXH64."""
+    return _folded(shingle_hashes(text, words, seed), longs)
+
+
+def shingle_hashes(text: bytes | None, words: int, seed: int = SEED) -> np.ndarray:
+    """XXH64 of a text's shingles in their order, repeats included."""
     found = text.lower().split() if text else []
     if not found:
-        return [0] * longs
+        return np.zeros(0, dtype="<u8")
     if len(found) < words:
         shingles = [b" ".join(found)]
     else:
         shingles = map(b" ".join, zip(*(found[i:] for i in range(words)), strict=False))
     digest = xxhash.xxh64_intdigest
-    hashes = np.array([digest(x, seed) for x in shingles], dtype="<u8")
+    return np.array([digest(x, seed) for x in shingles], dtype="<u8")
+
+
+def _folded(hashes: np.ndarray, longs: int) -> list[int]:
+    """SimHash of shingles' hashes."""
+    if not len(hashes):
+        return [0] * longs
     ones = np.zeros((longs, 64), dtype=np.int64)
     for i in range(0, len(hashes), 4096):
         part = hashes[i : i + 4096]
@@ -237,8 +254,144 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return found.select(id_col, digits.alias("fingerprint"), "component_id")
 
 
+_DIGEST = ["__d0", "__d1"]
+
+
+def _digest(kinds: np.ndarray) -> np.ndarray:
+    """128 bits of a set of shingles, as two longs."""
+    return np.frombuffer(xxhash.xxh3_128_digest(kinds.tobytes(), SEED), dtype="<i8")
+
+
+def _parity(kinds: np.ndarray) -> np.ndarray:
+    """For each of PARITY_BITS remainders whether an odd number of hashes has it, in longs. Two sets differ in at least as many elements as their parities in bits."""
+    odd = np.bincount(kinds & (PARITY_BITS - 1), minlength=PARITY_BITS).astype(np.uint8) & 1
+    return np.packbits(odd, bitorder="little").view("<i8")
+
+
+def _with_sets(docs: DataFrame, id_col: str, text_col: str, layout: Layout) -> DataFrame:
+    """(id, digest, fingerprint, shingles' number n and their hashes in order) of every row of docs."""
+
+    def run(batches):
+        for whole in batches:
+            for batch in slices(whole, "t"):
+                hashes = [shingle_hashes(x, layout.words) for x in as_bytes(batch.column("t"))]
+                kinds = [np.unique(h).view("<i8") for h in hashes]
+                first = np.array([_digest(k) for k in kinds])
+                prints = np.array([_folded(h, layout.longs) for h in hashes], dtype=np.int64)
+                sizes = np.array([len(k) for k in kinds])
+                lists = pa.ListArray.from_arrays(np.append(0, np.cumsum(sizes)).astype(np.int32), np.concatenate(kinds))
+                columns = [*first.T, *prints.T, sizes]
+                odd = pa.ListArray.from_arrays(np.arange(len(kinds) + 1, dtype=np.int32) * (PARITY_BITS // 64), np.concatenate([_parity(k) for k in kinds]))
+                yield pa.RecordBatch.from_arrays([batch.column("i"), *(pa.array(np.ascontiguousarray(c), pa.int64()) for c in columns), odd, lists], names=["i", *_DIGEST, *layout.columns, "n", "odd", "kinds"])
+
+    kind = docs.schema[id_col].dataType.simpleString()
+    schema = f"i {kind}, " + ", ".join(f"{c} bigint" for c in [*_DIGEST, *layout.columns, "n"]) + ", odd array<bigint>, kinds array<bigint>"
+    return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), schema).withColumnRenamed("i", id_col)
+
+
+def _frequent(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes (sorted) of frequent shingles and their counts, from about ORDER_SETS sets. They order the shingles, which decides how fast links are found, not which."""
+    share = max(1, sets.count() // ORDER_SETS)
+    some = sets.filter(F.pmod(F.xxhash64("node"), F.lit(share)) == 0).select(F.explode("kinds").alias("k"))
+    found = some.groupBy("k").agg(F.count("*").alias("c")).filter("c >= 3").orderBy(F.desc("c"), "k").limit(ORDER_SHINGLES).toArrow()
+    keys, counts = found.column("k").to_numpy(), found.column("c").to_numpy()
+    order = np.argsort(keys)
+    return keys[order], counts[order]
+
+
+def _first(kinds: np.ndarray, frequent: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The rarest shingles of a set of which any set of similarity 0.8 has one among its own rarest."""
+    keys, counts = frequent
+    often = np.zeros(len(kinds), dtype=np.int64)
+    if len(keys):
+        at = np.minimum(np.searchsorted(keys, kinds), len(keys) - 1)
+        often = np.where(keys[at] == kinds, counts[at], 0)
+    return kinds[np.argsort(often, kind="stable")][: len(kinds) - -(-4 * len(kinds) // 5) + 1]
+
+
+def _met(sets: DataFrame) -> DataFrame:
+    """(a, b), a < b: all pairs of sets (node, n, kinds) that share one of their rarest shingles and may be alike by their sizes."""
+    sent = sets.sparkSession.sparkContext.broadcast(_frequent(sets))  # ORDER_SHINGLES rows at most
+
+    def first(batches):
+        for batch in batches:
+            lists = batch.column("kinds")
+            own = [_first(k, sent.value) for k in np.split(lists.flatten().to_numpy(), np.cumsum(batch.column("n").to_numpy())[:-1])] if len(lists) else []
+            size = [len(k) for k in own]
+            flat = np.concatenate(own) if own else np.zeros(0, dtype=np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(flat, pa.int64()), *(pa.array(np.repeat(batch.column(c).to_numpy(), size), pa.int64()) for c in ("node", "n"))], names=["k", "node", "n"])
+
+    def pairs(batches):
+        held = np.zeros((3, 0), dtype=np.int64)
+        for batch in batches:
+            # rows come by shingle; those of the last one are held until its run ends
+            held = np.concatenate([held, np.stack([c.to_numpy() for c in batch.columns])], axis=1)
+            k, node, n = held
+            found = []
+            for d in range(1, len(k)):
+                at = np.flatnonzero(k[:-d] == k[d:])
+                if not len(at):
+                    break
+                at = at[5 * np.minimum(n[at], n[at + d]) >= 4 * np.maximum(n[at], n[at + d])]
+                found.append(np.stack([np.minimum(node[at], node[at + d]), np.maximum(node[at], node[at + d])], axis=1))
+            if found:
+                out = np.unique(np.concatenate(found), axis=0)
+                for i in range(0, len(out), 100_000):
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in np.ascontiguousarray(out[i : i + 100_000].T)], names=["a", "b"])
+            held = held[:, k == k[-1]] if len(k) else held
+
+    rows = sets.filter("n > 0").select("node", "n", "kinds").mapInArrow(tidy(first), "k bigint, node bigint, n bigint")
+    return rows.repartition("k").sortWithinPartitions("k").mapInArrow(tidy(pairs), "a bigint, b bigint").distinct()
+
+
+def _alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose sets have a Jaccard index of 0.8 at least, counted exactly."""
+    # an index of 0.8 allows no more differences than a ninth of both sizes; parities bound them from below, so most pairs go before their shingles are needed
+    light = lambda x: sets.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}"))
+    bits = F.aggregate(F.zip_with("oa", "ob", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda x, y: x + y)
+    pairs = cut(pairs.join(_shuffled(light("a")), "a").join(_shuffled(light("b")), "b").filter(9 * bits <= F.col("na") + F.col("nb")).select("a", "b"), "pairs")
+    # only sets that are in a pair are shuffled
+    meant = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "meant")
+    held = sets.join(F.broadcast(meant) if meant.count() <= KEPT_IDS else _shuffled(meant), "node", "left_semi")
+    side = lambda x: held.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("kinds").alias(f"k{x}"))
+    met = pairs.join(_shuffled(side("a")), "a").join(_shuffled(side("b")), "b")
+    return met.filter(9 * F.size(F.array_intersect("ka", "kb")) >= 4 * (F.col("na") + F.col("nb"))).select("a", "b")
+
+
+def alike_components(docs: DataFrame, id_col: str, text_col: str, layout: Layout = SIMILAR) -> DataFrame:
+    """(id, the digest of its shingles, the component's root and component_id) for every row of docs; links are all pairs with a Jaccard index of 0.8 at least.
+
+    Equal sets are folded. Fingerprints propose links first; each is checked by
+    the shingles. As fingerprints miss some, sets that share one of their rarest
+    shingles (as any two alike must) are met, too, where they aren't yet in one
+    component.
+    """
+    own = cut(_with_sets(docs, id_col, text_col, layout).withColumn("uid", F.monotonically_increasing_id()), "sets")
+    by_digest = cut(own.groupBy(*_DIGEST).agg(F.min("uid").alias("node"), F.min(id_col).alias("least")), "distinct")
+    copies = cut(own.select("uid", *_DIGEST).join(by_digest, _DIGEST).filter("uid <> node").select("uid"), "copies")
+    if copies.count() <= KEPT_IDS:
+        sets = own.join(F.broadcast(copies), "uid", "left_anti").withColumnRenamed("uid", "node")
+    else:
+        sets = cut(own.join(_shuffled(copies), "uid", "left_anti").withColumnRenamed("uid", "node"), "folded")
+    prints = cut(sets.groupBy(*layout.columns).agg(F.min("node").alias("node")), "fingerprints")
+    named = lambda x: prints.select(F.struct(*layout.columns).alias(f"f{x}"), F.col("node").alias(x))
+    links = segment_links(prints.select(*layout.columns), layout).withColumnsRenamed({"a": "fa", "b": "fb"})
+    proposed = links.join(named("a"), "fa").join(named("b"), "fb").select("a", "b")
+    same = sets.select(*layout.columns, F.col("node").alias("b")).join(prints.withColumnRenamed("node", "a"), layout.columns).filter("a <> b").select("a", "b")
+    links = cut(_alike(proposed.unionByName(same), sets), "links")
+    roots = contract(links)
+    root = lambda x: roots.select(F.col("node").alias(x), F.col(_ROOT).alias(f"r{x}"))
+    others = _met(sets).join(root("a"), "a", "left").join(root("b"), "b", "left").filter(F.coalesce("ra", "a") != F.coalesce("rb", "b")).select("a", "b")
+    more = cut(_alike(others, sets), "more-links")
+    if not more.isEmpty():
+        roots = contract(links.unionByName(more))
+    rooted = cut(by_digest.join(roots, "node", "left").select(*_DIGEST, "least", F.coalesce(_ROOT, "node").alias(_ROOT)), "rooted")
+    least = cut(rooted.groupBy(_ROOT).agg(F.min("least").alias("component_id")), "least")
+    return own.select(id_col, *_DIGEST).join(rooted.join(least, _ROOT).drop("least"), _DIGEST).select(id_col, *_DIGEST, _ROOT, "component_id")
+
+
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", layout: Layout = SIMILAR) -> DataFrame:
-    """One row of docs of each group of near copies: one that has the group's smallest id.
+    """One row of docs of each group of near copies (a Jaccard index of 0.8 at least, by the layout's shingles): one that has the group's smallest id.
 
     Rows with a null id belong to no group that can be named and are kept. A
     repeated id may lie in several groups; of its rows in a group that it names
@@ -247,7 +400,7 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     those of repeated ids.
     """
     columns = list(docs.columns)
-    found = cut(components(docs.select(id_col, text_col), id_col, text_col, layout).filter(F.col(id_col).isNotNull()).withColumnRenamed(id_col, "__id"), "verdicts")
+    found = cut(alike_components(docs.select(id_col, text_col), id_col, text_col, layout).filter(F.col(id_col).isNotNull()).withColumnRenamed(id_col, "__id"), "verdicts")
     counts = cut(found.groupBy("__id").agg(F.count("*").alias("n"), F.max(F.col("__id") == F.col("component_id")).alias("named")).filter("n > 1 OR NOT named"), "others")
     gone = counts.select("__id")
     out = docs.join(F.broadcast(gone) if gone.count() <= KEPT_IDS else gone, docs[id_col] == F.col("__id"), "left_anti")
@@ -260,13 +413,13 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", la
     def own(batches):
         for whole in batches:
             for batch in slices(whole, "__t"):
-                prints = [fingerprint(t, layout.words, longs=layout.longs) for t in as_bytes(batch.column("__t"))]
-                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(c, pa.int64()) for c in zip(*prints, strict=True))], names=[*batch.schema.names, *layout.columns])
+                found = np.array([_digest(np.unique(shingle_hashes(t, layout.words))) for t in as_bytes(batch.column("__t"))])
+                yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(np.ascontiguousarray(c), pa.int64()) for c in found.T)], names=[*batch.schema.names, *_DIGEST])
 
     schema = type(rows.schema)([*rows.schema.fields])
-    for c in layout.columns:
+    for c in _DIGEST:
         schema = schema.add(c, "long")
     rows = rows.mapInArrow(tidy(own), schema)
-    named = found.filter(F.col("__id") == F.col("component_id")).select("__id", *layout.columns, _ROOT).distinct()
-    first = rows.join(named, ["__id", *layout.columns]).groupBy("__id", _ROOT).agg(F.min_by("__row", "__t").alias("__row"))
+    named = found.filter(F.col("__id") == F.col("component_id")).select("__id", *_DIGEST, _ROOT).distinct()
+    first = rows.join(named, ["__id", *_DIGEST]).groupBy("__id", _ROOT).agg(F.min_by("__row", "__t").alias("__row"))
     return out.unionByName(first.select("__row.*"))

@@ -1,6 +1,5 @@
 import corpus_pipeline
 from bitextspark.llm import langid_crf, quality_rules, tokens
-from bitextspark.llm import simhash
 
 SF = "/root/testdata/sf0.001"
 
@@ -11,9 +10,8 @@ def shingles(text):
 
 
 def plain_kept(rows):
-    """Smallest ids of the groups by brute force: five-word fingerprints, at most 38 of 256 bits apart and with an equal segment."""
-    prints = [simhash.fingerprint((t or "").encode(), 5, longs=4) for _, t in rows]
-    pieces = [[(v & (2**64 - 1)) >> s & 0xFFFF for v in f for s in (0, 16, 32, 48)] for f in prints]
+    """Smallest ids of the groups by brute force: five-word shingles with a Jaccard index of 0.8 at least."""
+    sets = [shingles(t) for _, t in rows]
     up = list(range(len(rows)))
 
     def top(i):
@@ -23,7 +21,7 @@ def plain_kept(rows):
 
     for i in range(len(rows)):
         for j in range(i):
-            if sum(((x ^ y) & (2**64 - 1)).bit_count() for x, y in zip(prints[i], prints[j], strict=True)) <= 38 and any(p == q for p, q in zip(pieces[i], pieces[j], strict=True)):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]):
                 up[top(i)] = top(j)
     least = {}
     for i, (doc, _) in enumerate(rows):
@@ -47,8 +45,8 @@ def test_stages_equal_brute_force_on_their_input(spark):
     # nothing else may go than what is alike, and what is much alike goes
     sets = {i: shingles(t) for i, t in rows}
     alike = lambda a, b: len(sets[a] & sets[b]) / max(1, len(sets[a] | sets[b]))
-    assert all(any(alike(i, j) > 0.7 for j in sets if j != i) for i in sets if i not in kept)
-    assert all(alike(i, j) < 0.9 for i in kept for j in kept if i < j)
+    assert all(any(alike(i, j) >= 0.8 for j in sets if j != i) for i in sets if i not in kept)
+    assert all(alike(i, j) < 0.8 for i in kept for j in kept if i < j)
     assert one.columns == two.columns == three.columns == docs.columns
     four = stages["packing"](spark, three, SF).collect()
     library = tokens.load(tokens.default_path())

@@ -144,6 +144,25 @@ def test_tables_that_grow_are_not_broadcast(spark, capsys):
     assert "SortMergeJoin" in plan and "Broadcast" not in plan
 
 
+def test_every_pair_at_the_similarity_is_linked(spark):
+    rng, rows = random.Random(9), []
+    for k in range(40):
+        words = [str(rng.getrandbits(40)) for _ in range(60)]
+        other = list(words)
+        while True:
+            last = list(other)
+            other[rng.randrange(60)] = str(rng.getrandbits(40))
+            a, b = ({tuple(x[i : i + 5]) for i in range(56)} for x in (words, other))
+            if 5 * len(a & b) < 4 * len(a | b):
+                break
+        # the first is just alike, the second just not
+        rows += [(3 * k, " ".join(words)), (3 * k + 1, " ".join(last)), (3 * k + 2, " ".join(f"own{k}" if i == 30 else w for i, w in enumerate(other)))]
+    sets = {i: {tuple(t.split()[j : j + 5]) for j in range(56)} for i, t in rows}
+    near = lambda i, j: 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j])
+    want = {i for i in sets if not any(near(i, j) for j in sets if j < i)}
+    assert {r["doc_id"] for r in simhash.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).collect()} == want
+
+
 def test_keep_one_and_empty(spark):
     rows = [(3, "a b c d", "x"), (1, "a b c d", "y"), (9, "p q r s t", None), (None, "lone", "z"), (7, None, "n"), (8, "", "n")]
     df = spark.createDataFrame(rows, "doc_id long, text string, component_id string")
