@@ -104,3 +104,42 @@ def test_a_full_bucket_at_the_border_is_shared_by_hash(spark):
     found = lbl.most_frequent(spark.createDataFrame([(b"often", 9000), *rows], "token binary, c long"), 100)
     assert found[0] == (b"often", 9000) and 50 < len(found) <= 100
     assert len(lbl.most_frequent(spark.createDataFrame(rows, "token binary, c long"), 1000)) == 1000
+
+
+def test_each_distinct_context_is_summed_once_and_far_scores_hold(monkeypatch):
+    """Repeated contexts cost one sum; words whose exponentials leave the floats' reach have their right probabilities; and a pickled model scores alike."""
+    import pickle
+
+    monkeypatch.setattr(lbl, "HELD", 12)
+    rng = np.random.default_rng(4)
+    model = lbl.Learner(rng.random(901)).model()
+    model.word *= 400
+    model.__post_init__()
+    before, y = np.tile(rng.integers(0, 902, size=(70, lbl.CONTEXT)), (9, 1)), rng.integers(0, 901, size=630)
+    asked = []
+    monkeypatch.setattr(lbl.LogBilinear, "log_partition", lambda self, b, f=lbl.LogBilinear.log_partition: asked.append(len(b)) or f(self, b))
+    got = model.log_probability(y, before)
+    assert sum(asked) == len(np.unique(before, axis=0)) == 70
+    h = model.hidden(before).astype(np.float64)
+    log_sum = lambda s: np.logaddexp.reduce(s, axis=1)
+    s = h @ model.target.T + model.bias
+    cls = lbl.class_of(y, model.edges)
+    want = s[np.arange(len(y)), cls] - log_sum(s)
+    for i in np.flatnonzero((y >= lbl.SHORT) & (y < 900)):
+        lo, hi = model.edges[cls[i]], model.edges[cls[i] + 1]
+        s = h[i : i + 1] @ model.word[lo:hi].T.astype(np.float64) + model.word_bias[lo:hi]
+        want[i] += s[0, y[i] - lo] - log_sum(s)[0]
+    assert np.abs(h @ model.word.T).max() > 90 and np.allclose(got, want, rtol=1e-4, atol=2e-3)
+    assert np.array_equal(pickle.loads(pickle.dumps(model)).log_probability(y, before), got)
+
+
+def test_sums_by_runs_of_any_length():
+    rng = np.random.default_rng(5)
+    for few in (0, 3, 48):
+        lbl_few, lbl.FEW_RUNS = lbl.FEW_RUNS, few
+        rows = np.sort(np.concatenate([rng.integers(0, 40, 300), np.full(200, 7), [99]]))
+        x, order = rng.random((len(rows), 5)).astype(np.float32), rng.permutation(len(rows))
+        starts = np.flatnonzero(np.concatenate([[True], rows[1:] != rows[:-1]]))
+        found = lbl._sums(x, order, starts, np.diff(np.append(starts, len(rows))))
+        lbl.FEW_RUNS = lbl_few
+        assert np.allclose(found, np.add.reduceat(x[order], starts, axis=0), rtol=1e-4)
