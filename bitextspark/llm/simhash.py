@@ -45,7 +45,8 @@ KEPT_IDS = 1_000_000
 #: Sets whose shingles are counted to order shingles by frequency, and frequent shingles sent to the tasks.
 ORDER_SETS = 5_000
 ORDER_SHINGLES = 200_000
-PARITY_BITS = 2048
+#: Parities of a set; one of more shingles has WIDE_BITS beside them, as parities tell sets apart only up to about as many elements as bits.
+PARITY_BITS, WIDE_BITS = 2048, 32_768
 _ROOT = "__root"
 
 
@@ -262,14 +263,15 @@ def _digest(kinds: np.ndarray) -> np.ndarray:
     return np.frombuffer(xxhash.xxh3_128_digest(kinds.tobytes(), SEED), dtype="<i8")
 
 
-def _parity(kinds: np.ndarray) -> np.ndarray:
-    """For each of PARITY_BITS remainders whether an odd number of hashes has it, in longs. Two sets differ in at least as many elements as their parities in bits."""
-    odd = np.bincount(kinds & (PARITY_BITS - 1), minlength=PARITY_BITS).astype(np.uint8) & 1
+def _parity(kinds: np.ndarray, bits: int = PARITY_BITS) -> np.ndarray:
+    """For each of so many remainders whether an odd number of hashes has it, in longs. Two sets differ in at least as many elements as their parities in bits."""
+    odd = np.bincount(kinds & (bits - 1), minlength=bits).astype(np.uint8) & 1
     return np.packbits(odd, bitorder="little").view("<i8")
 
 
 def _with_sets(docs: DataFrame, id_col: str, text_col: str, layout: Layout) -> DataFrame:
-    """(id, digest, fingerprint, shingles' number n and their hashes in order) of every row of docs."""
+    """(id, digest, fingerprint, shingles' number n, their parities and their hashes, the rarest first) of every row of docs."""
+    sent = docs.sparkSession.sparkContext.broadcast(_frequent(docs, id_col, text_col, layout))  # ORDER_SHINGLES rows at most
 
     def run(batches):
         for whole in batches:
@@ -279,47 +281,47 @@ def _with_sets(docs: DataFrame, id_col: str, text_col: str, layout: Layout) -> D
                 first = np.array([_digest(k) for k in kinds])
                 prints = np.array([_folded(h, layout.longs) for h in hashes], dtype=np.int64)
                 sizes = np.array([len(k) for k in kinds])
-                lists = pa.ListArray.from_arrays(np.append(0, np.cumsum(sizes)).astype(np.int32), np.concatenate(kinds))
+                wide = [_parity(k, WIDE_BITS) if len(k) > PARITY_BITS else k[:0] for k in kinds]
+                kinds_by_rank = [_ranked(k, sent.value) for k in kinds]
+                wides, lists = (pa.ListArray.from_arrays(np.cumsum([0, *map(len, x)]).astype(np.int32), np.concatenate(x)) for x in (wide, kinds_by_rank))
                 columns = [*first.T, *prints.T, sizes]
                 odd = pa.ListArray.from_arrays(np.arange(len(kinds) + 1, dtype=np.int32) * (PARITY_BITS // 64), np.concatenate([_parity(k) for k in kinds]))
-                yield pa.RecordBatch.from_arrays([batch.column("i"), *(pa.array(np.ascontiguousarray(c), pa.int64()) for c in columns), odd, lists], names=["i", *_DIGEST, *layout.columns, "n", "odd", "kinds"])
+                yield pa.RecordBatch.from_arrays([batch.column("i"), *(pa.array(np.ascontiguousarray(c), pa.int64()) for c in columns), odd, wides, lists], names=["i", *_DIGEST, *layout.columns, "n", "odd", "wide", "kinds"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    schema = f"i {kind}, " + ", ".join(f"{c} bigint" for c in [*_DIGEST, *layout.columns, "n"]) + ", odd array<bigint>, kinds array<bigint>"
+    schema = f"i {kind}, " + ", ".join(f"{c} bigint" for c in [*_DIGEST, *layout.columns, "n"]) + ", odd array<bigint>, wide array<bigint>, kinds array<bigint>"
     return docs.select(F.col(id_col).alias("i"), F.col(text_col).alias("t")).mapInArrow(tidy(run), schema).withColumnRenamed("i", id_col)
 
 
-def _frequent(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    """Hashes (sorted) of frequent shingles and their counts, from about ORDER_SETS sets. They order the shingles, which decides how fast links are found, not which."""
-    share = max(1, sets.count() // ORDER_SETS)
-    some = sets.filter(F.pmod(F.xxhash64("node"), F.lit(share)) == 0).select(F.explode("kinds").alias("k"))
+def _frequent(docs: DataFrame, id_col: str, text_col: str, layout: Layout) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes (sorted) of frequent shingles and their counts, from about ORDER_SETS distinct texts. They order the shingles, which decides how fast links are found, not which."""
+
+    def run(batches):
+        for whole in batches:
+            for batch in slices(whole, "t"):
+                kinds = [np.unique(shingle_hashes(x, layout.words)).view("<i8") for x in as_bytes(batch.column("t"))]
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(kinds), pa.int64())], names=["k"])
+
+    share = max(1, docs.count() // ORDER_SETS)
+    some = docs.filter(F.pmod(F.xxhash64(id_col, text_col), F.lit(share)) == 0).select(F.col(text_col).alias("t")).distinct().mapInArrow(tidy(run), "k bigint")
     found = some.groupBy("k").agg(F.count("*").alias("c")).filter("c >= 3").orderBy(F.desc("c"), "k").limit(ORDER_SHINGLES).toArrow()
     keys, counts = found.column("k").to_numpy(), found.column("c").to_numpy()
     order = np.argsort(keys)
     return keys[order], counts[order]
 
 
-def _first(kinds: np.ndarray, frequent: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
-    """The rarest shingles of a set of which any set of similarity 0.8 has one among its own rarest."""
+def _ranked(kinds: np.ndarray, frequent: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The hashes of a set, the rarest first; equally rare ones by hash."""
     keys, counts = frequent
     often = np.zeros(len(kinds), dtype=np.int64)
     if len(keys):
         at = np.minimum(np.searchsorted(keys, kinds), len(keys) - 1)
         often = np.where(keys[at] == kinds, counts[at], 0)
-    return kinds[np.argsort(often, kind="stable")][: len(kinds) - -(-4 * len(kinds) // 5) + 1]
+    return kinds[np.argsort(often, kind="stable")]
 
 
 def _met(sets: DataFrame) -> DataFrame:
-    """(a, b), a < b: all pairs of sets (node, n, kinds) that share one of their rarest shingles and may be alike by their sizes."""
-    sent = sets.sparkSession.sparkContext.broadcast(_frequent(sets))  # ORDER_SHINGLES rows at most
-
-    def first(batches):
-        for batch in batches:
-            lists = batch.column("kinds")
-            own = [_first(k, sent.value) for k in np.split(lists.flatten().to_numpy(), np.cumsum(batch.column("n").to_numpy())[:-1])] if len(lists) else []
-            size = [len(k) for k in own]
-            flat = np.concatenate(own) if own else np.zeros(0, dtype=np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(flat, pa.int64()), *(pa.array(np.repeat(batch.column(c).to_numpy(), size), pa.int64()) for c in ("node", "n"))], names=["k", "node", "n"])
+    """(a, b), a < b: all pairs of sets (node, n, kinds by rank) that share one of their rarest shingles and may be alike by their sizes."""
 
     def pairs(batches):
         held = np.zeros((3, 0), dtype=np.int64)
@@ -340,7 +342,9 @@ def _met(sets: DataFrame) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in np.ascontiguousarray(out[i : i + 100_000].T)], names=["a", "b"])
             held = held[:, k == k[-1]] if len(k) else held
 
-    rows = sets.filter("n > 0").select("node", "n", "kinds").mapInArrow(tidy(first), "k bigint, node bigint, n bigint")
+    # any set of similarity 0.8 has one of these among its own first
+    first = F.slice("kinds", F.lit(1), (F.col("n") - F.ceil(4 * F.col("n") / 5) + 1).cast("int"))
+    rows = sets.filter("n > 0").select(F.explode(first).alias("k"), "node", "n")
     return rows.repartition("k").sortWithinPartitions("k").mapInArrow(tidy(pairs), "a bigint, b bigint").distinct()
 
 
@@ -348,8 +352,13 @@ def _alike(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs (a, b) whose sets have a Jaccard index of 0.8 at least, counted exactly."""
     # an index of 0.8 allows no more differences than a ninth of both sizes; parities bound them from below, so most pairs go before their shingles are needed
     light = lambda x: sets.select(F.col("node").alias(x), F.col("n").alias(f"n{x}"), F.col("odd").alias(f"o{x}"))
-    bits = F.aggregate(F.zip_with("oa", "ob", lambda x, y: F.bit_count(x.bitwiseXOR(y))), F.lit(0), lambda x, y: x + y)
-    pairs = cut(pairs.join(_shuffled(light("a")), "a").join(_shuffled(light("b")), "b").filter(9 * bits <= F.col("na") + F.col("nb")).select("a", "b"), "pairs")
+    bits = lambda x, y: F.aggregate(F.zip_with(x, y, lambda a, b: F.bit_count(a.bitwiseXOR(b))), F.lit(0), lambda a, b: a + b)
+    pairs = cut(pairs.join(_shuffled(light("a")), "a").join(_shuffled(light("b")), "b").filter(9 * bits("oa", "ob") <= F.col("na") + F.col("nb")).select("a", "b", "na", "nb"), "pairs")
+    # large sets are told apart by more parities: 512 longs, where their shingles are thousands
+    large = (F.col("na") > PARITY_BITS) & (F.col("nb") > PARITY_BITS)
+    wide = lambda x: sets.filter(F.col("n") > PARITY_BITS).select(F.col("node").alias(x), F.col("wide").alias(f"w{x}"))
+    told = pairs.filter(large).join(_shuffled(wide("a")), "a").join(_shuffled(wide("b")), "b").filter(9 * bits("wa", "wb") <= F.col("na") + F.col("nb"))
+    pairs = cut(pairs.filter(~large).select("a", "b").unionByName(told.select("a", "b")), "told")
     # only sets that are in a pair are shuffled
     meant = cut(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct(), "meant")
     held = sets.join(F.broadcast(meant) if meant.count() <= KEPT_IDS else _shuffled(meant), "node", "left_semi")

@@ -174,3 +174,24 @@ def test_keep_one_and_empty(spark):
 def test_long_text():
     t = "word " * 200_000
     assert simhash.fingerprint(t.encode())[0] == xxhash.xxh64(b"word word word", seed=42).intdigest() - (1 << 64) * (xxhash.xxh64(b"word word word", seed=42).intdigest() >> 63)
+
+
+def test_long_texts_that_differ_are_told_apart_by_parities(spark, monkeypatch):
+    """Of long texts with a passage in common only the near copies have their shingles compared."""
+    rng = random.Random(8)
+    own = lambda n: [f"w{rng.randrange(10**9)}" for _ in range(n)]
+    shared = own(12)
+    texts = [own(6000) + shared for _ in range(4)]
+    near = list(texts[0])
+    for i in range(0, 6000, 120):  # 50 words, 250 of 6,008 shingles
+        near[i] = "changed"
+    rows = [(i, " ".join(t)) for i, t in enumerate([*texts, near])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    seen = {}
+    plain = simhash.cut
+    monkeypatch.setattr(simhash, "cut", lambda df, tag: seen.setdefault(tag, plain(df, tag)))
+    sets = plain(simhash._with_sets(docs, "doc_id", "text", simhash.SIMILAR), "sets").withColumnRenamed("doc_id", "node")
+    every = spark.createDataFrame([(i, j) for i in range(5) for j in range(i + 1, 5)], "a long, b long")
+    assert [tuple(r) for r in simhash._alike(every, sets).collect()] == [(0, 4)]
+    assert seen["pairs"].count() == 10 and [tuple(r) for r in seen["told"].collect()] == [(0, 4)]
+    assert {tuple(r) for r in simhash._met(sets).collect()} >= {(0, 4)}
